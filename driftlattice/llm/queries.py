@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from driftlattice.llm import mixing
+from driftlattice.llm import decontaminate, language, mixing
 
-QUERIES = {"op6_mixing": mixing.query}
+QUERIES = {
+    "op6_mixing": mixing.query,
+    "op8_language": language.query,
+    "op10_decontaminate": decontaminate.query,
+}
 ORACLES = {"op6_mixing": mixing.SQL}

@@ -145,12 +145,19 @@ class Hasher:
         return mix((sums[end] - sums[start]) * self.powers(1, len(words) + 1, True)[start] + (end - start).astype(np.uint64))
 
 
-def word_spans(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Starts and ends of all words, and each text's first word (n + 1 entries)."""
-    inside = ~((raw == 0x20) | ((raw >= 0x09) & (raw <= 0x0D)))
+#: Bytes of a word: all but the six whitespace bytes.
+WORD_BYTE = np.ones(256, bool)
+WORD_BYTE[[0x20, *range(0x09, 0x0E)]] = False
+#: Bytes of a token: ASCII letters and digits, and all bytes of other characters.
+TOKEN_BYTE = np.array([b > 127 or chr(b).isalnum() for b in range(256)])
+
+
+def spans(raw: np.ndarray, offsets: np.ndarray, kind: np.ndarray = WORD_BYTE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts and ends of all runs of bytes of a kind, and each text's first run (n + 1 entries)."""
+    inside = kind[raw]
     before = np.zeros(len(raw), bool)
     before[1:] = inside[:-1]
-    borders = offsets[(offsets < len(raw))]
+    borders = offsets[offsets < len(raw)]
     before[borders] = False
     start = np.flatnonzero(inside & ~before)
     after = np.zeros(len(raw), bool)
