@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from driftlattice.llm import decontaminate, language, mixing
+from driftlattice.llm import context_tree, decontaminate, language, mixing, toxicity
 
 QUERIES = {
+    "op2_context_tree": context_tree.query,
+    "op5_toxicity": toxicity.query,
     "op6_mixing": mixing.query,
     "op8_language": language.query,
     "op10_decontaminate": decontaminate.query,

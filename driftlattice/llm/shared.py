@@ -51,7 +51,7 @@ def written(df: DataFrame) -> DataFrame:
 
 def table_bytes(df: DataFrame) -> int:
     """The optimizer's size of a scan (file sizes, no job)."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue())
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
 
 
 def word_count(text):
