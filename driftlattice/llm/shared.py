@@ -8,6 +8,7 @@ of two prefix sums, so no Python code runs per word.
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -44,9 +45,12 @@ def shared_folder(spark: SparkSession) -> str:
 
 def written(df: DataFrame) -> DataFrame:
     """`df` as a Parquet table in the shared folder: cuts the lineage and survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
+    spark = df.sparkSession
+    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()  # lets Spark's cleaner drop the shuffle files of what is now written
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def table_bytes(df: DataFrame) -> int:
@@ -188,14 +192,21 @@ def member(values: np.ndarray, sorted_set: np.ndarray) -> np.ndarray:
 # ---------------------------------------------------------------- chunks
 
 
+def chunk_count(docs: DataFrame, per_chunk_bytes: int = 4 << 20) -> int:
+    return max(16, 2 * table_bytes(docs.select("doc_id", "text")) // per_chunk_bytes)
+
+
+def chunk_of(column: str, chunks: int):
+    return F.pmod(F.xxhash64(F.coalesce(F.col(column).cast("long"), F.lit(-1))), F.lit(int(chunks)))
+
+
 def chunked(docs: DataFrame, per_chunk_bytes: int = 4 << 20) -> DataFrame:
     """(chunk, doc_id, text): rows dealt by a hash of their id into chunks of a few MB.
 
     The number of chunks follows the size of the input, so a chunk's texts always fit a task.
     """
-    chunks = max(16, 2 * table_bytes(docs.select("doc_id", "text")) // per_chunk_bytes)
     return docs.select(
-        F.pmod(F.xxhash64(F.coalesce(F.col("doc_id").cast("long"), F.lit(-1))), F.lit(int(chunks))).alias("chunk"),
+        chunk_of("doc_id", chunk_count(docs, per_chunk_bytes)).alias("chunk"),
         F.col("doc_id").cast("long").alias("doc_id"),
         F.col("text").cast("string").alias("text"),
     )
