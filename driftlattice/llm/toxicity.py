@@ -1,7 +1,7 @@
 """Toxicity by a classifier chain of sparse linear models.
 
 The categories are predicted one after another; the model of each category sees the hashed words
-of the text and the log odds that the chain gave for the earlier categories. When it learns,
+and word stems of the text and the log odds that the chain gave for the earlier categories. When it learns,
 those odds come from models that did not see the row (out-of-fold predictions over FOLDS folds),
 so a later model learns how far earlier ones can be trusted on new rows.
 
@@ -27,7 +27,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import TOKEN_BYTE, Hasher, row_slices, spans, text_buffer
+from driftlattice.llm.shared import TOKEN_BYTE, Hasher, mix, row_slices, spans, text_buffer
 
 SAMPLE = 8_000
 FOLDS = 5
@@ -35,6 +35,7 @@ BITS = 20
 #: A word teaches only if so many sampled documents hold it.
 MIN_DOCS = 4
 EVIDENCE = 15.0
+STEMS = (4, 5, 6)
 CHAIN = ("low_quality", "toxic")
 CUT = 0.5
 
@@ -42,12 +43,19 @@ _HASHER = Hasher(5)
 
 
 def features(column) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct hashed words per text: feature numbers, and each text's first entry (n + 1)."""
+    """Distinct hashed words and word stems per text: feature numbers, and each text's first entry (n + 1).
+
+    Stems are the first STEMS bytes of longer words, so inflected and compound forms share features.
+    """
     raw, offsets = text_buffer(pc.utf8_lower(column))
     start, end, first = spans(raw, offsets, TOKEN_BYTE)
-    value = (_HASHER.words(raw, start, end) >> np.uint64(64 - BITS)).astype(np.int64)
     n = len(offsets) - 1
-    value = np.unique((np.repeat(np.arange(n, dtype=np.int64), np.diff(first)) << BITS) | value)
+    text = np.repeat(np.arange(n, dtype=np.int64), np.diff(first))
+    found = [(text, _HASHER.words(raw, start, end))]
+    for k in STEMS:
+        longer = end - start > k
+        found.append((text[longer], mix(_HASHER.words(raw, start[longer], start[longer] + k) + np.uint64(k))))
+    value = np.unique(np.concatenate([(t << BITS) | (v >> np.uint64(64 - BITS)).astype(np.int64) for t, v in found]))
     return value & ((1 << BITS) - 1), np.searchsorted(value >> BITS, np.arange(n + 1))
 
 
