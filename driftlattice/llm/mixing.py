@@ -74,7 +74,7 @@ def mix(docs: DataFrame, epochs: int = EPOCHS, weights=WEIGHTS, seed: str = SEED
     in the seeded order lies within the fractional part. `keep` names columns to carry along.
     """
     digest = F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))))
-    sized = written(docs.select("doc_id", "source", *keep, word_count(F.col("text")).alias("size"), digest.alias("digest")))
+    sized = written(docs.select("doc_id", "source", *[c for c in keep if c != "source"], word_count(F.col("text")).alias("size"), digest.alias("digest")))
     sized = sized.withColumn("bucket", F.substring("digest", 1, PREFIX))
     buckets = sized.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size"))
     targets = water_fill(cycling_weights(buckets.groupBy("source").agg(F.sum("bucket_size").alias("source_size"))), None, epochs)
