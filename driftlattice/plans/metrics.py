@@ -17,7 +17,7 @@ def quality(reports: DataFrame, truth: DataFrame) -> DataFrame:
 
 
 def summarize(quality_df: DataFrame, by=("variant",)) -> DataFrame:
-    return quality_df.groupBy(*by).agg(F.count(F.lit(1)).alias("windows"), F.round(F.avg("precision"), 6).alias("precision"), F.round(F.avg("recall"), 6).alias("recall"))
+    return quality_df.groupBy(*by).agg(F.count(F.lit(1)).alias("windows"), F.round(F.avg("precision"), 4).alias("precision"), F.round(F.avg("recall"), 4).alias("recall"))
 
 
 def timeline(quality_df: DataFrame, drift=((15, 20), (35, 42))) -> DataFrame:

@@ -192,7 +192,7 @@ def _quality_ctes(k: int = K, m: int = M, delta: float = DELTA, matrix: str = "m
     parts.append("rep AS (" + " UNION ALL ".join(f"SELECT '{n}' AS variant, * FROM {n}" for n in names) + ")")
     parts.append("""qual AS (SELECT variant, window_end, n_pred, n_true, round(n_common / n_pred, 6) AS precision, round(n_common / n_true, 6) AS recall FROM
   (SELECT r.variant, r.window_end, count(*) AS n_pred, count(t.key) AS n_common FROM rep r LEFT JOIN truth t USING (window_end, key) GROUP BY 1, 2) JOIN (SELECT window_end, count(*) AS n_true FROM truth GROUP BY 1) USING (window_end))""")
-    parts.append("summ AS (SELECT variant, count(*) AS windows, round(avg(precision), 6) AS precision, round(avg(recall), 6) AS recall FROM qual GROUP BY variant)")
+    parts.append("summ AS (SELECT variant, count(*) AS windows, round(avg(precision), 4) AS precision, round(avg(recall), 4) AS recall FROM qual GROUP BY variant)")
     return ",\n".join(parts)
 
 
