@@ -182,7 +182,10 @@ def mine_topk(memo: Memo, symbols: Iterable[Nodes], k: int, ell: int, params: Mi
     symbols = sorted(set(symbols))
     f_min = max(1, kth(memo(symbols).values(), k))
     while True:
-        lattice = mine_batch(memo, symbols, ell, f_min, params.klass, params.relation, params.repeats, params.max_candidates)
+        try:
+            lattice = mine_batch(memo, symbols, ell, f_min, params.klass, params.relation, params.repeats, params.max_candidates)
+        except OverflowError:  # deeper is not affordable: stay at the deepest threshold that is
+            return _capped(memo, set(symbols), params, f_min)
         if len(lattice.top()) >= k or f_min == 1:
             return lattice, kth(lattice.top().values(), k)
         f_min = max(1, min(f_min - 1, math.floor(f_min * step)))
@@ -231,6 +234,12 @@ def advance(prev: Lattice | None, count: Counter, symbols: Iterable[Nodes], para
             level = dict.fromkeys([*known[size - 1], *made])
             if size > 1:
                 level = dict.fromkeys(p for p in level if parents(p, klass, relation) <= frequent[-1].keys())
+            if len(level) > params.max_candidates:
+                stats.capped = True
+                f_min = math.ceil(f_min * 1.25)
+                lattice, stats.fk = _capped(memo, symbols, params, f_min)
+                lattice.new = [f.keys() - b.keys() for f, b in zip(lattice.frequent, prev.frequent)]
+                return lattice, _filled(stats, lattice, memo, f_min)
             got = memo(list(level))
             frequent.append({p: c for p, c in got.items() if c >= f_min})
             border.append({p: c for p, c in got.items() if c < f_min})
@@ -239,11 +248,6 @@ def advance(prev: Lattice | None, count: Counter, symbols: Iterable[Nodes], para
             made = set()
             if size < ell and new[-1]:
                 made = join_candidates(frequent[-1], new[-1], klass, relation, params.repeats) - known[size].keys()
-                if len(made) > params.max_candidates:
-                    stats.capped = True
-                    f_min = math.ceil(f_min * 1.25)
-                    lattice, stats.fk = _capped(memo, symbols, params, f_min)
-                    return lattice, _filled(stats, lattice, memo, f_min)
         lattice = Lattice(frequent, border, new)
         usable = len(lattice.top()) >= params.k
     if not usable:
@@ -268,7 +272,7 @@ def advance(prev: Lattice | None, count: Counter, symbols: Iterable[Nodes], para
 def _capped(memo: Memo, symbols: set[Nodes], params: MineParams, f_min: int) -> tuple[Lattice, int]:
     """The deepest affordable lattice: raises the threshold until no level exceeds the guard."""
     while True:
-        try:
+        try:  # f_min grows to where it passes every count, so this ends
             lattice = mine_batch(memo, symbols, params.ell, f_min, params.klass, params.relation, params.repeats, params.max_candidates)
             return lattice, kth(lattice.top().values(), params.k)
         except OverflowError:
