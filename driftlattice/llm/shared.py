@@ -1,4 +1,4 @@
-"""Tools that several operators share: written tables, Arrow text buffers, rolling hashes, components.
+"""Tools that several operators share: Arrow text buffers, rolling hashes, components.
 
 The hash tools work on whole Arrow batches: all texts of a slice lie in one byte
 buffer, word borders come from a mask, and every hash of a span is a difference
@@ -7,19 +7,16 @@ of two prefix sums, so no Python code runs per word.
 
 from __future__ import annotations
 
-import atexit
-import gc
-import shutil
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from driftlattice.sources.ledger import written
+
 #: Text bytes handled at once by the numpy kernels; a longer single text is still handled whole.
 SLICE_BYTES = 2 << 20
 
@@ -27,35 +24,12 @@ WORD = r"[^\x20\x09-\x0D]+"
 GAP = r"[\x20\x09-\x0D]+"
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a folder of our own where that is unset.
-
-    A machine-local folder is only taken when Spark itself runs on one machine.
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if named:
-        return named.rstrip("/")
-    if spark.sparkContext.master.startswith("local"):
-        folder = tempfile.mkdtemp(prefix="driftlattice-")
-        atexit.register(shutil.rmtree, folder, True)
-        spark.sparkContext.setCheckpointDir(f"file://{folder}")
-        return f"file://{folder}"
-    return f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/checkpoints"
-
-
-def written(df: DataFrame) -> DataFrame:
-    """`df` as a Parquet table in the shared folder: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()  # lets Spark's cleaner drop the shuffle files of what is now written
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def table_bytes(df: DataFrame) -> int:
-    """The optimizer's size of a scan (file sizes, no job)."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    """Size of a table with doc_id and text: the optimizer's (from file sizes, no job), or the sum of its text bytes where the optimizer has none."""
+    known = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    if known < 1 << 60:
+        return known
+    return int(df.agg(F.coalesce(F.sum(F.octet_length(F.col("text").cast("string"))), F.lit(0))).first()[0])
 
 
 def word_count(text):
