@@ -15,10 +15,11 @@ hash-partitioned and
 A set signs for its own band and the next, so sets of neighbouring bands meet. Shared signatures
 only propose; every link is verified on the shingle sets (100 * common >= THRESHOLD * union).
 
-Equal sets are one class from the start. Classes that share a signature are first verified against
-the smallest class of their group (a star, never all pairs); links contract to components, and
-only members of one group that are still in different components are then verified pairwise, so
-no link that joins components is lost.
+Equal sets are one class from the start. A class is first verified against the smallest class it
+shares a signature with, then against the smallest of each of its groups (stars, never all pairs);
+links contract to components, and only members of one group that are still in different components
+are then verified pairwise, so no link that joins components is lost. Before whole sets travel to a
+partner, small sketches do, whose distance is a lower bound on the difference of the sets.
 
 Defined cases: null, empty or blank texts have no shingles, link with nothing and are their own
 component; texts of fewer than five words have their whole word sequence as single shingle; equal
@@ -40,6 +41,10 @@ from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, m
 WIDTH = 5
 THRESHOLD = 80
 ENUMERATE_BELOW = 8
+#: Input bytes per hash bucket of signatures: large buckets name a document once for many of its signatures.
+BUCKET_BYTES = 16 << 20
+#: Ids that may be broadcast to pick the documents to verify; beyond it the join shuffles.
+BROADCAST_IDS = 2_000_000
 
 _HASHER = Hasher(7, lower=True)
 _U = np.uint64
@@ -102,7 +107,7 @@ def signatures(value: np.ndarray, first: np.ndarray, threshold: int = THRESHOLD)
         instance = band[live] + step
         k = ks[np.minimum(instance, len(ks) - 1)]
         fine = (k > 0) & (k < ENUMERATE_BELOW)
-        parts = np.where(k == 0, 1, np.where(fine, 3 * ((k + 2) // 2), (k + 1) * 5 // 4 + 1))
+        parts = np.where(k == 0, 1, np.where(fine, 3 * ((k + 2) // 2), (k + 1) * 11 // 10 + 2))
         base = np.concatenate([[0], np.cumsum(parts)])
         which = np.zeros(len(size), np.int64)
         which[live] = np.arange(len(live))
@@ -206,78 +211,129 @@ def signature_groups(docs: DataFrame, bits: int) -> DataFrame:
     return asks.groupBy("bucket").applyInArrow(meet, "grp long, class long").distinct()
 
 
-def verified(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
-    """texts(chunk, doc_id, text), pairs(a, b) -> the pairs (a, b) whose sets link.
+def sketch(value: np.ndarray) -> bytes:
+    """Counts of a set's elements in 2^b hash parts of about two elements each, cut at 255."""
+    bits = max(3, round(math.log2(max(1, len(value) / 2))))
+    part = (mix(value ^ _U(0x632BE59BD9B4E019)) >> _U(64 - bits)).astype(np.int64)
+    return np.minimum(np.bincount(part, minlength=1 << bits), 255).astype(np.uint8).tobytes()
 
-    The set of `a` goes once to every chunk that holds a partner, never to every partner.
+
+def apart(one: bytes, two: bytes) -> int:
+    """A lower bound on the elements in which two sets differ: the distance of their sketches, folded to the coarser."""
+    a, b = (np.frombuffer(x, np.uint8).astype(np.int64) for x in (one, two))
+    n = min(len(a), len(b))
+    a, b = a.reshape(n, -1), b.reshape(n, -1)
+    whole = (a.max(1) < 255) & (b.max(1) < 255)  # of parts with a cut count nothing is known
+    return int(np.abs(a.sum(1) - b.sum(1))[whole].sum())
+
+
+def sketches(texts: DataFrame) -> DataFrame:
+    """texts(chunk, doc_id, text) -> (chunk, doc_id, n, body): about half a byte per shingle."""
+
+    def run(batches):
+        for batch in batches:
+            n, body = [], []
+            for _, value, first in shingle_sets(batch.column("text")):
+                n += np.diff(first).tolist()
+                body += [sketch(value[x:y]) for x, y in zip(first[:-1], first[1:])]
+            yield pa.RecordBatch.from_arrays([batch.column("chunk"), batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(body, pa.binary())], ["chunk", "doc_id", "n", "body"])
+
+    return texts.select("chunk", "doc_id", "text").mapInArrow(run, "chunk long, doc_id long, n long, body binary")
+
+
+def _bodies(group: pa.Table, asked: np.ndarray) -> dict[int, tuple[int, bytes]]:
+    """Size and comparable content of the asked documents: the sketch where there is one, else the sorted shingle hashes."""
+    ids = group.column("doc_id").to_numpy()
+    if "body" in group.column_names:
+        at = np.flatnonzero(member(ids, asked))
+        n, body = group.column("n").to_pylist(), group.column("body").to_pylist()
+        return {int(ids[k]): (n[k], body[k]) for k in at}
+    out = {}
+    for a, value, first in shingle_sets(group.column("text").combine_chunks()):
+        for k in np.flatnonzero(member(ids[a : a + len(first) - 1], asked)):
+            out[int(ids[a + k])] = (int(first[k + 1] - first[k]), value[first[k] : first[k + 1]].tobytes())
+    return out
+
+
+def compared(table: DataFrame, pairs: DataFrame, chunks: int, may_link) -> DataFrame:
+    """table(chunk, doc_id, text or n and body), pairs(a, b) -> the pairs for which may_link(n, body, n, body) holds.
+
+    The content of `a` goes once to every chunk that holds a partner, never to every partner.
     """
     wanted = pairs.select("a", "b", chunk_of("a", chunks).alias("chunk"), chunk_of("b", chunks).alias("goal")).groupBy("chunk", "a", "goal").agg(F.collect_set("b").alias("bs"))
 
     def send(group: pa.Table, want: pa.Table) -> pa.Table:
         rows: list[tuple] = []
         if group.num_rows and want.num_rows:
-            ids = group.column("doc_id").to_numpy()
-            asked = np.unique(want.column("a").to_numpy())
-            sets = {}
-            for a, value, first in shingle_sets(group.column("text").combine_chunks()):
-                for k in np.flatnonzero(member(ids[a : a + len(first) - 1], asked)):
-                    sets[int(ids[a + k])] = value[first[k] : first[k + 1]].tobytes()
-            rows = [(g, a, sets[a], bs) for a, g, bs in zip(want.column("a").to_pylist(), want.column("goal").to_pylist(), want.column("bs").to_pylist()) if a in sets]
-        return pa.table({"chunk": pa.array([r[0] for r in rows], pa.int64()), "a": pa.array([r[1] for r in rows], pa.int64()), "own": pa.array([r[2] for r in rows], pa.large_binary()).cast(pa.binary()), "bs": pa.array([r[3] for r in rows], pa.list_(pa.int64()))})
-
-    def compare(group: pa.Table, sent: pa.Table) -> pa.Table:
+            have = _bodies(group, np.unique(want.column("a").to_numpy()))
+            rows = [(g, a, *have[a], bs) for a, g, bs in zip(want.column("a").to_pylist(), want.column("goal").to_pylist(), want.column("bs").to_pylist()) if a in have]
+        return pa.table({"chunk": pa.array([r[0] for r in rows], pa.int64()), "a": pa.array([r[1] for r in rows], pa.int64()), "n": pa.array([r[2] for r in rows], pa.int64()), "own": pa.array([r[3] for r in rows], pa.binary()), "bs": pa.array([r[4] for r in rows], pa.list_(pa.int64()))})
+
+    def meet(group: pa.Table, sent: pa.Table) -> pa.Table:
         left, right = [], []
         if group.num_rows and sent.num_rows:
-            ids = group.column("doc_id").to_numpy()
-            asked = np.unique(sent.column("bs").combine_chunks().flatten().to_numpy())
-            sets = {}
-            for a, value, first in shingle_sets(group.column("text").combine_chunks()):
-                for k in np.flatnonzero(member(ids[a : a + len(first) - 1], asked)):
-                    sets[int(ids[a + k])] = value[first[k] : first[k + 1]]
-            for a, own, bs in zip(*(sent.column(c).to_pylist() for c in ("a", "own", "bs"))):
-                own = np.frombuffer(own, np.uint64)
-                for b in bs:
-                    other = sets.get(b)
-                    if other is None or 100 * min(len(own), len(other)) < threshold * max(len(own), len(other)):
-                        continue
-                    common = int(member(other, own).sum())
-                    if 100 * common >= threshold * (len(own) + len(other) - common):
-                        left.append(a)
-                        right.append(b)
+            have = _bodies(group, np.unique(sent.column("bs").combine_chunks().flatten().to_numpy()))
+            for a, n, own, bs in zip(*(sent.column(c).to_pylist() for c in ("a", "n", "own", "bs"))):
+                hits = [b for b in bs if b in have and may_link(n, own, *have[b])]
+                left += [a] * len(hits)
+                right += hits
         return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
-    sent = texts.groupBy("chunk").cogroup(wanted.groupBy("chunk")).applyInArrow(send, "chunk long, a long, own binary, bs array<long>")
-    return texts.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(compare, "a long, b long")
+    sent = table.groupBy("chunk").cogroup(wanted.groupBy("chunk")).applyInArrow(send, "chunk long, a long, n long, own binary, bs array<long>")
+    return table.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long")
+
+
+def verified(texts: DataFrame, drafts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
+    """pairs(a, b) -> the pairs that link. Sketches rule most others out before whole sets travel; survivors are compared on their sets."""
+
+    def near(n, own, m, other):
+        return (100 + threshold) * apart(own, other) <= (100 - threshold) * (n + m)
+
+    def links(n, own, m, other):
+        common = int(member(np.frombuffer(other, np.uint64), np.frombuffer(own, np.uint64)).sum())
+        return 100 * common >= threshold * (n + m - common)
+
+    left = written(compared(drafts, pairs, chunks, near))
+    return compared(texts, left, chunks, links)
 
 
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """docs(doc_id, text) -> (doc_id, n_shingles, component_id)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     size = table_bytes(docs)
-    bits, chunks = max(3, math.ceil(math.log2(max(1, size / (4 << 20))))), chunk_count(docs)
+    bits, chunks = max(3, math.ceil(math.log2(max(1, size / BUCKET_BYTES)))), chunk_count(docs)
     nodes = written(shingle_classes(docs))
     # one document stands for each class of equal sets
     classes = nodes.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("class").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"))
     groups = written(signature_groups(docs, bits).join(classes, "class").select("grp", "rep", "n"))
-    hubs = groups.groupBy("grp").agg(F.min(F.struct("rep", "n")).alias("hub"))
-    fits = lambda a, b: (100 * F.least(a, b) >= threshold * F.greatest(a, b))
-    star = groups.join(hubs, "grp").where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n"))).select(F.col("hub.rep").alias("a"), F.col("rep").alias("b")).distinct()
-    needed = groups.select(F.col("rep").alias("doc_id")).distinct()
-    texts = written(docs.join(needed, "doc_id", "left_semi").dropDuplicates(["doc_id"]).withColumn("chunk", chunk_of("doc_id", chunks)))
-    links = written(verified(texts, star, chunks, threshold))
+    needed = written(groups.select(F.col("rep").alias("doc_id")).distinct())
+    few = needed.count() <= BROADCAST_IDS
+    texts = written(docs.join(F.broadcast(needed) if few else needed, "doc_id", "left_semi").dropDuplicates(["doc_id"]).withColumn("chunk", chunk_of("doc_id", chunks)))
+    drafts = written(sketches(texts))
     reps = needed.select(F.col("doc_id").alias("id"))
+    fits = lambda a, b: (100 * F.least(a, b) >= threshold * F.greatest(a, b))
+
+    # each class against the smallest it shares a signature with, then against the smallest of each of its groups
+    hubs = groups.groupBy("grp").agg(F.min(F.struct("rep", "n")).alias("hub"))
+    star = groups.join(hubs, "grp").where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n"))).select(F.col("hub.rep").alias("a"), F.col("rep").alias("b"))
+    star = written(star.distinct())
+    first = star.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    links = written(verified(texts, drafts, first, chunks, threshold))
+    joined = written(components(reps, links))
+    side = lambda c: joined.select(F.col("id").alias(c), F.col("component").alias(f"c{c}"))
+    rest = star.join(first, ["a", "b"], "left_anti").join(side("a"), "a").join(side("b"), "b").where("ca <> cb").select("a", "b")
+    links = written(links.unionByName(verified(texts, drafts, rest, chunks, threshold)))
     joined = written(components(reps, links))
-    # members of one group that the stars left in different components
+    # members of one group that are still in different components
     placed = groups.join(joined.withColumnRenamed("id", "rep"), "rep")
     mixed = placed.groupBy("grp").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("grp")
-    rest = placed.join(mixed, "grp")
-    one = rest.select("grp", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"))
-    two = rest.select("grp", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("component").alias("cb"))
+    open_ = placed.join(mixed, "grp")
+    one = open_.select("grp", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"))
+    two = open_.select("grp", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("component").alias("cb"))
     pairs = one.join(two, "grp").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & fits(F.col("na"), F.col("nb"))).select("a", "b").distinct()
     pairs = written(pairs.join(star, ["a", "b"], "left_anti"))
     if not pairs.isEmpty():
-        more = verified(texts, pairs, chunks, threshold)
-        joined = written(components(reps, links.unionByName(more)))
+        joined = written(components(reps, links.unionByName(verified(texts, drafts, pairs, chunks, threshold))))
     label = classes.select("class", "rep").join(joined.withColumnRenamed("id", "rep"), "rep", "left").select("class", F.coalesce("component", "rep").alias("component_id"))
     return nodes.join(label, "class", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
