@@ -6,7 +6,9 @@ hash-partitioned and
 
 * for k of 8 or more, into n1 > k parts: two such sets agree on at least n1 - k of them. A set's
   signatures are its parts' contents; empty parts are left out as long as the set has fewer than
-  n1 - k of them, for then an agreeing part with content remains;
+  n1 - k of them, for then an agreeing part with content remains. Shingles that very many documents
+  hold (shared passages) are set apart first, as they make parts agree by chance: a set signs with
+  its other shingles, and only if too many of its parts are then empty also with all of them;
 * for smaller k, into (k + 1) / 2 parts of three second-level parts each: one first-level part
   differs in at most one element, so the sets share the content of two of its three second-level
   parts, and the three subsets of two are enumerated;
@@ -41,6 +43,8 @@ from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, m
 WIDTH = 5
 THRESHOLD = 80
 ENUMERATE_BELOW = 8
+#: Common shingles set apart: at most so many (a bounded broadcast), each in so many documents of a block of so many shingles.
+COMMON, COMMON_FROM, COMMON_BLOCK = 1_000_000, 6, 4_000_000
 #: Input bytes per hash bucket of signatures: large buckets name a document once for many of its signatures.
 BUCKET_BYTES = 16 << 20
 #: Ids that may be broadcast to pick the documents to verify; beyond it the join shuffles.
@@ -96,41 +100,96 @@ def bands(most: int, threshold: int = THRESHOLD) -> tuple[np.ndarray, np.ndarray
         low.append(high + 1)
 
 
-def signatures(value: np.ndarray, first: np.ndarray, threshold: int = THRESHOLD) -> tuple[np.ndarray, np.ndarray]:
+class Heavy:
+    """A fixed set of common shingles; any set keeps the join exact, a good one keeps chance candidates few."""
+
+    def __init__(self, values: np.ndarray):
+        self.values = np.sort(values)
+        self.bits = np.zeros(1 << 22, bool)
+        self.bits[(self.values & _U((1 << 22) - 1)).astype(np.int64)] = True
+
+    def mask(self, value: np.ndarray) -> np.ndarray:
+        out = self.bits[(value & _U((1 << 22) - 1)).astype(np.int64)]
+        at = np.flatnonzero(out)
+        out[at] = member(value[at], self.values)
+        return out
+
+
+NOTHING = Heavy(np.zeros(0, np.uint64))
+
+
+def signatures(value: np.ndarray, first: np.ndarray, threshold: int = THRESHOLD, heavy: Heavy = NOTHING) -> tuple[np.ndarray, np.ndarray]:
     """All signatures of all sets: (64-bit signature, set number)."""
     size = np.diff(first)
     low, ks = bands(int(size.max(initial=1)), threshold)
     band = np.searchsorted(low, size, "right") - 1
+    common = np.flatnonzero(heavy.mask(value))
+    spread, element = mix(value ^ _U(0x2545F4914F6CDD1D)) >> _U(32), mix(value ^ _U(0x1F123BB5159A55E5))
     out_sig, out_set = [], []
     for step in (0, 1):
         live = np.flatnonzero(size > 0)
         instance = band[live] + step
         k = ks[np.minimum(instance, len(ks) - 1)]
-        fine = (k > 0) & (k < ENUMERATE_BELOW)
-        parts = np.where(k == 0, 1, np.where(fine, 3 * ((k + 2) // 2), (k + 1) * 11 // 10 + 2))
+        fine, large = (k > 0) & (k < ENUMERATE_BELOW), k >= ENUMERATE_BELOW
+        parts = np.where(k == 0, 1, np.where(fine, 3 * ((k + 2) // 2), (k + 1) * 6 // 5 + 2))
         base = np.concatenate([[0], np.cumsum(parts)])
         which = np.zeros(len(size), np.int64)
         which[live] = np.arange(len(live))
         owner = which[np.repeat(np.arange(len(size)), size)]  # of each element, among the live
-        spread = mix(value ^ _U(0x2545F4914F6CDD1D)) >> _U(32)
         slot = base[owner] + ((spread * parts[owner].astype(np.uint64)) >> _U(32)).astype(np.int64)
-        content, count = wide_sum(slot, mix(value ^ _U(0x1F123BB5159A55E5)), base[-1]), np.bincount(slot, minlength=base[-1])
+        content, count = wide_sum(slot, element, base[-1]), np.bincount(slot, minlength=base[-1])
         of = np.repeat(np.arange(len(live)), parts)
         place = np.arange(base[-1]) - base[of]
+        tag = mix((instance[of].astype(np.uint64) << _U(40)) | place.astype(np.uint64))
+        # large k: first by the shingles that are not common
+        light = content - wide_sum(slot[common], element[common], base[-1])
+        light_count = count - np.bincount(slot[common], minlength=base[-1])
+        able = large & (np.bincount(of, light_count == 0, len(live)).astype(np.int64) < parts - k)
+        keep = large[of] & (light_count > 0)
+        out_sig.append(mix(light ^ mix(tag + _U(1)))[keep])
+        out_set.append(live[of[keep]])
         # second-level parts: what the other two of each three hold
-        three = fine[of]
-        if three.any():
-            at = np.flatnonzero(three)
-            content[at] = np.repeat(content[at].reshape(-1, 3).sum(1, dtype=np.uint64), 3) - content[at]
-            count[at] = np.repeat(count[at].reshape(-1, 3).sum(1), 3) - count[at]
+        at = np.flatnonzero(fine[of])
+        content[at] = np.repeat(content[at].reshape(-1, 3).sum(1, dtype=np.uint64), 3) - content[at]
         empty = np.bincount(of, count == 0, len(live)).astype(np.int64)
-        keep = (count > 0) | fine[of] | (empty >= parts - k)[of]
-        tag = mix((instance[of].astype(np.uint64) << _U(40)) | place.astype(np.uint64))
+        keep = ~able[of] & ((count > 0) | fine[of] | (empty >= parts - k)[of])
         out_sig.append(mix(content ^ tag)[keep])
         out_set.append(live[of[keep]])
     return np.concatenate(out_sig), np.concatenate(out_set)
 
 
+def common_shingles(docs: DataFrame, width: int = WIDTH) -> Heavy:
+    """Shingles that COMMON_FROM documents of some block of COMMON_BLOCK shingles hold, the most frequent COMMON of them.
+
+    The bound is on the helper set only: whatever it holds, every link is found.
+    """
+
+    def run(batches):
+        kept, room = [], 0
+
+        def flush():
+            value, n = np.unique(np.concatenate(kept), return_counts=True)
+            often = n >= COMMON_FROM
+            return pa.RecordBatch.from_arrays([pa.array(value[often].view(np.int64)), pa.array(n[often])], ["value", "n"])
+
+        for batch in batches:
+            for _, value, _ in shingle_sets(batch.column("text"), width):
+                kept.append(value)
+                room += len(value)
+                if room > COMMON_BLOCK:
+                    yield flush()
+                    kept, room = [], 0
+        if kept:
+            yield flush()
+
+    counts = written(docs.select("text").mapInArrow(run, "value long, n long").groupBy("value").agg(F.sum("n").alias("n")))
+    found = counts.count()
+    if found > COMMON:
+        floor = counts.agg(F.percentile_approx("n", 1 - 0.9 * COMMON / found, 10_000)).first()[0]
+        counts = counts.where(F.col("n") > floor).limit(COMMON)
+    return Heavy(counts.select("value").toArrow().column("value").to_numpy().astype(np.int64).view(np.uint64))
+
+
 def shingle_classes(docs: DataFrame) -> DataFrame:
     """docs(doc_id, text) -> (doc_id, n_shingles, class)."""
 
@@ -145,21 +204,24 @@ def shingle_classes(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, class long")
 
 
-def signature_groups(docs: DataFrame, bits: int) -> DataFrame:
+def signature_groups(docs: DataFrame, bits: int, threshold: int, heavy: Heavy) -> DataFrame:
     """docs(text) -> distinct (grp long, class long): classes that share a signature, groups of two or more.
 
     Signatures travel packed: per task slice and hash bucket 32 more bits of each and the number of
     its class in a small list, equal sets of a slice once.
     """
 
+    shared = docs.sparkSession.sparkContext.broadcast(heavy.values)
+
     def ask(batches):
+        heavy = Heavy(shared.value)
         for batch in batches:
             for _, value, first in shingle_sets(batch.column("text")):
                 name = set_class(value, first)
                 names, lead = np.unique(name, return_index=True)
                 keep = np.zeros(len(name), bool)
                 keep[lead] = True
-                sig, which = signatures(value, first)
+                sig, which = signatures(value, first, threshold, heavy)
                 mine = keep[which]
                 sig, which = sig[mine], np.searchsorted(names, name[which[mine]]).astype(np.uint32)
                 order = np.argsort(sig)
@@ -305,7 +367,7 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     nodes = written(shingle_classes(docs))
     # one document stands for each class of equal sets
     classes = nodes.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("class").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"))
-    groups = written(signature_groups(docs, bits).join(classes, "class").select("grp", "rep", "n"))
+    groups = written(signature_groups(docs, bits, threshold, common_shingles(docs)).join(classes, "class").select("grp", "rep", "n"))
     needed = written(groups.select(F.col("rep").alias("doc_id")).distinct())
     few = needed.count() <= BROADCAST_IDS
     texts = written(docs.join(F.broadcast(needed) if few else needed, "doc_id", "left_semi").dropDuplicates(["doc_id"]).withColumn("chunk", chunk_of("doc_id", chunks)))

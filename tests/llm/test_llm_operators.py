@@ -423,8 +423,10 @@ def test_similar_sets_share_a_signature():
             if 100 * i < 80 * (len(a) + len(b) - i):
                 continue
             value = np.concatenate([np.sort(a), np.sort(b)])
-            sig, which = jaccard.signatures(value, np.array([0, len(a), len(a) + len(b)]))
-            assert set(sig[which == 0].tolist()) & set(sig[which == 1].tolist())
+            for part in (0.0, 0.1, 0.4, 0.9):
+                heavy = jaccard.Heavy(value[rng.random(len(value)) < part])
+                sig, which = jaccard.signatures(value, np.array([0, len(a), len(a) + len(b)]), 80, heavy)
+                assert set(sig[which == 0].tolist()) & set(sig[which == 1].tolist())
 
 
 def test_sketches_never_exceed_the_difference():
