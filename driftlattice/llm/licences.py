@@ -1,6 +1,6 @@
 """Licence scans by a trained paragraph classifier (native: DataFrame functions only on the data).
 
-A paragraph is a line that holds one of a few cue stems. Sparse word uni- and bigrams feed a
+A paragraph is a line that holds a cue: a stem of the notices below, or a family's name or id. Sparse word uni- and bigrams feed a
 softmax regression over licence families and an unknown class; it is fitted on the driver to the
 notices below (a fixed, bounded set), its temperature is calibrated on left-out notices, and its
 weights go into the plan as a literal map. A predicted family is confirmed by comparing the
@@ -22,7 +22,11 @@ from pyspark.sql import functions as F
 
 SURE = 0.5
 CONFIRM = 0.6
-CUE = r"(?i)licen[cs]|copyright|copyleft|public domain|warrant|permission|redistribut|creative commons|cc by|cc0|spdx|gnu "
+#: Every notice below passes, hyphenated or not and in any case; bare MIT and ISC only in capitals, as "mit" is a common German word.
+CUE = (
+    r"(?i:licen[cs]|copyright|copyleft|public\s+domain|warrant|permission|redistribut|creative\s+commons|cc[\s-]*by|cc0|spdx|gnu\s|gpl|apache|mozilla|\bmpl|\bbsd|expat|internet\s+systems\s+consortium"
+    r"|(?:released|distributed)\s+under|under\s+(?:the\s+)?(?:mit|isc)\b)|\b(?:MIT|ISC)\b"
+)
 
 #: Names of the families as notices use them. Fixed values.
 NAMES = {

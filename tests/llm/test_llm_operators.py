@@ -504,6 +504,16 @@ def test_licences_are_recognised_and_confirmed(spark, empty):
     assert licences.classified(empty).count() == 0
 
 
+def test_every_notice_passes_the_cue(spark):
+    texts = sorted({t for _, t in licences.notices()})
+    assert all(re.search(licences.CUE, x) for t in texts for x in (t, t.lower(), t.replace(" ", "\n")))
+    assert not re.search(licences.CUE, "er kam mit dem Zug")
+    lines = {"Released under the GPLv3.": "GPL-3.0", "Released under the MIT.": "MIT", "Distributed under the terms of the Apache-2.0.": "Apache-2.0", "You may use this file under the MPL-2.0.": "MPL-2.0", "Released under the CC-BY-4.0.": "CC-BY-4.0"}
+    df = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")
+    got = {r.doc_id: [(x.family, x.confirmed) for x in r.found] for r in licences.classified(df).collect()}
+    assert got == {k: [(family, True)] for k, family in enumerate(lines.values())}
+
+
 # ---------------------------------------------------------------- 10
 
 
