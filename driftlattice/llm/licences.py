@@ -1,7 +1,11 @@
 """Licence scans by a trained paragraph classifier (native: DataFrame functions only on the data).
 
-A paragraph is a line that holds a cue: a stem of the notices below, or a family's name or id. Sparse word uni- and bigrams feed a
-softmax regression over licence families and an unknown class; it is fitted on the driver to the
+A paragraph is a run of lines with an ASCII letter or digit that holds a cue: a stem of the notices below,
+or a family's name or id. Lines are joined, so wrapped notices count: every line, every two lines
+and every stretch of REACH words beyond its first line is a passage, and the paragraph gets an entry
+for each family that a passage confirms, or one for its likeliest passage when none does. Sparse
+word uni- and bigrams feed a softmax regression over licence families and an unknown class; it is
+fitted on the driver to the
 notices below (a fixed, bounded set), its temperature is calibrated on left-out notices, and its
 weights go into the plan as a literal map. A predicted family is confirmed by comparing the
 paragraph with that family's notices: a part of CONFIRM of some notice's bigrams must occur.
@@ -22,6 +26,8 @@ from pyspark.sql import functions as F
 
 SURE = 0.5
 CONFIRM = 0.6
+#: Words of a stretch beyond its first line; no notice below is longer.
+REACH = 40
 #: Every notice below passes, hyphenated or not and in any case; bare MIT and ISC only in capitals, as "mit" is a common German word.
 CUE = (
     r"(?i:licen[cs]|copyright|copyleft|public\s+domain|warrant|permission|redistribut|creative\s+commons|cc[\s-]*by|cc0|spdx|gnu\s|gpl|apache|mozilla|\bmpl|\bbsd|expat|internet\s+systems\s+consortium"
@@ -136,30 +142,72 @@ def paragraph_grams(line: Column) -> Column:
     return F.array_distinct(F.concat(words, pairs))
 
 
+def let(value: Column, fn) -> Column:
+    """fn(value) with the value computed once, where a lambda below would compute it for each element."""
+    return F.element_at(F.transform(F.array(value), fn), 1)
+
+
+def paragraphs(text: Column) -> Column:
+    """array<struct<line, rows array<struct<t, n>>>> of the runs of lines with a word that hold a cue; n: words of a row."""
+
+    def rows_of(lines):
+        return F.transform(lines, lambda t: F.struct(t.alias("t"), F.size(F.regexp_extract_all(t, F.lit("[A-Za-z0-9]+"), F.lit(0))).alias("n")))
+
+    def starts_of(rows):
+        return F.filter(F.transform(rows, lambda x, i: F.struct(i.alias("i"), ((x["n"] > 0) != ((i > 0) & (F.get(rows, i - 1)["n"] > 0))).alias("border"))), lambda x: x["border"])
+
+    def cut(rows):
+        # borders alternate: a run begins, a run ends
+        return let(starts_of(rows), lambda at: F.filter(
+            F.transform(F.filter(F.transform(at, lambda x, j: F.struct(x["i"].alias("a"), F.coalesce(F.get(at, j + 1)["i"], F.size(rows)).alias("b"), j.alias("j"))), lambda x: x["j"] % 2 == 0),
+                        lambda x: F.struct(x["a"].alias("line"), F.slice(rows, x["a"] + 1, x["b"] - x["a"]).alias("rows"))),
+            lambda x: F.rlike(F.array_join(F.transform(x["rows"], lambda r: r["t"]), "\n"), F.lit(CUE)),
+        ))
+
+    return let(rows_of(F.split(text, "\n")), cut)
+
+
+def passages(paragraph: Column) -> Column:
+    """array<struct<line, stop, t>>: lines, pairs of lines and stretches of a paragraph that hold a cue."""
+    rows, line = paragraph["rows"], paragraph["line"]
+    start = F.struct(F.lit(0).alias("n"), F.array().cast("array<string>").alias("ts"))
+
+    def stretch(i):
+        # each row has a word, so REACH more rows always do
+        step = lambda s, r: F.when(s["n"] >= REACH, s).otherwise(F.struct((s["n"] + r["n"]).alias("n"), F.concat(s["ts"], F.array(r["t"])).alias("ts")))
+        return F.aggregate(F.slice(rows, i + 2, REACH), start, step, lambda s: F.concat(F.array(F.get(rows, i)["t"]), s["ts"]))
+
+    def at(i):
+        one, two = (F.transform(F.slice(rows, i + 1, n), lambda r: r["t"]) for n in (1, 2))
+        return F.transform(F.array_distinct(F.array(one, two, stretch(i))), lambda ts: F.struct((line + i).alias("line"), (line + i + F.size(ts)).alias("stop"), F.array_join(ts, "\n").alias("t")))
+
+    return F.filter(F.flatten(F.transform(F.sequence(F.lit(0), F.size(rows) - 1), at)), lambda x: F.rlike(x["t"], F.lit(CUE)))
+
+
 def classified(docs: DataFrame, keep=("doc_id",)) -> DataFrame:
-    """docs(text, *keep) -> (*keep, found array<struct<line, family, chance, part, confirmed>>), one entry per cue paragraph."""
+    """docs(text, *keep) -> (*keep, found array<struct<line, stop, family, chance, part, confirmed>>), entries of the cue paragraphs in order."""
     m = model()
     k = len(m["classes"])
     known = [(g, w) for g, w in sorted(m["weights"].items()) if g]
     table = F.map_from_arrays(F.array(*[F.lit(g) for g, _ in known]), F.array(*[F.array(*[F.lit(float(x)) for x in w]) for _, w in known]))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    lines = F.when(F.rlike(text, F.lit(CUE)), F.filter(F.transform(F.split(text, "\n"), lambda line, i: F.struct(i.alias("line"), line.alias("t"))), lambda x: F.rlike(x["t"], F.lit(CUE)))).otherwise(F.array().cast("array<struct<line:int,t:string>>"))
-    rows = docs.select(*keep, lines.alias("lines"))
-    # only lines with a cue get here; the rest of the plan is over them alone
+    found = F.when(F.rlike(text, F.lit(CUE)), F.transform(paragraphs(text), passages)).otherwise(F.array().cast("array<array<struct<line:int,stop:int,t:string>>>"))
+    rows = docs.select(*keep, found.alias("found"))
+    # only passages with a cue get here; the rest of the plan is over them alone
     zero = F.array(*[F.lit(float(x)) for x in m["weights"].get("", [0.0] * k)])
     vocabulary = F.array(*[F.lit(g) for g, _ in known])
 
     def score(x):
         grams = F.array_intersect(paragraph_grams(x["t"]), vocabulary)
         odds = F.transform(F.aggregate(grams, zero, lambda s, g: F.zip_with(s, F.element_at(table, g), lambda a, b: a + b)), lambda o: o / m["heat"])
-        return F.struct(x["line"].alias("line"), odds.alias("odds"), paragraph_grams(x["t"]).alias("grams"))
+        return F.struct(x["line"].alias("line"), x["stop"].alias("stop"), odds.alias("odds"), paragraph_grams(x["t"]).alias("grams"))
 
     def decide(x):
         top = F.array_max(x["odds"])
         best = F.array_position(x["odds"], top)
         chance = 1 / F.aggregate(F.transform(x["odds"], lambda o: F.exp(o - top)), F.lit(0.0), lambda s, e: s + e)
         family = F.element_at(F.array(*[F.lit(c) for c in m["classes"]]), best.cast("int"))
-        return F.struct(x["line"].alias("line"), F.when(chance >= SURE, family).otherwise("unknown").alias("family"), chance.alias("chance"), x["grams"].alias("grams"))
+        return F.struct(x["line"].alias("line"), x["stop"].alias("stop"), F.when(chance >= SURE, family).otherwise("unknown").alias("family"), chance.alias("chance"), x["grams"].alias("grams"))
 
     def confirm(x):
         part = F.lit(0.0)
@@ -167,9 +215,26 @@ def classified(docs: DataFrame, keep=("doc_id",)) -> DataFrame:
             sets = [[g for g in grams_of(t) if " " in g] for t in (*[f.format(n) for n in NAMES[family] for f in FRAMES[:4]], *PASSAGES.get(family, ()))]
             shares = F.array_max(F.transform(F.array(*[F.array(*[F.lit(g) for g in s]) for s in sets]), lambda s: F.size(F.array_intersect(s, x["grams"])) / F.size(s)))
             part = F.when(x["family"] == family, shares).otherwise(part)
-        return F.struct(x["line"].alias("line"), x["family"].alias("family"), x["chance"].alias("chance"), part.alias("part"), ((x["family"] != "unknown") & (part >= CONFIRM)).alias("confirmed"))
+        return F.struct(x["line"].alias("line"), x["stop"].alias("stop"), x["family"].alias("family"), x["chance"].alias("chance"), part.alias("part"), ((x["family"] != "unknown") & (part >= CONFIRM)).alias("confirmed"))
+
+    def entries(ps):
+        """Each confirmed family's best passage, or the likeliest known (else any) passage of the paragraph."""
+        order = lambda *by: lambda a, b: F.coalesce(*[F.when(f(a) < f(b), -1).when(f(a) > f(b), 1) for f in by], F.lit(0))
+        likely = F.array_sort(ps, order(lambda x: (x["family"] == "unknown").cast("int"), lambda x: -x["chance"], lambda x: x["line"]))
+        whole = order(lambda x: -x["part"], lambda x: x["stop"] - x["line"], lambda x: x["line"])
+
+        def best(firm):
+            families = F.array_distinct(F.transform(firm, lambda x: x["family"]))
+            return F.transform(families, lambda f: F.element_at(F.filter(firm, lambda x: x["family"] == f), 1))
+
+        def settled(firm):
+            # part of a notice may look like another family's; the family whose notice is held better has these lines
+            return let(best(firm), lambda tops: best(F.filter(firm, lambda x: ~F.exists(tops, lambda y: (y["family"] != x["family"]) & (y["part"] > x["part"]) & (y["line"] < x["stop"]) & (x["line"] < y["stop"])))))
+
+        out = let(F.array_sort(F.filter(ps, lambda x: x["confirmed"]), whole), settled)
+        return let(out, lambda found: F.when(F.size(found) > 0, found).otherwise(F.slice(likely, 1, 1)))
 
-    return rows.select(*keep, F.transform(F.transform(F.transform("lines", score), decide), confirm).alias("found"))
+    return rows.select(*keep, F.flatten(F.transform(F.transform("found", lambda ps: F.transform(F.transform(F.transform(ps, score), decide), confirm)), entries)).alias("found"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -514,6 +514,24 @@ def test_every_notice_passes_the_cue(spark):
     assert got == {k: [(family, True)] for k, family in enumerate(lines.values())}
 
 
+def test_wrapped_licences_are_confirmed(spark):
+    import textwrap
+
+    want, rows = {}, []
+    for family, (passage, *_) in licences.PASSAGES.items():
+        assert len(passage.split()) <= licences.REACH
+        for width in (75, 40):
+            for lead in ("", " * ", "# "):
+                body = "\n".join(lead + line for line in textwrap.wrap(passage, width))
+                rows += [body, f"Copyright 2020 the authors.\n\n{body}\n\nAnd more."]
+                want[len(rows) - 2] = want[len(rows) - 1] = family
+    rows += ["Released under the\nMIT License.", "Licensed under the MIT License.\nLicensed under the Apache License, Version 2.0.", "one\n\nA fishing licence\nis needed in this river.\n \ntwo"]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string").repartition(4)
+    got = {r.doc_id: {x.family for x in r.found if x.confirmed} for r in licences.classified(df).collect()}
+    assert {k: got[k] for k in want} == {k: {f} for k, f in want.items()}
+    assert [got[k] for k in range(len(want), len(rows))] == [{"MIT"}, {"MIT", "Apache-2.0"}, set()]
+
+
 # ---------------------------------------------------------------- 10
 
 
