@@ -27,10 +27,10 @@ from pyspark.sql import functions as F
 
 from driftlattice.llm.shared import TOKEN_BYTE, Hasher, member, mix, row_slices, spans, text_buffer
 
-#: Positions looked at (1) and ignored (0); fixed values. Every position is ignored by some mask: any window of 12 words with one
-#: substitution, and most with two, keeps a seed.
-MASKS = ("110110111011", "111011010111", "101101110110", "011101101101")
-SPAN = 12
+#: Positions looked at (1) and ignored (0); fixed values, a mask reaches from its first to its last 1. Each accepted run begins with one of the 143
+#: placements of ten equal words and up to four substitutions whose scores stay positive, and each of those holds a seed of some mask.
+MASKS = ("00011101101", "11110001100", "11101100100", "11110101000")
+SPAN = 11
 MIN_WORDS = 10
 SHORTEST = 5
 MISS = 2
@@ -64,10 +64,10 @@ def build_index(ids: list[int], texts: list[str]) -> dict:
     sizes = np.diff(first)
     tables = []
     for length in sorted({int(min(n, SPAN)) for n in sizes if n >= SHORTEST}):
-        for mask in MASKS if length == SPAN else ("1" * length,):
+        for mask in [m.strip("0") for m in MASKS] if length == SPAN else ("1" * length,):
             value = seeds(words, mask)
             item = np.searchsorted(first, np.arange(len(value)), "right") - 1
-            fits = np.arange(len(value)) + length <= first[item + 1]
+            fits = np.arange(len(value)) + len(mask) <= first[item + 1]
             fits &= sizes[item] >= SPAN if length == SPAN else sizes[item] == length
             at = np.flatnonzero(fits)
             order = np.argsort(value[at], kind="stable")

@@ -2,6 +2,7 @@
 
 import hashlib
 import math
+import itertools
 import random
 import re
 import zlib
@@ -540,6 +541,26 @@ def test_masks_leave_each_position_out_once():
     assert all(any(m[k] == "0" for m in decontaminate.MASKS) for k in range(decontaminate.SPAN))
 
 
+def test_every_accepted_run_keeps_a_seed():
+    """All placements of two to four substitutions in items of 12 to 20 words, and exact runs of ten words."""
+    for size in (10, 11, *range(12, 21)):
+        item = [f"w{k}" for k in range(size)]
+        index = decontaminate.build_index([1], [" ".join(item)])
+        texts = []
+        for n in range(5):
+            for gone in itertools.combinations(range(size), n):
+                same = np.array([k not in gone for k in range(size)])
+                if decontaminate.best_run(same) >= decontaminate.MIN_WORDS:
+                    texts.append(" ".join(["x", "y", *(w if s else "other" for w, s in zip(item, same)), "z"]))
+        words, first = decontaminate.word_hashes(pa.array(texts, pa.string()))
+        got = decontaminate.matches(index, words, first)
+        assert all(got.get((t, 0), (0, 0))[1] >= decontaminate.MIN_WORDS for t in range(len(texts))), size
+    item = [f"w{k}" for k in range(40)]
+    index = decontaminate.build_index([1], [" ".join(item)])
+    words, first = decontaminate.word_hashes(pa.array([" ".join(["x"] * 5 + item[k : k + 10] + ["y"] * 5) for k in range(31)], pa.string()))
+    assert all(decontaminate.matches(index, words, first)[t, 0][1] == 10 for t in range(31))
+
+
 def test_contamination_tolerates_substitutions(spark, docs, empty):
     rng = random.Random(12)
     words = ["".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(900)]
