@@ -8,7 +8,8 @@ entity, a term t discloses entity e by
 
 the share of e's information content that seeing t reveals (1: t occurs beside e only). n(t, e)
 and n(e) count distinct contexts, so copies of a document are no evidence; n(t) counts all
-occurrences in the whole corpus and N all its words. Pairs seen in fewer than SUPPORT contexts say
+occurrences in the whole corpus as words of their own, at least those beside entities, and N all its
+words. Pairs seen in fewer than SUPPORT contexts say
 nothing. Terms at REMOVE or more are removed, from GENERALISE on replaced by their kind of word.
 
 Spans are found without user code: matches are wrapped in a control character that no pattern
@@ -135,10 +136,12 @@ def revealing_terms(docs: DataFrame, contexts: DataFrame, support: int = SUPPORT
     entity = contexts.select("entity", "context").distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
     both = written(seen.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te")).where(F.col("n_te") >= support))
     counts, total = corpus_counts(docs, both)
-    scored = both.join(entity, "entity").join(counts, "term")
+    # a term that occurs only inside longer tokens has no count there; it counts at least once for each occurrence beside entities
+    beside = contexts.select("text_key", "term", "start").distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_beside"))
+    scored = both.join(entity, "entity").join(beside, "term").join(counts, "term", "left")
     everything = float(max(total, 2))
     # contexts are deduplicated and occurrences are not: the count of a term is at least its contexts
-    n_t = F.greatest("n", "n_te")
+    n_t = F.greatest("n", "n_beside", "n_te")
     pmi = F.log2(F.col("n_te") * everything / (n_t * F.col("n_e")))
     share = pmi / F.greatest(F.log2(everything / F.col("n_e")), F.lit(1e-9))
     return scored.withColumn("disclosure", share).where(F.col("disclosure") >= floor).select("entity", "term", "disclosure", F.when(F.col("disclosure") >= remove, "remove").otherwise("generalise").alias("action"))

@@ -264,6 +264,13 @@ def test_revealing_terms_are_found_and_masked(spark):
         assert ("Zorbinski" in r.clean, "[EMAIL]" in r.clean) == (False, r.doc_id < 4)
 
 
+def test_terms_glued_into_tokens_are_found(spark):
+    rows = [(i, f"{'wort haus baum ' * 20}v{i} name:zorbinski,mail:zor@site.org;w{'abcdef'[i]}xyz") for i in range(6)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for r in private_terms.with_spans(df).select("terms").collect():
+        assert "remove:zorbinski" in {x.value for x in r.terms}
+
+
 def test_private_terms_on_odd_rows(spark, docs, empty):
     df, rows = docs
     assert private_terms.with_spans(df).count() == len(rows)
