@@ -12,9 +12,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a folder of our own where that is unset.
+    """The folder all executors share: spark.checkpoint.dir, or a folder of our own where that is unset and Spark itself runs on one machine.
 
-    A machine-local folder is only taken when Spark itself runs on one machine.
+    On a cluster without that setting this raises: any folder that we could make up is local to a machine.
     """
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if named:
@@ -24,7 +24,7 @@ def shared_folder(spark: SparkSession) -> str:
         atexit.register(shutil.rmtree, folder, True)
         spark.sparkContext.setCheckpointDir(f"file://{folder}")
         return f"file://{folder}"
-    return f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/checkpoints"
+    raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
 
 
 def written(df: DataFrame, partition: str | None = None) -> DataFrame:
@@ -35,7 +35,18 @@ def written(df: DataFrame, partition: str | None = None) -> DataFrame:
     (writer.partitionBy(partition) if partition else writer).parquet(path)
     gc.collect()
     spark.sparkContext._jvm.System.gc()  # lets Spark's cleaner drop the shuffle files of what is now written
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.ledger_path = path
+    return out
+
+
+def dropped(table: DataFrame) -> None:
+    """Deletes a written table that nothing will read again, and the shuffle files of finished queries."""
+    spark, jvm = table.sparkSession, table.sparkSession.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(table.ledger_path)
+    path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+    gc.collect()
+    jvm.System.gc()
 
 
 def write_batch(df: DataFrame, path: str) -> None:
@@ -43,12 +54,23 @@ def write_batch(df: DataFrame, path: str) -> None:
     df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch_id").parquet(path)
 
 
-_KEPT: dict[tuple[str, str, str], DataFrame] = {}
+_KEPT: dict[tuple, DataFrame] = {}
+
+
+def folder_state(spark: SparkSession, folder: str) -> int:
+    """A digest of the names, sizes and times of what lies in a folder and one level below."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+    found = []
+    for one in fs.listStatus(path):
+        inner = fs.listStatus(one.getPath()) if one.isDirectory() else [one]
+        found += [(x.getPath().toString(), x.getLen(), x.getModificationTime()) for x in inner]
+    return hash(tuple(sorted(found)))
 
 
 def once(spark: SparkSession, sf_dir: str, name: str, build) -> DataFrame:
-    """A ledger table, computed once per Spark application and input folder, then read from Parquet."""
-    key = (spark.sparkContext.applicationId, sf_dir, name)
+    """A ledger table, computed once per Spark application and state of the input folder, then read from Parquet."""
+    key = (spark.sparkContext.applicationId, sf_dir, folder_state(spark, sf_dir), name)
     if key not in _KEPT:
         _KEPT[key] = written(build())
     return _KEPT[key]
