@@ -15,7 +15,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from driftlattice.sources.ledger import written
+from driftlattice.sources.ledger import dropped, written  # noqa: F401
 
 #: Text bytes handled at once by the numpy kernels; a longer single text is still handled whole.
 SLICE_BYTES = 2 << 20

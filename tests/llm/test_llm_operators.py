@@ -218,6 +218,58 @@ def test_weighting_equals_the_recursion():
         assert got[byte][1] == pytest.approx(want)
 
 
+def slow_scores(learned, texts, depth):
+    """log10 chance of each text under the weighted tree, from counts in dictionaries and the mixture's recursion."""
+    code = lambda t: b"".join(low(w).encode() + b" " for w in WORD.findall(t or "")) + b"\n"
+    n = Counter()
+    for t in learned:
+        s = b"\n" * depth + code(t)
+        for i in range(depth, len(s)):
+            for k in range(8):
+                for d in range(depth + 1):
+                    n[s[i - d : i], (s[i] | 256) >> (8 - k), (s[i] >> (7 - k)) & 1] += 1
+    inner = {}
+    for c, node, _ in n:
+        if c:
+            inner.setdefault((c[1:], node), set()).add((c, node))
+
+    def kt(c, node):
+        a, b = n[c, node, 0], n[c, node, 1]
+        return math.lgamma(a + 0.5) + math.lgamma(b + 0.5) - math.lgamma(a + b + 1) - math.log(math.pi)
+
+    known = {}
+
+    def weigh(c, node):
+        if (c, node) not in known:
+            known[c, node] = kt(c, node) if len(c) == depth else np.logaddexp(kt(c, node), sum(weigh(*x) for x in inner.get((c, node), ()))) - math.log(2)
+        return known[c, node]
+
+    def chance(s, i, k, d):
+        c, node, bit = s[i - d : i], (s[i] | 256) >> (8 - k), (s[i] >> (7 - k)) & 1
+        p = (n[c, node, bit] + 0.5) / (n[c, node, 0] + n[c, node, 1] + 1)
+        if d == depth:
+            return p
+        own = math.exp(kt(c, node) - math.log(2) - weigh(c, node))
+        return own * p + (1 - own) * chance(s, i, k, d + 1)
+
+    out = []
+    for t in texts:
+        s = b"\n" * depth + code(t)
+        out.append(sum(math.log10(chance(s, i, k, 0)) for i in range(depth, len(s)) for k in range(8)))
+    return out
+
+
+def test_scores_of_whole_texts_equal_the_slow_model(spark, docs):
+    _, rows = docs
+    some = [(i, (t or "")[:300] if t else t) for i, t, *_ in rows[:30] + rows[-12:] if t != LONG]
+    df = spark.createDataFrame(some, "doc_id long, text string").withColumn("score", F.lit("clash")).withColumn("chunk", F.lit("clash"))
+    got = sorted((str(r.doc_id), r.score) for r in context_tree.score(df, context_tree.fold() == context_tree.HELD).collect())
+    learned = [t for i, t in some if zlib.crc32(str("" if i is None else i).encode()) % 5 != 1]
+    want = sorted(zip((str(i) for i, _ in some), slow_scores(learned, [t for _, t in some], context_tree.DEPTH)))
+    assert [g[0] for g in got] == [w[0] for w in want]
+    assert [g[1] for g in got] == pytest.approx([w[1] for w in want], rel=1e-5)
+
+
 # ---------------------------------------------------------------- 3
 
 PATTERNS = [("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"), ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"), ("card", r"[0-9]([\x20-]?[0-9])+"), ("phone", r"\+[0-9][\x20().0-9-]+[0-9]")]
