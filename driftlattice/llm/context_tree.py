@@ -38,7 +38,7 @@ DEPTH = 5
 #: Grams are dealt by their nearest TOP context bytes.
 TOP = 3
 #: Input bytes per chunk of documents (two chunks each) and per hash bucket of grams and words.
-CHUNK_BYTES, BUCKET_BYTES = 16 << 20, 8 << 20
+CHUNK_BYTES, BUCKET_BYTES = 8 << 20, 8 << 20
 FOLDS, HELD = 5, 1
 SPACE, END = 0x20, 0x0A
 
@@ -355,14 +355,16 @@ def score(docs: DataFrame, held, depth: int = DEPTH) -> DataFrame:
         got = sorted(zip(reply.column("bucket").to_pylist(), reply.column("reply").to_pylist()))
         counts = np.concatenate([np.zeros(0, np.int64), *[np.frombuffer(x, np.int64) for k, x in got if k < 1 << bits]])
         logp = np.concatenate([np.frombuffer(x, np.float32) for k, x in got if k >= 1 << bits])
-        parts = list(chunk_words(group, depth))
-        key = np.unique(np.concatenate([p[5] for p in parts]) >> np.uint64(1))
-        values = [grams(stream, depth)[scored_places(text_at, stop, depth)] for _, _, stream, text_at, stop, _, _ in parts]
+        parts, values = [], []
+        for a, b, stream, text_at, stop, words, first in chunk_words(group, depth):
+            parts.append((a, b, text_at, stop, words, first))
+            values.append(grams(stream, depth)[scored_places(text_at, stop, depth)])
+        key = np.unique(np.concatenate([p[4] for p in parts]) >> np.uint64(1))
         gram, _ = summed(*zip(*(np.unique(v, return_counts=True) for v in values)))
         table = GramTable(gram[by_bucket(gram, bits, depth)[0]], logp)
         n_tokens, n_known, n_bytes = (np.zeros(m, np.int64) for _ in range(3))
         base, model = np.zeros(m), np.zeros(m)
-        for (a, b, _, text_at, stop, words, first), value in zip(parts, values):
+        for (a, b, text_at, stop, words, first), value in zip(parts, values):
             c = counts[np.searchsorted(key, words >> np.uint64(1))] if len(words) else np.zeros(0, np.int64)
             text = np.repeat(np.arange(b - a), np.diff(first))
             n_tokens[a:b] = np.diff(first) + 1
