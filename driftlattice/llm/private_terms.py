@@ -7,19 +7,20 @@ entity, a term t discloses entity e by
     pmi(t, e) / ic(e) = log2(n(t, e) * N / (n(t) * n(e))) / log2(N / n(e)),
 
 the share of e's information content that seeing t reveals (1: t occurs beside e only). n(t, e)
-and n(e) count distinct contexts, so copies of a document are no evidence; n(t) counts all
-occurrences in the whole corpus as words of their own, at least those beside entities, and N all its
-words. Pairs seen in fewer than SUPPORT contexts say
-nothing. Terms at REMOVE or more are removed, from GENERALISE on replaced by their kind of word.
+and n(e) count distinct contexts, so copies of a document are no evidence; n(t) counts all places
+of t in the whole corpus, glued into longer tokens or not, and N the places of all words. Pairs seen in fewer than SUPPORT contexts say nothing. Terms at REMOVE or more for some
+entity are removed, from GENERALISE on replaced by their kind of word: at every place of every text
+where they stand as words, beside an entity or not.
 
 Spans are found without user code: matches are wrapped in a control character that no pattern
-knows, the text is split there, and running lengths give code point positions. Patterns are
-written so that no start is tried twice within a run of characters, which keeps very long words
-linear.
+knows, the text is split there, and running lengths give code point positions, in blocks of BLOCK
+pieces, so that texts with very many matches take no quadratic time. Patterns are written so that no
+start is tried twice within a run of characters, which keeps very long words linear.
 
 Defined cases: null and empty texts have no spans; kinds may overlap and are listed each; equal
 starts keep the kinds' order (email, ip, card, phone, term); repeated rows and ids give a row each;
-null ids are kept; an empty table gives an empty result.
+null ids are kept; an empty table gives an empty result; other columns are kept by stage() whatever
+their names, and with_spans() refuses to name its two columns like one of the table.
 """
 
 from __future__ import annotations
@@ -27,13 +28,17 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import word_count, written
+from driftlattice.llm.shared import field, fresh, let, written
 
 KINDS = ("email", "ip", "card", "phone", "term")
 NEAR = 4
 REACH = 80
 SUPPORT = 2
 GENERALISE, REMOVE = 0.75, 0.9
+#: Terms, and spans of terms, that may be broadcast; their number is checked, and beyond it joins shuffle.
+BROADCAST_TERMS, BROADCAST_SPANS = 200_000, 1_000_000
+#: Pieces of a text whose places are summed up at once (even: matches are every other piece).
+BLOCK = 64
 
 _LOCAL = "A-Za-z0-9._%+-"
 #: Pattern, cheap test that must hold for any match. The fixed grammar of the four kinds.
@@ -46,19 +51,32 @@ PATTERNS = {
 TERM = r"(?<![\p{L}\p{N}@._%+-])\p{L}{3,40}+(?![\p{L}\p{N}@_%+])"
 
 
+_FOUND = "array<struct<start:int,end:int,value:string>>"
+_SPANS = "array<struct<start:int,rank:int,kind:string,end:int,value:string>>"
+
+
 def located(text: Column, pattern: str) -> Column:
     """array<struct<start, end, value>> of all matches, leftmost and non-overlapping, in code points."""
-    pieces = F.split(F.regexp_replace(F.translate(text, "\u0001", "\u0002"), pattern, "\u0001$0\u0001"), "\u0001")
-    start = F.struct(F.lit(0).alias("at"), F.lit(0).alias("n"), F.array().cast("array<struct<start:int,end:int,value:string>>").alias("found"))
 
-    def step(s, piece):
-        end = s["at"] + F.length(piece)
-        return F.struct(
-            end.alias("at"), (s["n"] + 1).alias("n"),
-            F.when(s["n"] % 2 == 1, F.concat(s["found"], F.array(F.struct(s["at"].alias("start"), end.alias("end"), piece.alias("value"))))).otherwise(s["found"]).alias("found"),
-        )
+    def places(pieces, at):
+        def step(s, piece):
+            end = s["at"] + F.length(piece)
+            return F.struct(
+                end.alias("at"), (s["n"] + 1).alias("n"),
+                F.when(s["n"] % 2 == 1, F.concat(s["found"], F.array(F.struct(s["at"].alias("start"), end.alias("end"), piece.alias("value"))))).otherwise(s["found"]).alias("found"),
+            )
+
+        return F.aggregate(pieces, F.struct(at.cast("int").alias("at"), F.lit(0).alias("n"), F.array().cast(_FOUND).alias("found")), step, lambda s: s["found"])
+
+    def in_blocks(pieces):
+        blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(pieces) - 1) / BLOCK).cast("int")), lambda i: F.slice(pieces, i * BLOCK + 1, BLOCK))
+        width = lambda block: F.aggregate(block, F.lit(0), lambda n, piece: n + F.length(piece))
+        grow = lambda s, n: F.struct((s["at"] + n).alias("at"), F.concat(s["starts"], F.array(s["at"])).alias("starts"))
+        starts = lambda bs: F.aggregate(F.transform(bs, width), F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("starts")), grow, lambda s: s["starts"])
+        return let(blocks, lambda bs: F.flatten(F.zip_with(bs, starts(bs), places)))
 
-    return F.aggregate(pieces, start, step, lambda s: s["found"])
+    split = F.split(F.regexp_replace(F.translate(text, "\u0001", "\u0002"), pattern, "\u0001$0\u0001"), "\u0001")
+    return let(split, lambda pieces: F.when(F.size(pieces) <= 2 * BLOCK, places(pieces, F.lit(0))).otherwise(in_blocks(pieces)))
 
 
 def luhn(digits: Column) -> Column:
@@ -85,7 +103,7 @@ def valid(kind: str, value: Column) -> Column:
 
 def base_spans(text: Column) -> Column:
     """array<struct<start, rank, kind, end, value>> of the four pattern kinds, by start, then kind."""
-    none = F.array().cast("array<struct<start:int,rank:int,kind:string,end:int,value:string>>")
+    none = F.array().cast(_SPANS)
 
     def of_kind(rank: int, kind: str, pattern: str, test: str) -> Column:
         kept = F.filter(located(text, pattern), lambda m: valid(kind, m["value"]))
@@ -100,73 +118,95 @@ def joined(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def entity_contexts(found: DataFrame) -> DataFrame:
-    """found(text_key, text, spans) -> (text_key, entity, context, term, start, end, word): words near entities."""
-    one = found.select("text_key", "text", F.explode("spans").alias("s"))
-    left_at = F.greatest(F.lit(0), F.col("s.start") - REACH)
-    left = F.substring("text", left_at + 1, F.col("s.start") - left_at)
-    right = F.substring("text", F.col("s.end") + 1, F.lit(REACH))
-    before = F.slice(F.reverse(located(left, TERM)), 1, NEAR)
-    after = F.slice(located(right, TERM), 1, NEAR)
-    shift = lambda words, by: F.transform(words, lambda m: F.struct((m["start"] + by).alias("start"), (m["end"] + by).alias("end"), m["value"].alias("value")))
-    words = F.concat(shift(before, left_at), shift(after, F.col("s.end")))
-    # a word that the reach cuts in two is not a word
-    whole = F.filter(words, lambda w: ((w["start"] > left_at) | (left_at == 0)) & (w["end"] < F.col("s.end") + REACH))
-    out = one.select("text_key", F.lower(F.col("s.value")).alias("entity"), whole.alias("words"))
-    out = out.withColumn("context", F.xxhash64(F.array_join(F.transform("words", lambda w: F.lower(w["value"])), " ")))
-    return out.select("text_key", "entity", "context", F.explode("words").alias("w")).select("text_key", "entity", "context", F.lower("w.value").alias("term"), F.col("w.start").alias("start"), F.col("w.end").alias("end"), F.col("w.value").alias("word"))
+def entity_contexts(docs: DataFrame) -> DataFrame:
+    """docs(text) -> distinct (entity, context, term): words near entities, and a digest of all words there."""
+    text = F.col("text")
 
+    def beside(s):
+        left_at = F.greatest(F.lit(0), s["start"] - REACH)
+        left, right = F.substring(text, left_at + 1, s["start"] - left_at), F.substring(text, s["end"] + 1, F.lit(REACH))
+        # a word that the reach cuts in two is not a word
+        before = F.filter(located(left, TERM), lambda w: (w["start"] > 0) | (left_at == 0))
+        after = F.filter(located(right, TERM), lambda w: w["end"] < REACH)
+        words = F.concat(F.slice(F.reverse(before), 1, NEAR), F.slice(after, 1, NEAR))
+        return F.struct(F.lower(s["value"]).alias("entity"), F.transform(words, lambda w: F.lower(w["value"])).alias("words"))
+
+    any_kind = F.lit(False)
+    for _, test in PATTERNS.values():
+        any_kind = any_kind | F.rlike(text, F.lit(test))
+    # explode_outer: a plain explode would make the optimizer test the array first, and so find all spans twice
+    near = docs.select(F.col("text").cast("string").alias("text")).where(any_kind).select(F.explode_outer(F.transform(base_spans(text), beside)).alias("x")).where("x IS NOT NULL")
+    return near.select("x.entity", F.xxhash64(F.array_join("x.words", " ")).alias("context"), F.explode("x.words").alias("term")).distinct()
+
+
+def words_of(text: Column) -> Column:
+    """The words of a text that could be terms, one row each (one null row where there are none)."""
+    return F.explode_outer(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)))
 
-def corpus_counts(docs: DataFrame, terms: DataFrame) -> tuple[DataFrame, int]:
-    """(term, n) of the given terms over all words of all texts, and the number of words.
 
-    The words are counted under 64-bit names with map-side partial sums; only then do the terms,
-    a small part of them, meet the counts.
-    """
-    token = F.regexp_replace(F.lower(F.col("token")), r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
-    tokens = docs.select(F.explode(F.split(F.coalesce(F.col("text").cast("string"), F.lit("")), r"[\x20\x09-\x0D]+")).alias("token")).where("token <> ''")
-    counts = tokens.select(F.xxhash64(token).alias("name")).groupBy("name").agg(F.count(F.lit(1)).alias("n"))
-    total = docs.agg(F.coalesce(F.sum(word_count(F.col("text").cast("string"))), F.lit(0))).first()[0]
-    return terms.select("term", F.xxhash64("term").alias("name")).distinct().join(counts, "name").select("term", "n"), int(total)
+def few(df: DataFrame, most: int) -> bool:
+    """Whether a table may be broadcast: its rows are counted, never assumed."""
+    return df.limit(most + 1).count() <= most
+
+
+def corpus_counts(docs: DataFrame, terms: DataFrame) -> tuple[DataFrame, int]:
+    """(term, n) of the given terms over all words of all texts, and the number of words."""
+    names = terms.select("term").distinct()
+    words = docs.select(words_of(F.col("text").cast("string")).alias("word")).where("word IS NOT NULL").select(F.lower("word").alias("word"))
+    if few(names, BROADCAST_TERMS):  # all other words are counted together, so the counts are few as well
+        counts = words.join(F.broadcast(names), words.word == names.term, "left").groupBy("term").agg(F.count(F.lit(1)).alias("n")).coalesce(8)
+    else:
+        counts = words.groupBy(F.col("word").alias("term")).agg(F.count(F.lit(1)).alias("n"))
+    counts = written(counts)
+    return counts.join(names, "term"), int(counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0])
 
 
 def revealing_terms(docs: DataFrame, contexts: DataFrame, support: int = SUPPORT, floor: float = GENERALISE, remove: float = REMOVE) -> DataFrame:
     """(entity, term, disclosure, action) of the terms that disclose an entity."""
-    seen = contexts.select("entity", "context", "term").distinct()
     entity = contexts.select("entity", "context").distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("n_e"))
-    both = written(seen.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te")).where(F.col("n_te") >= support))
+    both = written(contexts.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_te")).where(F.col("n_te") >= support))
     counts, total = corpus_counts(docs, both)
-    # a term that occurs only inside longer tokens has no count there; it counts at least once for each occurrence beside entities
-    beside = contexts.select("text_key", "term", "start").distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_beside"))
-    scored = both.join(entity, "entity").join(beside, "term").join(counts, "term", "left")
     everything = float(max(total, 2))
-    # contexts are deduplicated and occurrences are not: the count of a term is at least its contexts
-    n_t = F.greatest("n", "n_beside", "n_te")
+    # contexts are cut out of their texts, where a word may look whole that is not; a term counts its contexts at least
+    n_t = F.greatest(F.coalesce("n", F.lit(0)), "n_te")
     pmi = F.log2(F.col("n_te") * everything / (n_t * F.col("n_e")))
     share = pmi / F.greatest(F.log2(everything / F.col("n_e")), F.lit(1e-9))
-    return scored.withColumn("disclosure", share).where(F.col("disclosure") >= floor).select("entity", "term", "disclosure", F.when(F.col("disclosure") >= remove, "remove").otherwise("generalise").alias("action"))
-
-
-def term_spans(docs: DataFrame, found: DataFrame) -> DataFrame:
-    """(text_key, terms array of spans): revealing terms beside entities, per distinct text."""
-    contexts = entity_contexts(found)
-    flagged = written(revealing_terms(docs, contexts))
-    hit = contexts.join(flagged, ["entity", "term"]).select("text_key", F.struct("start", F.lit(4).alias("rank"), F.lit("term").alias("kind"), "end", F.concat_ws(":", "action", "word").alias("value")).alias("span"))
-    return hit.groupBy("text_key").agg(F.array_sort(F.collect_set("span")).alias("terms"))
-
-
-def with_spans(docs: DataFrame) -> DataFrame:
-    """docs(text, ...) -> the same with base (array of pattern spans) and terms (array of revealing terms)."""
-    text = F.col("text").cast("string")
-    marked = docs.withColumn("base", F.coalesce(base_spans(text), F.array().cast("array<struct<start:int,rank:int,kind:string,end:int,value:string>>")))
+    scored = both.join(entity, "entity").join(counts, "term", "left").withColumn("disclosure", share)
+    return scored.where(F.col("disclosure") >= floor).select("entity", "term", "disclosure", F.when(F.col("disclosure") >= remove, "remove").otherwise("generalise").alias("action"))
+
+
+def term_spans(docs: DataFrame, revealing: DataFrame) -> DataFrame:
+    """docs(text), (term, action) -> (text_key, terms array of spans): every place of a revealing term, per distinct text."""
+    flagged = written(revealing.groupBy("term").agg(F.max("action").alias("action")))  # 'remove' is above 'generalise'
+    if flagged.isEmpty():
+        return flagged.select(F.col("term").alias("text_key"), F.array().cast(_SPANS).alias("terms"))
+    flagged = F.broadcast(flagged) if few(flagged, BROADCAST_TERMS) else flagged
+    texts = docs.select(F.sha2(F.col("text").cast("string"), 256).alias("text_key"), F.col("text").cast("string").alias("text"))
+    # texts that hold a flagged word at all, then the words' places in these texts only
+    held = texts.select("text_key", words_of(F.col("text")).alias("word")).where("word IS NOT NULL").select("text_key", F.lower("word").alias("term"))
+    held = written(held.join(flagged, "term", "left_semi").select("text_key").distinct())
+    placed = texts.join(F.broadcast(held) if few(held, BROADCAST_TERMS) else held, "text_key", "left_semi").select("text_key", F.explode_outer(located(F.col("text"), TERM)).alias("w")).where("w IS NOT NULL")
+    hit = placed.withColumn("term", F.lower("w.value")).join(flagged, "term")
+    span = F.struct(F.col("w.start").alias("start"), F.lit(4).alias("rank"), F.lit("term").alias("kind"), F.col("w.end").alias("end"), F.concat_ws(":", "action", "w.value").alias("value"))
+    return hit.groupBy("text_key").agg(F.array_sort(F.collect_set(span)).alias("terms"))
+
+
+def with_spans(docs: DataFrame, base: str = "base", terms: str = "terms") -> DataFrame:
+    """docs(text, ...) -> the same with `base` (array of pattern spans) and `terms` (array of revealing terms), under names that the table does not have."""
+    taken = [c for c in (base, terms) if fresh(docs.columns, c) != c]
+    if taken:
+        raise ValueError(f"the table has a column {taken[0]}; name the new columns otherwise")
+    key = fresh([*docs.columns, base, terms], "text_key")
+    text, none = F.col("text").cast("string"), F.array().cast(_SPANS)
+    marked = docs.withColumn(base, F.coalesce(base_spans(text), none))
+    found = written(term_spans(docs, revealing_terms(docs, written(entity_contexts(docs)))))
+    size = found.agg(F.coalesce(F.sum(F.size("terms")), F.lit(0))).first()[0]
+    if not size:  # the usual case: no join at all
+        return marked.withColumn(terms, none)
     # equal texts have equal spans, so the text's digest, not a row id, leads back to the rows
-    keyed = marked.withColumn("text_key", F.when(F.size("base") > 0, F.sha2(text, 256)))
-    found = written(docs.select(text.alias("text"), base_spans(text).alias("spans")).where(F.size("spans") > 0).select(F.sha2("text", 256).alias("text_key"), "text", "spans").dropDuplicates(["text_key"]))
-    terms = written(term_spans(docs, found))
-    none = F.array().cast("array<struct<start:int,rank:int,kind:string,end:int,value:string>>")
-    if terms.isEmpty():  # the usual case: no join at all
-        return keyed.withColumn("terms", none).drop("text_key")
-    return keyed.join(terms, "text_key", "left").withColumn("terms", F.coalesce("terms", none)).drop("text_key")
+    found = found.select(F.col("text_key").alias(key), F.col("terms").alias(terms))
+    out = marked.withColumn(key, F.sha2(text, 256)).join(F.broadcast(found) if size <= BROADCAST_SPANS else found, key, "left")
+    return out.withColumn(terms, F.coalesce(field(terms), none)).drop(key)
 
 
 def all_spans(base: Column, terms: Column) -> Column:
@@ -175,13 +215,18 @@ def all_spans(base: Column, terms: Column) -> Column:
 
 def sanitised(text: Column, spans: Column) -> Column:
     """The text with pattern spans replaced by their kind, terms removed or generalised; overlaps go with the first span."""
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<since:int,start:int,mask:string>>").alias("cuts"))
 
     def step(s, x):
         mask = F.when(x["kind"] != "term", F.concat(F.lit("["), F.upper(x["kind"]), F.lit("]"))).when(F.startswith(x["value"], F.lit("remove:")), F.lit("")).otherwise(F.when(F.rlike(x["value"], F.lit(r":\p{Lu}")), F.lit("[NAME]")).otherwise(F.lit("[WORD]")))
-        return F.when(x["start"] < s["at"], s).otherwise(F.struct(x["end"].alias("at"), F.concat(s["out"], F.substring(text, s["at"] + 1, x["start"] - s["at"]), mask).alias("out")))
+        cut = F.struct(s["at"].alias("since"), x["start"].alias("start"), mask.alias("mask"))
+        return F.when(x["start"] < s["at"], s).otherwise(F.struct(x["end"].alias("at"), F.concat(s["cuts"], F.array(cut)).alias("cuts")))
+
+    def joined_up(s):
+        parts = F.transform(s["cuts"], lambda c: F.concat(F.substring(text, c["since"] + 1, c["start"] - c["since"]), c["mask"]))
+        return F.concat(F.array_join(parts, ""), F.substring(text, s["at"] + 1, F.length(text)))
 
-    return F.aggregate(spans, start, step, lambda s: F.concat(s["out"], F.substring(text, s["at"] + 1, F.length(text))))
+    return let(F.aggregate(spans, start, step), joined_up)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -192,10 +237,12 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: texts with their personal data masked; n_chars follows the new text where it was set."""
-    marked = with_spans(docs)
-    spans = all_spans(F.col("base"), F.col("terms"))
+    base = fresh(docs.columns, "base")
+    terms = fresh([*docs.columns, base], "terms")
+    marked = with_spans(docs, base, terms)
+    spans = all_spans(F.col(base), F.col(terms))
     text = F.when(F.size(spans) > 0, sanitised(F.col("text"), spans)).otherwise(F.col("text"))
     out = marked.withColumn("text", text)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("n_chars").isNull() | (F.size(spans) == 0), F.col("n_chars")).otherwise(F.length("text").cast("long")))
-    return out.select(*docs.columns)
+    return out.select(*[field(c) for c in docs.columns])

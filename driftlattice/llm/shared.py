@@ -39,6 +39,24 @@ def word_count(text):
     return (F.size(parts) - empty(F.element_at(parts, 1)) - F.when(F.size(parts) > 1, empty(F.element_at(parts, -1))).otherwise(0)).cast("long")
 
 
+def let(value, fn):
+    """Column: fn(value) with the value computed once, where fn's expression would compute it at each use."""
+    return F.element_at(F.transform(F.array(value), fn), 1)
+
+
+def fresh(columns, name: str) -> str:
+    """`name`, or with leading underscores until no column is called so (Spark's names ignore case)."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
+def field(name: str):
+    """The column of exactly this name, dots and all."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
 # ---------------------------------------------------------------- Arrow text buffers
 
 

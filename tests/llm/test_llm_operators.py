@@ -316,6 +316,68 @@ def test_revealing_terms_are_found_and_masked(spark):
         assert ("Zorbinski" in r.clean, "[EMAIL]" in r.clean) == (False, r.doc_id < 4)
 
 
+def test_terms_go_wherever_they_stand(spark):
+    """A disclosing term is removed far from its entity, and in documents that do not hold the entity."""
+    filler = "wort haus baum licht wasser stein feld berg "
+    rows = [(i, f"{filler * 3}v{'abcd'[i]}xyz Zorbinski at zor@site.org {filler * 6} later Zorbinski spoke") for i in range(4)] + [(4, f"{filler} only Zorbinski here"), (5, f"{filler} at later spoke only here")] + [(6 + i, f"at later {filler * 20}") for i in range(20)]
+    df = spark.createDataFrame([(*r, "b", "t", "k") for r in rows], "doc_id long, text string, base string, Terms string, text_key string")
+    with pytest.raises(ValueError):
+        private_terms.with_spans(df)
+    for r in private_terms.stage(spark, df, "").collect():
+        assert "zorbinski" not in r.text.lower() and ("[EMAIL]" in r.text) == (r.doc_id < 4) and (r.base, r.Terms, r.text_key) == ("b", "t", "k")
+        assert r.doc_id < 5 or r.text == dict(rows)[r.doc_id]
+
+
+def test_disclosure_equals_brute_force(spark):
+    import regex
+
+    rng = random.Random(31)
+    people = [f"{a}{b}" for a in ("zor", "kel", "Mur") for b in ("binski", "dano", "vale")]
+    fill = "wort haus baum licht wasser stein feld berg, no; a if x".split()
+    texts = []
+    for i in range(120):
+        who = rng.choice(people)
+        body = rng.choices(fill, k=rng.randint(2, 40))
+        if i % 3:
+            body[rng.randrange(len(body)) :] = [who, rng.choice(["at", "mail:", "x=" + who]), f"{who.lower()}@site.org", *rng.choices(fill + people[:2], k=rng.randint(0, 9))]
+        texts.append(" ".join(body))
+    texts += texts[:20] + [None, "", "x" * 500 + " a@b.co " + "y" * 200]
+    contexts, runs = set(), Counter()
+    for t in texts:
+        runs.update(w.lower() for w in regex.findall(private_terms.TERM, t or ""))
+        for kind_span in filter(None, base_spans(t).split(",")):
+            _, start, end = kind_span.split(":")
+            start, end = int(start), int(end)
+            low_at = max(0, start - private_terms.REACH)
+            before = [m for m in regex.finditer(private_terms.TERM, t[low_at:start]) if m.start() > 0 or low_at == 0]
+            after = [m for m in regex.finditer(private_terms.TERM, t[end : end + private_terms.REACH]) if m.end() < private_terms.REACH]
+            words = [m[0].lower() for m in before[::-1][: private_terms.NEAR] + after[: private_terms.NEAR]]
+            contexts |= {(t[start:end].lower(), " ".join(words), w) for w in words}
+    n_te = Counter((e, w) for e, _, w in contexts)
+    n_e = Counter(e for e, _ in {(e, c) for e, c, _ in contexts})
+    total, want = sum(runs.values()), {}
+    for (e, w), n in n_te.items():
+        if n >= private_terms.SUPPORT:
+            share = math.log2(n * total / (max(n, runs[w]) * n_e[e])) / max(math.log2(total / n_e[e]), 1e-9)
+            if share >= private_terms.GENERALISE:
+                want[e, w] = round(share, 9)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = private_terms.revealing_terms(df, private_terms.entity_contexts(df)).collect()
+    assert {(r.entity, r.term): round(r.disclosure, 9) for r in got} == want and len(want) > 4 and {r.action for r in got} == {"remove", "generalise"}
+    gone = {w: max(r.action for r in got if r.term == w) for _, w in want}
+    for r in private_terms.with_spans(df).select("doc_id", "terms").collect():
+        spans = [(m.start(), m.end(), f"{gone[m[0].lower()]}:{m[0]}") for m in regex.finditer(private_terms.TERM, texts[r.doc_id] or "") if m[0].lower() in gone]
+        assert [(x.start, x.end, x.value) for x in r.terms] == spans
+
+
+def test_places_of_very_many_matches(spark):
+    rng = random.Random(5)
+    texts = ["é" + "".join(rng.choice(["a@b.co ", "é😀 ", "x "]) for _ in range(n)) for n in (0, 60, 126, 127, 128, 129, 300, 5000)] + ["1.2.3.4 " * 20_000]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for r in df.select("doc_id", private_terms.joined(private_terms.base_spans(F.col("text"))).alias("s")).collect():
+        assert r.s == base_spans(texts[r.doc_id])
+
+
 def test_terms_glued_into_tokens_are_found(spark):
     rows = [(i, f"{'wort haus baum ' * 20}v{i} name:zorbinski,mail:zor@site.org;w{'abcdef'[i]}xyz") for i in range(6)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
