@@ -17,16 +17,19 @@ hash-partitioned and
 A set signs for its own band and the next, so sets of neighbouring bands meet. Shared signatures
 only propose; every link is verified on the shingle sets (100 * common >= THRESHOLD * union).
 
-Equal sets are one class from the start. A class is first verified against the smallest class it
-shares a signature with, then against the smallest of each of its groups (stars, never all pairs);
-links contract to components, and only members of one group that are still in different components
-are then verified pairwise, so no link that joins components is lost. Before whole sets travel to a
-partner, small sketches do, whose distance is a lower bound on the difference of the sets.
+Equal sets are one class from the start. Classes that share a signature are a group, and groups are
+verified by stars, never by all pairs: in each round the members of a group that are not in its
+largest component are compared with a few hubs inside it, twice as many hubs a round, and links
+contract to components. Rounds go on as long as they shrink the number of pairs that are still
+open, members of one group in different components; what is then left is verified pairwise, so no
+link that joins components is lost. The difference of sets is a metric: pairs whose differences
+from a common hub lie too far apart are ruled out unseen. Before the whole sets of the others travel
+to a partner, small sketches do, whose distance is a lower bound on the difference of the sets.
 
 Defined cases: null, empty or blank texts have no shingles, link with nothing and are their own
 component; texts of fewer than five words have their whole word sequence as single shingle; equal
-ids are one node; a null id is returned with its set size and a null component; an empty table
-gives an empty result.
+ids are one node; a null id is returned with its set size and a null component; other columns are
+ignored (stage() keeps them), whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -49,6 +52,8 @@ COMMON, COMMON_FROM, COMMON_BLOCK = 1_000_000, 6, 4_000_000
 BUCKET_BYTES = 16 << 20
 #: Ids that may be broadcast to pick the documents to verify; beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
+#: Rounds of stars end when so few pairs a member are open, when a round leaves more than SHRINK of them, or after one with HUBS hubs.
+OPEN_PAIRS, SHRINK, HUBS = 2, 0.8, 32
 
 _HASHER = Hasher(7, lower=True)
 _U = np.uint64
@@ -158,11 +163,9 @@ def signatures(value: np.ndarray, first: np.ndarray, threshold: int = THRESHOLD,
     return np.concatenate(out_sig), np.concatenate(out_set)
 
 
-def common_shingles(docs: DataFrame, width: int = WIDTH) -> Heavy:
-    """Shingles that COMMON_FROM documents of some block of COMMON_BLOCK shingles hold, the most frequent COMMON of them.
-
-    The bound is on the helper set only: whatever it holds, every link is found.
-    """
+def scanned(docs: DataFrame, width: int = WIDTH) -> DataFrame:
+    """docs(doc_id, text) -> (doc_id, n_shingles, class, value, n) of two kinds, from one pass over the texts:
+    a row for each document (n null), and one for each shingle that COMMON_FROM documents of a block of COMMON_BLOCK shingles hold."""
 
     def run(batches):
         kept, room = [], 0
@@ -170,19 +173,30 @@ def common_shingles(docs: DataFrame, width: int = WIDTH) -> Heavy:
         def flush():
             value, n = np.unique(np.concatenate(kept), return_counts=True)
             often = n >= COMMON_FROM
-            return pa.RecordBatch.from_arrays([pa.array(value[often].view(np.int64)), pa.array(n[often])], ["value", "n"])
+            none = pa.nulls(int(often.sum()), pa.int64())
+            return pa.RecordBatch.from_arrays([none, none, none, pa.array(value[often].view(np.int64)), pa.array(n[often])], ["doc_id", "n_shingles", "class", "value", "n"])
 
         for batch in batches:
-            for _, value, _ in shingle_sets(batch.column("text"), width):
+            n, name = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for _, value, first in shingle_sets(batch.column("text"), width):
+                n.append(np.diff(first))
+                name.append(set_class(value, first).view(np.int64))
                 kept.append(value)
                 room += len(value)
                 if room > COMMON_BLOCK:
                     yield flush()
                     kept, room = [], 0
+            none = pa.nulls(batch.num_rows, pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.concatenate(n)), pa.array(np.concatenate(name)), none, none], ["doc_id", "n_shingles", "class", "value", "n"])
         if kept:
             yield flush()
 
-    counts = written(docs.select("text").mapInArrow(run, "value long, n long").groupBy("value").agg(F.sum("n").alias("n")))
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, class long, value long, n long")
+
+
+def common_shingles(counts: DataFrame) -> Heavy:
+    """(value, n) -> the most frequent COMMON shingles. The bound is on the helper set only: whatever it holds, every link is found."""
+    counts = written(counts.groupBy("value").agg(F.sum("n").alias("n")))
     found = counts.count()
     if found > COMMON:
         floor = counts.agg(F.percentile_approx("n", 1 - 0.9 * COMMON / found, 10_000)).first()[0]
@@ -190,20 +204,6 @@ def common_shingles(docs: DataFrame, width: int = WIDTH) -> Heavy:
     return Heavy(counts.select("value").toArrow().column("value").to_numpy().astype(np.int64).view(np.uint64))
 
 
-def shingle_classes(docs: DataFrame) -> DataFrame:
-    """docs(doc_id, text) -> (doc_id, n_shingles, class)."""
-
-    def run(batches):
-        for batch in batches:
-            n, name = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-            for _, value, first in shingle_sets(batch.column("text")):
-                n.append(np.diff(first))
-                name.append(set_class(value, first).view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.concatenate(n)), pa.array(np.concatenate(name))], ["doc_id", "n_shingles", "class"])
-
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, class long")
-
-
 def signature_groups(docs: DataFrame, bits: int, threshold: int, heavy: Heavy) -> DataFrame:
     """docs(text) -> distinct (grp long, class long): classes that share a signature, groups of two or more.
 
@@ -345,7 +345,7 @@ def compared(table: DataFrame, pairs: DataFrame, chunks: int, may_link) -> DataF
     return table.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long")
 
 
-def verified(texts: DataFrame, drafts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
+def verified(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
     """pairs(a, b) -> the pairs that link. Sketches rule most others out before whole sets travel; survivors are compared on their sets."""
 
     def near(n, own, m, other):
@@ -355,47 +355,117 @@ def verified(texts: DataFrame, drafts: DataFrame, pairs: DataFrame, chunks: int,
         common = int(member(np.frombuffer(other, np.uint64), np.frombuffer(own, np.uint64)).sum())
         return 100 * common >= threshold * (n + m - common)
 
-    left = written(compared(drafts, pairs, chunks, near))
-    return compared(texts, left, chunks, links)
+    asked = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    some = written(picked(texts, asked))
+    left = written(compared(written(sketches(some)), pairs, chunks, near))
+    return compared(some, left, chunks, links)
+
+
+def picked(texts: DataFrame, ids: DataFrame) -> DataFrame:
+    """The texts of some ids(doc_id); the ids are broadcast after a count."""
+    few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    return texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+
+
+def starred(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
+    """texts(chunk, doc_id, text), pairs(a hub, b) -> (a, b, apart long, linked boolean): the difference of each pair of sets.
+
+    The set of a hub goes once to every chunk that holds a partner.
+    """
+
+    def sets(batches):
+        for batch in batches:
+            n, own = [], []
+            for _, value, first in shingle_sets(batch.column("text")):
+                n += np.diff(first).tolist()
+                own += [value[x:y].tobytes() for x, y in zip(first[:-1], first[1:])]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(own, pa.binary())], ["a", "n", "own"])
+
+    def meet(group: pa.Table, sent: pa.Table) -> pa.Table:
+        out: list[tuple] = []
+        if group.num_rows and sent.num_rows:
+            have = _bodies(group, np.unique(sent.column("bs").combine_chunks().flatten().to_numpy()))
+            for a, n, own, bs in zip(*(sent.column(c) for c in ("a", "n", "own", "bs"))):
+                a, n, hub = a.as_py(), n.as_py(), np.frombuffer(own.as_py(), np.uint64)
+                for b in bs.as_py():
+                    m, other = have[b]
+                    common = int(member(np.frombuffer(other, np.uint64), hub).sum())
+                    out.append((a, b, n + m - 2 * common, 100 * common >= threshold * (n + m - common)))
+        columns = list(zip(*out)) if out else [[]] * 4
+        return pa.table({c: pa.array(x, t) for c, x, t in zip(("a", "b", "apart", "linked"), columns, (pa.int64(), pa.int64(), pa.int64(), pa.bool_()))})
+
+    hubs = picked(texts, pairs.select(F.col("a").alias("doc_id")).distinct()).select("doc_id", "text").mapInArrow(sets, "a long, n long, own binary")
+    sent = pairs.select("a", "b", chunk_of("b", chunks).alias("chunk")).groupBy("chunk", "a").agg(F.collect_list("b").alias("bs")).join(hubs, "a")
+    return texts.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long, apart long, linked boolean")
+
+
+def contracted(joined: DataFrame, links: DataFrame) -> DataFrame:
+    """(id, component) after some more links(a, b)."""
+    side = lambda c: joined.select(F.col("id").alias(c), F.col("component").alias(f"c{c}"))
+    new = written(links.join(side("a"), "a").join(side("b"), "b").where("ca <> cb").select(F.col("ca").alias("a"), F.col("cb").alias("b")).distinct())
+    ends = new.select(F.col("a").alias("id")).unionByName(new.select(F.col("b").alias("id"))).distinct()
+    moved = components(ends, new).select(F.col("id").alias("component"), F.col("component").alias("smallest"))
+    return written(joined.join(moved, "component", "left").select("id", F.coalesce("smallest", "component").alias("component")))
+
+
+def open_groups(placed: DataFrame) -> DataFrame:
+    """(grp, rep, n, component) -> (grp, main, total, open) of the groups with several components: the largest one, members, open pairs."""
+    by = placed.groupBy("grp", "component").agg(F.count(F.lit(1)).alias("c"))
+    whole = by.groupBy("grp").agg((-F.max(F.struct("c", (-F.col("component")).alias("least")))["least"]).alias("main"), F.sum("c").alias("total"), F.sum(F.col("c") * F.col("c")).alias("inside"))
+    return whole.select("grp", "main", "total", ((F.col("total") * F.col("total") - F.col("inside")) / 2).alias("open")).where("open > 0")
 
 
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     """docs(doc_id, text) -> (doc_id, n_shingles, component_id)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    size = table_bytes(docs)
-    bits, chunks = max(3, math.ceil(math.log2(max(1, size / BUCKET_BYTES)))), chunk_count(docs)
-    nodes = written(shingle_classes(docs))
+    bits = max(3, math.ceil(math.log2(max(1, table_bytes(docs) / BUCKET_BYTES))))
+    scan = written(scanned(docs))
+    nodes = scan.where("n IS NULL").select("doc_id", "n_shingles", "class")
     # one document stands for each class of equal sets
     classes = nodes.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("class").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"))
-    groups = written(signature_groups(docs, bits, threshold, common_shingles(docs)).join(classes, "class").select("grp", "rep", "n"))
-    needed = written(groups.select(F.col("rep").alias("doc_id")).distinct())
-    few = needed.count() <= BROADCAST_IDS
-    texts = written(docs.join(F.broadcast(needed) if few else needed, "doc_id", "left_semi").dropDuplicates(["doc_id"]).withColumn("chunk", chunk_of("doc_id", chunks)))
-    drafts = written(sketches(texts))
-    reps = needed.select(F.col("doc_id").alias("id"))
+    groups = written(signature_groups(docs, bits, threshold, common_shingles(scan.where("n IS NOT NULL").select("value", "n"))).join(classes, "class").select("grp", "rep", "n"))
+    needed = groups.select(F.col("rep").alias("doc_id")).distinct()
+    texts = written(picked(docs, needed).dropDuplicates(["doc_id"]))
+    chunks = chunk_count(texts)
+    texts = texts.withColumn("chunk", chunk_of("doc_id", chunks))
+    joined = written(needed.select(F.col("doc_id").alias("id"), F.col("doc_id").alias("component")))
     fits = lambda a, b: (100 * F.least(a, b) >= threshold * F.greatest(a, b))
 
-    # each class against the smallest it shares a signature with, then against the smallest of each of its groups
-    hubs = groups.groupBy("grp").agg(F.min(F.struct("rep", "n")).alias("hub"))
-    star = groups.join(hubs, "grp").where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n"))).select(F.col("hub.rep").alias("a"), F.col("rep").alias("b"))
-    star = written(star.distinct())
-    first = star.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    links = written(verified(texts, drafts, first, chunks, threshold))
-    joined = written(components(reps, links))
-    side = lambda c: joined.select(F.col("id").alias(c), F.col("component").alias(f"c{c}"))
-    rest = star.join(first, ["a", "b"], "left_anti").join(side("a"), "a").join(side("b"), "b").where("ca <> cb").select("a", "b")
-    links = written(links.unionByName(verified(texts, drafts, rest, chunks, threshold)))
-    joined = written(components(reps, links))
-    # members of one group that are still in different components
-    placed = groups.join(joined.withColumnRenamed("id", "rep"), "rep")
-    mixed = placed.groupBy("grp").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("grp")
-    open_ = placed.join(mixed, "grp")
-    one = open_.select("grp", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"))
-    two = open_.select("grp", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("component").alias("cb"))
-    pairs = one.join(two, "grp").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & fits(F.col("na"), F.col("nb"))).select("a", "b").distinct()
-    pairs = written(pairs.join(star, ["a", "b"], "left_anti"))
-    if not pairs.isEmpty():
-        joined = written(components(reps, links.unionByName(verified(texts, drafts, pairs, chunks, threshold))))
+    before, known, most = math.inf, [], 1
+    while True:
+        placed = groups.join(joined.withColumnRenamed("id", "rep"), "rep")
+        mixed = written(open_groups(placed))
+        members, pairs = mixed.agg(F.sum("total"), F.sum("open")).first()
+        if not pairs:
+            break
+        placed = placed.join(mixed, "grp")
+        if len(known) > 1 and (pairs <= OPEN_PAIRS * members or pairs > SHRINK * before or most > HUBS):
+            for k, (hubs, found) in enumerate(known):  # differences from the hubs of the first rounds, for the metric's bound
+                apart_of = found.select(F.col("a").alias("hub"), F.col("b").alias("rep"), F.col("apart").alias(f"d{k}"))
+                placed = placed.join(hubs, "grp", "left").join(apart_of, ["hub", "rep"], "left").withColumn(f"d{k}", F.when(F.col("hub") == F.col("rep"), 0).otherwise(F.col(f"d{k}"))).drop("hub")
+            placed = written(placed.select("grp", "rep", "n", "component", "d0", "d1"))
+            one, two = (placed.select("grp", F.col("rep").alias(x), *[F.col(c).alias(f"{c}_{x}") for c in ("n", "component", "d0", "d1")]) for x in "ab")
+            near = (F.col("a") < F.col("b")) & (F.col("component_a") != F.col("component_b")) & fits(F.col("n_a"), F.col("n_b"))
+            for c in ("d0", "d1"):
+                near = near & F.coalesce((100 + threshold) * F.abs(F.col(f"{c}_a") - F.col(f"{c}_b")) <= (100 - threshold) * (F.col("n_a") + F.col("n_b")), F.lit(True))
+            left = written(one.join(two, "grp").where(near).select("a", "b").distinct())
+            if not left.isEmpty():
+                joined = contracted(joined, verified(texts, left, chunks, threshold))
+            break
+        # hubs out of the largest component: the members with the smallest digests under so many seeds
+        digest = lambda k: F.min(F.struct(F.xxhash64("rep", F.lit(k)).alias("digest"), "rep", "n"))
+        seeds = range(1000 * len(known), 1000 * len(known) + most) if len(known) > 1 else [1000 * len(known)]
+        hubs = written(placed.where("component = main").groupBy("grp").agg(F.array_distinct(F.array(*[digest(k) for k in seeds])).alias("hubs")))
+        others = placed if len(known) < 2 else placed.where("component <> main")
+        star = others.join(hubs, "grp").select("rep", "n", F.explode("hubs").alias("hub")).where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n")))
+        star = written(star.select(F.col("hub.rep").alias("a"), F.col("rep").alias("b")).distinct())
+        found = written(starred(texts, star, chunks, threshold))
+        if len(known) < 2:
+            known.append((hubs.select("grp", F.element_at("hubs", 1)["rep"].alias("hub")), found))
+        else:
+            before = pairs
+            most *= 2
+        joined = contracted(joined, found.where("linked").select("a", "b"))
     label = classes.select("class", "rep").join(joined.withColumnRenamed("id", "rep"), "rep", "left").select("class", F.coalesce("component", "rep").alias("component_id"))
     return nodes.join(label, "class", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 

@@ -533,6 +533,25 @@ def test_near_duplicate_chains(spark):
     assert got == {(i, *x) for i, x in jaccard_truth(rows).items()}
 
 
+def test_clusters_of_near_copies(spark):
+    """Clusters whose members resemble their hub from hardly to nearly: rounds of stars, the metric's bound and the last pairs."""
+    rng = random.Random(17)
+    words = [f"w{k}" for k in range(900)]
+    rows = []
+    for c in range(3):
+        base = rng.choices(words, k=110)
+        for i in range(60):
+            body = list(base)
+            for _ in range(rng.choice([1, 3, 6, 9, 14])):
+                body[rng.randrange(len(body))] = rng.choice(words)
+            rows.append((1000 * c + i, " ".join(body[: rng.choice([110, 110, 95])])))
+    rng.shuffle(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(r.doc_id, r.n_shingles, r.component_id) for r in jaccard.near_duplicates(df).collect()}
+    want = {(i, *x) for i, x in jaccard_truth(rows).items()}
+    assert got == want and 20 < len({x[2] for x in want}) < 160
+
+
 def test_similar_sets_share_a_signature():
     rng = np.random.default_rng(6)
     for size in (1, 2, 4, 5, 8, 12, 20, 33, 36, 50, 90, 200, 700):
