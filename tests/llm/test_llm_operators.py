@@ -673,6 +673,78 @@ def test_wrapped_licences_are_confirmed(spark):
     assert [got[k] for k in range(len(want), len(rows))] == [{"MIT"}, {"MIT", "Apache-2.0"}, set()]
 
 
+def slow_scan(text, m):
+    """The licence scan of one text in plain loops."""
+    lines = (text or "").split("\n")
+    wordy = [bool(re.search(licences.WORDY, x)) for x in lines]
+    weights, by_para = m["weights"], {}
+    for i in range(len(lines)):
+        nxt = i + 1 < len(lines) and wordy[i + 1]
+        if not wordy[i] or not re.search(licences.CUE, "\n".join(lines[i : i + 2]) if nxt else lines[i]):
+            continue
+        end = next((j for j in range(i, len(lines)) if not wordy[j]), len(lines))
+        k, n = 0, 0
+        for t in lines[i : min(end, i + licences.REACH + 1)]:
+            if n >= licences.REACH:
+                break
+            n, k = n + (len(licences.words_of(t)) if k else 0), k + 1
+        for size in dict.fromkeys([1, min(2, end - i), k]):
+            if size == 1 and not re.search(licences.CUE, lines[i]):
+                continue
+            part = "\n".join(lines[i : i + size])
+            grams = set(licences.grams_of(part))
+            odds = [sum(w) / m["heat"] for w in zip(weights[""], *(weights[g] for g in grams if g in weights))]
+            top = max(odds)
+            chance = 1 / sum(math.exp(o - top) for o in odds)
+            family = m["classes"][odds.index(top)] if chance >= licences.SURE else "unknown"
+            line = f" {' '.join(licences.words_of(part))} "
+            share = max([len(grams & set(t["grams"])) / len(t["grams"]) for t in licences.templates().get(family, []) if t["name"] in line], default=0.0)
+            by_para.setdefault(sum(not w for w in wordy[:i]), []).append((i, i + size, family, chance, share))
+    out = []
+    for _, ps in sorted(by_para.items()):
+        firm = sorted((p for p in ps if p[4] >= licences.CONFIRM), key=lambda p: (-p[4], p[1] - p[0], p[0]))
+        first = {}
+        for p in firm:
+            first.setdefault(p[2], p)
+        kept = {}
+        for p in firm:
+            if not any(q[2] != p[2] and q[4] > p[4] and q[0] < p[1] and p[0] < q[1] for q in first.values()):
+                kept.setdefault(p[2], p)
+        out += [(*p[:3], True) for p in kept.values()] or [(*min(ps, key=lambda p: (p[2] == "unknown", -p[3], p[0], p[1]))[:3], False)]
+    return out
+
+
+def test_scan_equals_plain_loops(spark):
+    import textwrap
+
+    rng = random.Random(41)
+    pool = sorted({t for _, t in licences.notices()})
+    noise = "the band played on a bridge near some old river with permission of nobody".split()
+    texts = []
+    for _ in range(150):
+        lines = []
+        for _ in range(rng.randint(1, 6)):
+            kind = rng.random()
+            lines += textwrap.wrap(rng.choice(pool), rng.choice([30, 60, 200])) if kind < 0.5 else [rng.choice(["", " \t", "***"])] if kind < 0.7 else [" ".join(rng.choices(noise, k=rng.randint(1, 30)))]
+        texts.append("\n".join(lines))
+    texts += ["Released under the MIT-style licence of the band.", None, "", "\n", "license", texts[0], "MIT\n" * 200]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").withColumn("found", F.lit("clash")).withColumn("a.b", F.lit(1))
+    got = {r.doc_id: [(x.line, x.stop, x.family, x.confirmed) for x in r.found] for r in licences.classified(df, keep=("doc_id", "a.b")).collect()}
+    m = licences.model()
+    assert got == {k: slow_scan(t, m) for k, t in enumerate(texts)}
+    assert got[150] == [(0, 1, "unknown", False)]
+    assert sum(x[3] for v in got.values() for x in v) > 100
+
+
+def test_left_out_notices_are_not_learned(monkeypatch):
+    """No copy of a text is on both sides of the calibration's split."""
+    seen = []
+    fit = licences.fit
+    monkeypatch.setattr(licences, "fit", lambda rows, steps=80: (seen.append({t for _, t in rows}), fit(rows, 1))[1])
+    licences.calibrated(licences.notices())
+    assert len(seen) == 2 and not seen[0] & seen[1] and len(seen[0] | seen[1]) == len({t for _, t in licences.notices()})
+
+
 # ---------------------------------------------------------------- 10
 
 
