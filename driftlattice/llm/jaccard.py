@@ -18,13 +18,13 @@ A set signs for its own band and the next, so sets of neighbouring bands meet. S
 only propose; every link is verified on the shingle sets (100 * common >= THRESHOLD * union).
 
 Equal sets are one class from the start. Classes that share a signature are a group, and groups are
-verified by stars, never by all pairs: in each round the members of a group that are not in its
-largest component are compared with a few hubs inside it, twice as many hubs a round, and links
-contract to components. Rounds go on as long as they shrink the number of pairs that are still
-open, members of one group in different components; what is then left is verified pairwise, so no
-link that joins components is lost. The difference of sets is a metric: pairs whose differences
-from a common hub lie too far apart are ruled out unseen. Before the whole sets of the others travel
-to a partner, small sketches do, whose distance is a lower bound on the difference of the sets.
+verified by stars, never by all pairs: each class with one partner first, then in rounds the members
+of a group that are not in its largest component with a few hubs inside it, twice as many a round;
+links contract to components. When rounds find little more, the pairs of a group that are still in
+different components are verified, so no link that joins components is lost. Before a set travels to
+a partner, parity sketches are compared, inside the join that makes the pairs: each set as SKETCH
+bits, a bit the parity of the number of its elements in a hash part. Sets that differ in d elements
+differ in at most d of these bits, so no link is ruled out, and few others are let through.
 
 Defined cases: null, empty or blank texts have no shingles, link with nothing and are their own
 component; texts of fewer than five words have their whole word sequence as single shingle; equal
@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, member, mix, row_slices, spans, table_bytes, text_buffer, written
+from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, field, member, mix, row_slices, spans, table_bytes, text_buffer, written
 
 WIDTH = 5
 THRESHOLD = 80
@@ -52,8 +52,10 @@ COMMON, COMMON_FROM, COMMON_BLOCK = 1_000_000, 6, 4_000_000
 BUCKET_BYTES = 16 << 20
 #: Ids that may be broadcast to pick the documents to verify; beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
-#: Rounds of stars end when so few pairs a member are open, when a round leaves more than SHRINK of them, or after one with HUBS hubs.
-OPEN_PAIRS, SHRINK, HUBS = 2, 0.8, 32
+#: Rounds of stars (by their hubs a group) end early when a round links less than LINKING of what it compares with hubs.
+ROUNDS, LINKING = (1, 2, 4, 8, 16), 0.01
+#: Bits of a parity sketch; about as many as a set has elements make a sharp one, fewer a weaker one that lets more pairs through.
+SKETCH = 2048
 
 _HASHER = Hasher(7, lower=True)
 _U = np.uint64
@@ -273,92 +275,37 @@ def signature_groups(docs: DataFrame, bits: int, threshold: int, heavy: Heavy) -
     return asks.groupBy("bucket").applyInArrow(meet, "grp long, class long").distinct()
 
 
-def sketch(value: np.ndarray) -> bytes:
-    """Counts of a set's elements in 2^b hash parts of about two elements each, cut at 255."""
-    bits = max(3, round(math.log2(max(1, len(value) / 2))))
-    part = (mix(value ^ _U(0x632BE59BD9B4E019)) >> _U(64 - bits)).astype(np.int64)
-    return np.minimum(np.bincount(part, minlength=1 << bits), 255).astype(np.uint8).tobytes()
+def parity(value: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Per set the parities of its elements' numbers in SKETCH hash parts, as rows of 64-bit words."""
+    part = (mix(value ^ _U(0x632BE59BD9B4E019)) >> _U(64 - SKETCH.bit_length() + 1)).astype(np.int64)
+    out = [np.zeros((0, SKETCH // 64), np.int64)]
+    for a in range(0, len(first) - 1, 2000):  # so many sets at once, as each takes SKETCH counters
+        edge = first[a : a + 2001]
+        owner = np.repeat(np.arange(len(edge) - 1), np.diff(edge))
+        odd = np.bincount(owner * SKETCH + part[edge[0] : edge[-1]], minlength=(len(edge) - 1) * SKETCH) & 1
+        out.append(np.packbits(odd.astype(np.uint8).reshape(-1, SKETCH), 1).view(np.int64))
+    return np.concatenate(out)
 
 
-def apart(one: bytes, two: bytes) -> int:
-    """A lower bound on the elements in which two sets differ: the distance of their sketches, folded to the coarser."""
-    a, b = (np.frombuffer(x, np.uint8).astype(np.int64) for x in (one, two))
-    n = min(len(a), len(b))
-    a, b = a.reshape(n, -1), b.reshape(n, -1)
-    whole = (a.max(1) < 255) & (b.max(1) < 255)  # of parts with a cut count nothing is known
-    return int(np.abs(a.sum(1) - b.sum(1))[whole].sum())
+_WORDS = [f"p{k}" for k in range(SKETCH // 64)]
 
 
 def sketches(texts: DataFrame) -> DataFrame:
-    """texts(chunk, doc_id, text) -> (chunk, doc_id, n, body): about half a byte per shingle."""
+    """texts(doc_id, text) -> (doc_id, p struct of words)."""
 
     def run(batches):
         for batch in batches:
-            n, body = [], []
-            for _, value, first in shingle_sets(batch.column("text")):
-                n += np.diff(first).tolist()
-                body += [sketch(value[x:y]) for x, y in zip(first[:-1], first[1:])]
-            yield pa.RecordBatch.from_arrays([batch.column("chunk"), batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(body, pa.binary())], ["chunk", "doc_id", "n", "body"])
-
-    return texts.select("chunk", "doc_id", "text").mapInArrow(run, "chunk long, doc_id long, n long, body binary")
-
+            words = np.concatenate([np.zeros((0, len(_WORDS)), np.int64), *[parity(value, first) for _, value, first in shingle_sets(batch.column("text"))]])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *[pa.array(np.ascontiguousarray(words[:, k])) for k in range(len(_WORDS))]], ["doc_id", *_WORDS])
 
-def _bodies(group: pa.Table, asked: np.ndarray) -> dict[int, tuple[int, bytes]]:
-    """Size and comparable content of the asked documents: the sketch where there is one, else the sorted shingle hashes."""
-    ids = group.column("doc_id").to_numpy()
-    if "body" in group.column_names:
-        at = np.flatnonzero(member(ids, asked))
-        n, body = group.column("n").to_pylist(), group.column("body").to_pylist()
-        return {int(ids[k]): (n[k], body[k]) for k in at}
-    out = {}
-    for a, value, first in shingle_sets(group.column("text").combine_chunks()):
-        for k in np.flatnonzero(member(ids[a : a + len(first) - 1], asked)):
-            out[int(ids[a + k])] = (int(first[k + 1] - first[k]), value[first[k] : first[k + 1]].tobytes())
-    return out
+    rows = texts.select("doc_id", "text").mapInArrow(run, "doc_id long, " + ", ".join(f"{c} long" for c in _WORDS))
+    return rows.select("doc_id", F.struct(*_WORDS).alias("p"))
 
 
-def compared(table: DataFrame, pairs: DataFrame, chunks: int, may_link) -> DataFrame:
-    """table(chunk, doc_id, text or n and body), pairs(a, b) -> the pairs for which may_link(n, body, n, body) holds.
-
-    The content of `a` goes once to every chunk that holds a partner, never to every partner.
-    """
-    wanted = pairs.select("a", "b", chunk_of("a", chunks).alias("chunk"), chunk_of("b", chunks).alias("goal")).groupBy("chunk", "a", "goal").agg(F.collect_set("b").alias("bs"))
-
-    def send(group: pa.Table, want: pa.Table) -> pa.Table:
-        rows: list[tuple] = []
-        if group.num_rows and want.num_rows:
-            have = _bodies(group, np.unique(want.column("a").to_numpy()))
-            rows = [(g, a, *have[a], bs) for a, g, bs in zip(want.column("a").to_pylist(), want.column("goal").to_pylist(), want.column("bs").to_pylist()) if a in have]
-        return pa.table({"chunk": pa.array([r[0] for r in rows], pa.int64()), "a": pa.array([r[1] for r in rows], pa.int64()), "n": pa.array([r[2] for r in rows], pa.int64()), "own": pa.array([r[3] for r in rows], pa.binary()), "bs": pa.array([r[4] for r in rows], pa.list_(pa.int64()))})
-
-    def meet(group: pa.Table, sent: pa.Table) -> pa.Table:
-        left, right = [], []
-        if group.num_rows and sent.num_rows:
-            have = _bodies(group, np.unique(sent.column("bs").combine_chunks().flatten().to_numpy()))
-            for a, n, own, bs in zip(*(sent.column(c).to_pylist() for c in ("a", "n", "own", "bs"))):
-                hits = [b for b in bs if b in have and may_link(n, own, *have[b])]
-                left += [a] * len(hits)
-                right += hits
-        return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
-
-    sent = table.groupBy("chunk").cogroup(wanted.groupBy("chunk")).applyInArrow(send, "chunk long, a long, n long, own binary, bs array<long>")
-    return table.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long")
-
-
-def verified(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
-    """pairs(a, b) -> the pairs that link. Sketches rule most others out before whole sets travel; survivors are compared on their sets."""
-
-    def near(n, own, m, other):
-        return (100 + threshold) * apart(own, other) <= (100 - threshold) * (n + m)
-
-    def links(n, own, m, other):
-        common = int(member(np.frombuffer(other, np.uint64), np.frombuffer(own, np.uint64)).sum())
-        return 100 * common >= threshold * (n + m - common)
-
-    asked = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    some = written(picked(texts, asked))
-    left = written(compared(written(sketches(some)), pairs, chunks, near))
-    return compared(some, left, chunks, links)
+def plausible(p, q, n, m, threshold: int = THRESHOLD):
+    """Column: whether sets of n and m elements may be similar enough, by their sketches p and q."""
+    differ = sum((F.bit_count(p[c].bitwiseXOR(q[c])) for c in _WORDS[1:]), F.bit_count(p[_WORDS[0]].bitwiseXOR(q[_WORDS[0]])))
+    return (100 + threshold) * differ <= (100 - threshold) * (n + m)
 
 
 def picked(texts: DataFrame, ids: DataFrame) -> DataFrame:
@@ -367,10 +314,10 @@ def picked(texts: DataFrame, ids: DataFrame) -> DataFrame:
     return texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
 
 
-def starred(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
-    """texts(chunk, doc_id, text), pairs(a hub, b) -> (a, b, apart long, linked boolean): the difference of each pair of sets.
+def linked(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THRESHOLD) -> DataFrame:
+    """texts(chunk, doc_id, text), pairs(a, b) -> the pairs that link, by their whole sets.
 
-    The set of a hub goes once to every chunk that holds a partner.
+    The set of `a` goes once to every chunk that holds a partner, never to every partner.
     """
 
     def sets(batches):
@@ -382,21 +329,24 @@ def starred(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = TH
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(own, pa.binary())], ["a", "n", "own"])
 
     def meet(group: pa.Table, sent: pa.Table) -> pa.Table:
-        out: list[tuple] = []
+        left, right = [], []
         if group.num_rows and sent.num_rows:
-            have = _bodies(group, np.unique(sent.column("bs").combine_chunks().flatten().to_numpy()))
+            ids, asked, have = group.column("doc_id").to_numpy(), np.unique(sent.column("bs").combine_chunks().flatten().to_numpy()), {}
+            for a, value, first in shingle_sets(group.column("text").combine_chunks()):
+                for k in np.flatnonzero(member(ids[a : a + len(first) - 1], asked)):
+                    have[int(ids[a + k])] = value[first[k] : first[k + 1]].copy()
             for a, n, own, bs in zip(*(sent.column(c) for c in ("a", "n", "own", "bs"))):
-                a, n, hub = a.as_py(), n.as_py(), np.frombuffer(own.as_py(), np.uint64)
+                a, n, whole = a.as_py(), n.as_py(), np.frombuffer(own.as_py(), np.uint64)
                 for b in bs.as_py():
-                    m, other = have[b]
-                    common = int(member(np.frombuffer(other, np.uint64), hub).sum())
-                    out.append((a, b, n + m - 2 * common, 100 * common >= threshold * (n + m - common)))
-        columns = list(zip(*out)) if out else [[]] * 4
-        return pa.table({c: pa.array(x, t) for c, x, t in zip(("a", "b", "apart", "linked"), columns, (pa.int64(), pa.int64(), pa.int64(), pa.bool_()))})
+                    common = int(member(have[b], whole).sum())
+                    if 100 * common >= threshold * (n + len(have[b]) - common):
+                        left.append(a)
+                        right.append(b)
+        return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
-    hubs = picked(texts, pairs.select(F.col("a").alias("doc_id")).distinct()).select("doc_id", "text").mapInArrow(sets, "a long, n long, own binary")
-    sent = pairs.select("a", "b", chunk_of("b", chunks).alias("chunk")).groupBy("chunk", "a").agg(F.collect_list("b").alias("bs")).join(hubs, "a")
-    return texts.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long, apart long, linked boolean")
+    bodies = picked(texts, pairs.select(F.col("a").alias("doc_id")).distinct()).select("doc_id", "text").mapInArrow(sets, "a long, n long, own binary")
+    sent = pairs.select("a", "b", chunk_of("b", chunks).alias("chunk")).groupBy("chunk", "a").agg(F.collect_list("b").alias("bs")).join(bodies, "a")
+    return texts.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long")
 
 
 def contracted(joined: DataFrame, links: DataFrame) -> DataFrame:
@@ -428,44 +378,40 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     texts = written(picked(docs, needed).dropDuplicates(["doc_id"]))
     chunks = chunk_count(texts)
     texts = texts.withColumn("chunk", chunk_of("doc_id", chunks))
+    sketch = written(sketches(texts))
     joined = written(needed.select(F.col("doc_id").alias("id"), F.col("doc_id").alias("component")))
     fits = lambda a, b: (100 * F.least(a, b) >= threshold * F.greatest(a, b))
-
-    before, known, most = math.inf, [], 1
-    while True:
-        placed = groups.join(joined.withColumnRenamed("id", "rep"), "rep")
-        mixed = written(open_groups(placed))
-        members, pairs = mixed.agg(F.sum("total"), F.sum("open")).first()
-        if not pairs:
-            break
-        placed = placed.join(mixed, "grp")
-        if len(known) > 1 and (pairs <= OPEN_PAIRS * members or pairs > SHRINK * before or most > HUBS):
-            for k, (hubs, found) in enumerate(known):  # differences from the hubs of the first rounds, for the metric's bound
-                apart_of = found.select(F.col("a").alias("hub"), F.col("b").alias("rep"), F.col("apart").alias(f"d{k}"))
-                placed = placed.join(hubs, "grp", "left").join(apart_of, ["hub", "rep"], "left").withColumn(f"d{k}", F.when(F.col("hub") == F.col("rep"), 0).otherwise(F.col(f"d{k}"))).drop("hub")
-            placed = written(placed.select("grp", "rep", "n", "component", "d0", "d1"))
-            one, two = (placed.select("grp", F.col("rep").alias(x), *[F.col(c).alias(f"{c}_{x}") for c in ("n", "component", "d0", "d1")]) for x in "ab")
-            near = (F.col("a") < F.col("b")) & (F.col("component_a") != F.col("component_b")) & fits(F.col("n_a"), F.col("n_b"))
-            for c in ("d0", "d1"):
-                near = near & F.coalesce((100 + threshold) * F.abs(F.col(f"{c}_a") - F.col(f"{c}_b")) <= (100 - threshold) * (F.col("n_a") + F.col("n_b")), F.lit(True))
-            left = written(one.join(two, "grp").where(near).select("a", "b").distinct())
-            if not left.isEmpty():
-                joined = contracted(joined, verified(texts, left, chunks, threshold))
-            break
+    side = lambda x: sketch.select(F.col("doc_id").alias(x), F.col("p").alias(f"p{x}"))
+
+    def compared(star):
+        """(hub, rep, n) -> pairs that link, of those that sketches let through."""
+        star = star.where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n")))
+        pairs = star.select(F.col("hub.rep").alias("a"), F.col("hub.n").alias("na"), F.col("rep").alias("b"), F.col("n").alias("nb")).distinct()
+        near = pairs.join(side("a"), "a").join(side("b"), "b").where(plausible(F.col("pa"), F.col("pb"), F.col("na"), F.col("nb"), threshold))
+        return written(linked(texts, written(near.select("a", "b")), chunks, threshold))
+
+    def placed():
+        return groups.join(joined.withColumnRenamed("id", "rep"), "rep")
+
+    hubs = groups.groupBy("grp").agg(F.min(F.struct("rep", "n")).alias("hub"))
+    joined = contracted(joined, compared(groups.join(hubs, "grp").groupBy("rep", "n").agg(F.min("hub").alias("hub"))))
+    for seed, most in enumerate(ROUNDS):
+        members = placed().join(written(open_groups(placed())), "grp")
         # hubs out of the largest component: the members with the smallest digests under so many seeds
         digest = lambda k: F.min(F.struct(F.xxhash64("rep", F.lit(k)).alias("digest"), "rep", "n"))
-        seeds = range(1000 * len(known), 1000 * len(known) + most) if len(known) > 1 else [1000 * len(known)]
-        hubs = written(placed.where("component = main").groupBy("grp").agg(F.array_distinct(F.array(*[digest(k) for k in seeds])).alias("hubs")))
-        others = placed if len(known) < 2 else placed.where("component <> main")
-        star = others.join(hubs, "grp").select("rep", "n", F.explode("hubs").alias("hub")).where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n")))
-        star = written(star.select(F.col("hub.rep").alias("a"), F.col("rep").alias("b")).distinct())
-        found = written(starred(texts, star, chunks, threshold))
-        if len(known) < 2:
-            known.append((hubs.select("grp", F.element_at("hubs", 1)["rep"].alias("hub")), found))
-        else:
-            before = pairs
-            most *= 2
-        joined = contracted(joined, found.where("linked").select("a", "b"))
+        hubs = members.where("component = main").groupBy("grp").agg(F.array_distinct(F.array(*[digest(100 * seed + k) for k in range(most)])).alias("hubs"))
+        star = written(members.where("component <> main").join(hubs, "grp").select("rep", "n", F.explode("hubs").alias("hub")).distinct())
+        found = compared(star)
+        joined = contracted(joined, found)
+        if found.count() <= LINKING * star.count():
+            break
+    open_ = placed().join(written(open_groups(placed())), "grp").join(side("rep"), "rep")
+    open_ = written(open_.select("grp", "rep", "n", "component", "prep"))
+    one, two = (open_.select("grp", F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("component").alias(f"c{x}"), F.col("prep").alias(f"p{x}")) for x in "ab")
+    near = (F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & fits(F.col("na"), F.col("nb")) & plausible(F.col("pa"), F.col("pb"), F.col("na"), F.col("nb"), threshold)
+    left = written(one.join(two, "grp").where(near).select("a", "b").distinct())
+    if not left.isEmpty():
+        joined = contracted(joined, linked(texts, left, chunks, threshold))
     label = classes.select("class", "rep").join(joined.withColumnRenamed("id", "rep"), "rep", "left").select("class", F.coalesce("component", "rep").alias("component_id"))
     return nodes.join(label, "class", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
@@ -477,4 +423,4 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: of each group of near duplicates the document with the smallest id stays."""
     gone = near_duplicates(docs).where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(gone, "doc_id", "left_anti").select(*[field(c) for c in docs.columns])
