@@ -14,6 +14,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from driftlattice.sources.ledger import dropped, written  # noqa: F401
 
@@ -57,6 +58,43 @@ def field(name: str):
     return F.col("`" + name.replace("`", "``") + "`")
 
 
+# ---------------------------------------------------------------- maps over whole texts
+
+
+def text_map(docs: DataFrame, keep, added: str, run) -> DataFrame:
+    """docs(text, *keep) -> (*keep, columns of the DDL `added`): run() makes the added columns of a batch's texts, an iterator of them over batches' texts.
+
+    Kept columns pass through untouched, whatever their names; an added name that is among them is refused.
+    """
+    new = T._parse_datatype_string(added) if isinstance(added, str) else added
+    clash = [f.name for f in new if fresh(keep, f.name) != f.name]
+    if clash:
+        raise ValueError(f"a kept column is called {clash[0]}, like a new one")
+    source = docs.select(*[field(c) for c in keep], F.col("text").cast("string"))
+    names, plain = [*keep, *new.names], [f"c{k}" for k in range(len(keep) + len(new))]
+    schema = T.StructType([T.StructField(c, f.dataType) for c, f in zip(plain, [*source.schema.fields[:-1], *new.fields])])
+
+    def mapped(batches):
+        work = run()
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *work(batch.columns[-1])], plain)
+
+    return source.toDF(*plain[: len(keep)], "text").mapInArrow(mapped, schema).toDF(*names)
+
+
+def text_filter(docs: DataFrame, run) -> DataFrame:
+    """The rows of docs whose texts run() says to keep (a function from a batch's texts to a mask); only these rows travel back, once."""
+    at = docs.columns.index("text")
+    plain = docs.toDF(*[f"c{k}" for k in range(len(docs.columns))])  # any name will do outside
+
+    def filtered(batches):
+        keep = run()
+        for batch in batches:
+            yield batch.filter(pa.array(keep(batch.columns[at].cast(pa.string()))))
+
+    return plain.mapInArrow(filtered, plain.schema).toDF(*docs.columns)
+
+
 # ---------------------------------------------------------------- Arrow text buffers
 
 
