@@ -1,9 +1,9 @@
 """Toxicity by a classifier chain of sparse linear models.
 
 The categories are predicted one after another; the model of each category sees the hashed words
-and word stems of the text and the log odds that the chain gave for the earlier categories. When it learns,
-those odds come from models that did not see the row (out-of-fold predictions over FOLDS folds),
-so a later model learns how far earlier ones can be trusted on new rows.
+and word stems of the text and the probabilities that the chain gave for the earlier categories. When it
+learns, those probabilities come from models that did not see the row (out-of-fold predictions over
+FOLDS folds), so a later model learns how far earlier ones can be trusted on new rows.
 
 The labels table has two judgements per document; the chain's default order is low quality first,
 then toxic. More label columns extend the chain.
@@ -13,8 +13,9 @@ bound); the predictor runs over every whole text as an Arrow map without any shu
 
 Defined cases: null or empty texts have no features and get the prior; labels that are null or
 contradict each other teach nothing for that category; a category with one class only learned
-gets the constant share; ids that are null match no label; repeated rows are scored each; an empty
-table gives an empty result.
+gets the constant share; ids that are null match no label; repeated rows are scored each, and learned
+each if their id has a label; very long texts are scored whole; a probability of exactly CUT counts as
+toxic; kept columns that are called like the new ones are refused; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -27,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import TOKEN_BYTE, Hasher, mix, row_slices, spans, text_buffer
+from driftlattice.llm.shared import TOKEN_BYTE, Hasher, mix, row_slices, spans, text_buffer, text_map
 
 SAMPLE = 8_000
 FOLDS = 5
@@ -131,20 +132,21 @@ def fit_chain(index: np.ndarray, first: np.ndarray, labels: dict[str, np.ndarray
         for k in range(FOLDS):
             train, test = rows[fold[rows] != k], np.flatnonzero(fold == k)
             model = Linear().fit(*take_rows(index, first, train), earlier[train], y[train].astype(float), width)
-            out_of_fold[test] = model.log_odds(*take_rows(index, first, test), earlier[test])
+            out_of_fold[test] = sigmoid(model.log_odds(*take_rows(index, first, test), earlier[test]))
         models.append(Linear().fit(*take_rows(index, first, rows), earlier[rows], y[rows].astype(float), width))
-        earlier = np.column_stack([earlier, np.clip(out_of_fold, -8, 8)])
+        earlier = np.column_stack([earlier, out_of_fold])
     full = np.zeros((len(models), 1 << BITS), np.float32)
     for k, model in enumerate(models):
         full[k, often] = model.w[: int(often.sum())]
     return {"names": list(labels), "weights": full, "bias": [m.bias for m in models], "later": [m.v for m in models]}
 
 
-def chain_odds(model: dict, index: np.ndarray, first: np.ndarray) -> np.ndarray:
+def chain_chances(model: dict, index: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Probability of each category, each fed to the models of the later ones."""
     out = np.zeros((len(first) - 1, 0))
     for k in range(len(model["names"])):
         odds = model["bias"][k] + row_sums(model["weights"][k][index].astype(np.float64), first) + out @ model["later"][k]
-        out = np.column_stack([out, np.clip(odds, -8, 8)])
+        out = np.column_stack([out, sigmoid(odds)])
     return out
 
 
@@ -175,20 +177,15 @@ def predict(docs: DataFrame, model: dict, keep=("doc_id",), cut: float = CUT) ->
     """docs(text, *keep) -> (*keep, p_<category> ..., <last category> boolean)."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     names = model["names"]
-    source = docs.select(*keep, F.col("text").cast("string").alias("__text"))
-    schema = ", ".join(f"`{c}` {t}" for c, t in source.dtypes if c != "__text") + "".join(f", p_{c} double" for c in names) + f", {names[-1]} boolean"
 
-    def run(batches):
-        for batch in batches:
-            texts = batch.column("__text")
-            odds = [np.zeros((0, len(names)))]
-            for a, b in row_slices(texts):
-                odds.append(chain_odds(shared.value, *features(texts.slice(a, b - a))))
-            chance = sigmoid(np.concatenate(odds))
-            kept = [c for c in batch.schema.names if c != "__text"]
-            yield pa.RecordBatch.from_arrays([*[batch.column(batch.schema.names.index(c)) for c in kept], *[pa.array(chance[:, k]) for k in range(len(names))], pa.array(chance[:, -1] >= cut)], [*kept, *[f"p_{c}" for c in names], names[-1]])
-
-    return source.mapInArrow(run, schema)
+    def run():
+        def columns(texts):
+            chance = np.concatenate([np.zeros((0, len(names))), *[chain_chances(shared.value, *features(texts.slice(a, b - a))) for a, b in row_slices(texts)]])
+            return *[pa.array(chance[:, k]) for k in range(len(names))], pa.array(chance[:, -1] >= cut)
+
+        return columns
+
+    return text_map(docs, keep, "".join(f"p_{c} double, " for c in names) + f"{names[-1]} boolean", run)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
