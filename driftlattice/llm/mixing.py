@@ -13,7 +13,11 @@ documents of the one bucket where the cut falls, so no task ever holds a source.
 
 Defined cases: null or blank text has size 0 and takes nothing; a null source is a source of its
 own, ranked last; an empty table gives an empty result; repeated ids share their digest, so their
-order among each other does not change any sum; other columns of the table are ignored.
+order among each other does not change any sum; other columns of the table are ignored, or carried
+along where `keep` names them, whatever their names but those of the result.
+
+Sources are ranked in one task (a row each, cycling weights need their order); everything else is per
+source and digest bucket.
 """
 
 from __future__ import annotations
@@ -21,7 +25,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import word_count, written
+from driftlattice.llm.shared import field, word_count, written
 
 EPOCHS = 3
 WEIGHTS = (1, 2, 3)
@@ -74,7 +78,12 @@ def mix(docs: DataFrame, epochs: int = EPOCHS, weights=WEIGHTS, seed: str = SEED
     in the seeded order lies within the fractional part. `keep` names columns to carry along.
     """
     digest = F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))))
-    sized = written(docs.select("doc_id", "source", *[c for c in keep if c != "source"], word_count(F.col("text")).alias("size"), digest.alias("digest")))
+    own = {"doc_id", "size", "source_size", "target", "taken"}
+    if clash := [c for c in keep if c.lower() in own]:
+        raise ValueError(f"a kept column is called {clash[0]}, like one of the result")
+    # kept columns travel in one struct, so none of their names meets ours
+    carried = [F.struct(*[field(c) for c in keep]).alias("carried")] if keep else []
+    sized = written(docs.select("doc_id", "source", *carried, word_count(F.col("text").cast("string")).alias("size"), digest.alias("digest")))
     sized = sized.withColumn("bucket", F.substring("digest", 1, PREFIX))
     buckets = sized.groupBy("source", "bucket").agg(F.sum("size").alias("bucket_size"))
     targets = water_fill(cycling_weights(buckets.groupBy("source").agg(F.sum("bucket_size").alias("source_size"))), None, epochs)
@@ -89,7 +98,7 @@ def mix(docs: DataFrame, epochs: int = EPOCHS, weights=WEIGHTS, seed: str = SEED
     placed = sized.join(F.broadcast(cuts) if _small(cuts) else cuts, F.col("source").eqNullSafe(F.col("s")) & (F.col("bucket") == F.col("k")))
     in_cut = (F.col("before") < F.col("extra")) & (F.col("before") + F.col("bucket_size") > F.col("extra"))
     order = Window.partitionBy("s", "k").orderBy("digest", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    out = ["doc_id", *keep, "size", "source_size", "target"]
+    out = ["doc_id", *[F.col("carried")[c].alias(c) for c in keep], "size", "source_size", "target"]
     settled = placed.where(~in_cut).select(*out, (F.col("size") * (F.col("whole") + (F.col("before") + F.col("bucket_size") <= F.col("extra")).cast("long"))).alias("taken"))
     split = placed.where(in_cut).withColumn("upto", F.col("before") + F.sum("size").over(order))
     split = split.select(*out, (F.col("size") * (F.col("whole") + (F.col("upto") <= F.col("extra")).cast("long"))).alias("taken"))
