@@ -141,6 +141,42 @@ def test_linked_vectors_equal_brute_force(spark):
     assert got[None] == (0, None, None)
 
 
+@pytest.mark.parametrize("blocks", [1, 2, 3, 4])
+def test_pairs_at_the_threshold_meet_and_others_hardly(blocks):
+    rng = np.random.default_rng(blocks)
+    least = math.ceil(lattice_dedup.SELECTIVITY ** (blocks - 0.5))
+    assert lattice_dedup.plan_of(least) == (blocks, tables := 4 << (blocks - 1))
+    for dim in (16, 64, 384):
+        u = rng.standard_normal((600, dim))
+        u /= np.linalg.norm(u, axis=1, keepdims=True)
+        w = rng.standard_normal((600, dim))
+        w -= (w * u).sum(1, keepdims=True) * u
+        w /= np.linalg.norm(w, axis=1, keepdims=True)
+        v = 0.98 * u + math.sqrt(1 - 0.98**2) * w
+        met, chance = np.zeros(600, bool), 0
+        for t in range(tables):
+            a, b = (lattice_dedup.cells(x, t, blocks, lattice_dedup.PROBES, lattice_dedup.SCALE) for x in (u, v))
+            met |= (a[:, :1] == b).any(1) | (b[:, :1] == a).any(1)
+            other = np.roll(v, 1, 0)
+            c = lattice_dedup.cells(other, t, blocks, lattice_dedup.PROBES, lattice_dedup.SCALE)
+            chance += int((a[:, :1] == c).any(1).sum())
+        assert met.mean() >= 0.98
+        assert chance <= 600 * tables * 4 / lattice_dedup.SELECTIVITY**blocks + 3
+
+
+def test_links_with_more_blocks(spark):
+    """The plans of larger inputs find the links of the brute force as well."""
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=(40, 48))
+    vectors = [base[i % 40] + rng.normal(size=48) * rng.choice([0.02, 0.06, 0.1, 0.2]) for i in range(300)]
+    unit = np.array([v / np.linalg.norm(v) for v in vectors])
+    want = np.argwhere(np.triu(unit @ unit.T >= 0.98, 1))
+    df = spark.createDataFrame([(i, [float(x) for x in v], 1) for i, v in enumerate(vectors)], "vec_id long, embedding array<double>, label int")
+    for plan in ((2, 8), (3, 16)):
+        got = sum(r.n_links for r in lattice_dedup.linked_vectors(df, plan=plan).collect()) / 2
+        assert len(want) > 100 and 0.9 * len(want) <= got <= len(want)
+
+
 # ---------------------------------------------------------------- 2
 
 
@@ -575,7 +611,9 @@ def test_sketches_never_exceed_the_difference():
     for _ in range(50):
         a = rng.integers(0, 2**63, rng.integers(1, 900), dtype=np.uint64)
         b = np.concatenate([a[: rng.integers(0, len(a) + 1)], rng.integers(0, 2**63, rng.integers(1, 3000), dtype=np.uint64)])
-        assert jaccard.apart(jaccard.sketch(a), jaccard.sketch(b)) <= len(set(a.tolist()) ^ set(b.tolist()))
+        p, q = jaccard.parity(np.concatenate([a, b]), np.array([0, len(a), len(a) + len(b)]))
+        differ = sum(int(x).bit_count() for x in (p ^ q).view(np.uint64))
+        assert differ <= len(set(a.tolist()) ^ set(b.tolist())) and (len(b) > 600 or differ > 0)
 
 
 # ---------------------------------------------------------------- 8
@@ -602,9 +640,13 @@ def test_automaton_accepts_exactly_the_substrings():
 def test_phrases_are_longest_matches():
     refs = {"x": b"the cat sat on the mat", "y": b"der hund sass auf der matte"}
     model = language.parse_tables(refs)
-    texts = ["the mat sat", "der matte hund", "zzz", ""]
+    rng = random.Random(3)
+    texts = ["the mat sat", "der matte hund", "zzz", "", refs["x"].decode() * 2] + ["".join(rng.choice("the cat der hund ") for _ in range(rng.randint(1, 60))).strip() for _ in range(60)]
+    texts = [" ".join(t.split()) for t in texts]
     raw, offsets = language.folded_bytes(pa.array(texts))
     got = language.count_phrases(model, raw, offsets, 10_000)
+    for segment in (1, 2, 3, 5):  # parses of segments are joined exactly
+        assert (language.count_phrases(model, raw, offsets, segment) == got).all()
     for t, row in zip(texts, got):
         for lang, n in zip(model["langs"], row):
             want, phrase = (1, b"") if t else (0, b"")
@@ -773,6 +815,52 @@ def test_every_accepted_run_keeps_a_seed():
     assert all(decontaminate.matches(index, words, first)[t, 0][1] == 10 for t in range(31))
 
 
+def test_hits_equal_brute_force(spark):
+    """All alignments of all items, compared word by word, against seeds, diagonals and runs; repeated items and rows, ties."""
+    rng = random.Random(14)
+    words = [f"w{k}" for k in range(3000)]
+    items = [(k, rng.choices(words, k=n)) for k, n in enumerate([5, 6, 7, 8, 9, 10, 11, 12, 14, 18, 25, 30] * 3)]
+    items += [(900, items[8][1]), (901, items[3][1]), (4, items[4][1])]
+    rows = []
+    for i in range(260):
+        body = rng.choices(words, k=rng.randint(0, 40))
+        item = list(rng.choice(items)[1])
+        for _ in range(rng.randint(0, 4)):
+            item[rng.randrange(len(item))] = "other"
+        cut = rng.choice([0, 0, 0, 1, 3])
+        rows.append((i, " ".join(body[:10] + item[cut : len(item) - rng.choice([0, 0, cut])] + body[10:])))
+    rows += rows[:5]
+    bench = spark.createDataFrame([(k, " ".join(w)) for k, w in items], "item_id long, text string")
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+
+    def best(same):
+        runs = [(sum(1 if x else -decontaminate.MISS for x in same[i:j]), i, j) for i in range(len(same)) for j in range(i + 1, len(same) + 1)]
+        top = max(runs)[0]
+        starts_well = lambda i, j: all(sum(1 if x else -decontaminate.MISS for x in same[i:e]) > 0 for e in range(i + 1, j))
+        return top, max(sum(same[i:j]) for score, i, j in runs if score == top and starts_well(i, j))
+
+    want = []
+    for i, text in rows:
+        doc, hit = text.split(), set()
+        for k, item in items:
+            for d in range(-len(item) + 1, len(doc)):
+                a, b = max(0, -d), min(len(item), len(doc) - d)
+                same = [item[x] == doc[x + d] for x in range(a, b)]
+                if sum(same) < 5:
+                    continue
+                n = len(item)
+                if n < decontaminate.SPAN:
+                    ok = b - a == n and sum(same) >= (n - 1 if n >= decontaminate.TOLERANT else n)
+                else:
+                    ok = best(same)[1] >= decontaminate.MIN_WORDS and best(same)[0] > 0
+                if ok:
+                    hit.add(k)
+        want.append((i, tuple(sorted(hit))))
+    got = [(r.doc_id, tuple(r["items"])) for r in decontaminate.contamination(df, bench).collect()]
+    assert sorted(got) == sorted(want) and sum(bool(x) for _, x in want) > 100
+    assert sorted(r.doc_id for r in decontaminate.contamination(df, bench.union(bench)).where("n_items > 0").collect()) == sorted(i for i, x in want if x)
+
+
 def test_contamination_tolerates_substitutions(spark, docs, empty):
     rng = random.Random(12)
     words = ["".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(900)]
@@ -806,6 +894,23 @@ def test_best_run_is_the_best_segment():
 # ---------------------------------------------------------------- all
 
 
+def test_clashing_columns_are_kept(spark, docs):
+    """Stages keep extra columns that are called like their own; maps refuse to name two columns alike."""
+    df, _ = docs
+    names = ["score", "LANG_PRED", "items", "contaminated", "__text", "base", "terms", "text_key", "class", "n", "component_id", "a.b", "bucket", "digest", "size", "taken"]
+    wide = df.withColumns({c: F.lit(f"own {c}") for c in names})
+    kept = language.text_filter(wide, lambda: lambda texts: np.array([t is not None and len(t) > 20 for t in texts.to_pylist()], bool))
+    for out in (kept, private_terms.stage(spark, wide, ""), jaccard.stage(spark, wide, "")):
+        assert out.columns == wide.columns
+        rows = out.collect()
+        assert rows and all(r[c] == f"own {c}" for r in rows for c in names)
+    mixed = mixing.mix(wide, keep=[c for c in wide.columns if c not in ("doc_id", "size", "taken")]).collect()
+    assert len(mixed) == df.count() and all(r[c] == f"own {c}" for r in mixed for c in names if c not in ("size", "taken"))
+    for refused in (lambda: language.identify(wide, {}, ["doc_id", "score"]), lambda: toxicity.predict(wide.withColumn("toxic", F.lit(1)), {"names": ["toxic"]}, ["toxic"])):
+        with pytest.raises(ValueError):
+            refused()
+
+
 def test_empty_tables(spark, empty):
     assert context_tree.score(empty, context_tree.fold() == 1).count() == 0
     assert substring.remove_repeats(empty).count() == 0
