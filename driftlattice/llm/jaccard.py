@@ -52,6 +52,8 @@ COMMON, COMMON_FROM, COMMON_BLOCK = 1_000_000, 6, 4_000_000
 BUCKET_BYTES = 16 << 20
 #: Ids that may be broadcast to pick the documents to verify; beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
+#: Sketches (of SKETCH bits) that may be broadcast.
+BROADCAST_SKETCHES = 100_000
 #: Rounds of stars (by their hubs a group) end early when a round links less than LINKING of what it compares with hubs.
 ROUNDS, LINKING = (1, 2, 4, 8, 16), 0.01
 #: Bits of a parity sketch; about as many as a set has elements make a sharp one, fewer a weaker one that lets more pairs through.
@@ -344,6 +346,7 @@ def linked(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THR
                         right.append(b)
         return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
+    texts = picked(texts, pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
     bodies = picked(texts, pairs.select(F.col("a").alias("doc_id")).distinct()).select("doc_id", "text").mapInArrow(sets, "a long, n long, own binary")
     sent = pairs.select("a", "b", chunk_of("b", chunks).alias("chunk")).groupBy("chunk", "a").agg(F.collect_list("b").alias("bs")).join(bodies, "a")
     return texts.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long")
@@ -383,11 +386,17 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     fits = lambda a, b: (100 * F.least(a, b) >= threshold * F.greatest(a, b))
     side = lambda x: sketch.select(F.col("doc_id").alias(x), F.col("p").alias(f"p{x}"))
 
+    def handy(rows):
+        """Sketches, broadcast after a count."""
+        return F.broadcast(rows) if rows.limit(BROADCAST_SKETCHES + 1).count() <= BROADCAST_SKETCHES else rows
+
     def compared(star):
         """(hub, rep, n) -> pairs that link, of those that sketches let through."""
         star = star.where((F.col("rep") != F.col("hub.rep")) & fits(F.col("n"), F.col("hub.n")))
         pairs = star.select(F.col("hub.rep").alias("a"), F.col("hub.n").alias("na"), F.col("rep").alias("b"), F.col("n").alias("nb")).distinct()
-        near = pairs.join(side("a"), "a").join(side("b"), "b").where(plausible(F.col("pa"), F.col("pb"), F.col("na"), F.col("nb"), threshold))
+        # the sketch of a member once, however many hubs it meets; hubs are few
+        met = pairs.groupBy("b", "nb").agg(F.collect_list(F.struct("a", "na")).alias("hubs")).join(side("b"), "b").select("b", "nb", "pb", F.explode("hubs").alias("h")).select("b", "nb", "pb", "h.*")
+        near = met.join(handy(side("a").join(star.select(F.col("hub.rep").alias("a")).distinct(), "a", "left_semi")), "a").where(plausible(F.col("pa"), F.col("pb"), F.col("na"), F.col("nb"), threshold))
         return written(linked(texts, written(near.select("a", "b")), chunks, threshold))
 
     def placed():
