@@ -2,6 +2,11 @@
 
 Every stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; all but the
 last return the columns of `documents`, each is written as Parquet and read again for the next.
+
+Defined cases: empty tables stay empty; documents without text go at the first stage, as they have no
+language; repeated rows and rows with a null id are kept or dropped alike, but rows of one id are one
+document for the near duplicates; further columns pass through all stages, whatever their names,
+except that the last one replaces columns called like its own (size, source_size, target, taken).
 """
 
 from __future__ import annotations
@@ -15,7 +20,7 @@ from driftlattice.llm.shared import written
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The surviving documents with the words that the mix takes of each (repeats counted)."""
     own = ("doc_id", "size", "source_size", "target", "taken")
-    return mixing.mix(docs, keep=[c for c in docs.columns if c not in own])
+    return mixing.mix(docs, keep=[c for c in docs.columns if c.lower() not in own])
 
 
 STAGES = [
