@@ -7,14 +7,19 @@ Three routes give the same counts:
   all inside the JVM; candidates are broadcast when their number is checked to be small;
 * count_segmented: the same over slices of a batch, whose summaries compose, so a batch of any size
   is counted in parallel and only ell numbers per candidate and slice are shuffled;
-* count_kernel: an Arrow kernel that jumps from match to match through sorted (symbol, place) keys,
-  for many candidates over long slices.
+* count_kernel and count_grid: Arrow kernels that jump from match to match through sorted (symbol,
+  place) keys, for many candidates over long slices. The kernel takes one bounded list for all
+  batches, the grid a table of candidates per batch, dealt in blocks that meet every slice once.
+
+The kernels know three classes: serial episodes, parallel ones (multisets of labels, which need a
+batch in one slice) and itemsets (ticks that hold all labels; slices add up).
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -23,6 +28,9 @@ from driftlattice.params import EpisodeSpec
 
 #: Candidates that may be broadcast to a counting join; beyond it the join shuffles.
 BROADCAST_CANDIDATES = 100_000
+#: Candidates of a batch that meet a slice in one task of the grid.
+GRID_BLOCK = 50_000
+MARK = {"serial": ">", "parallel": "+", "itemset": "+"}
 
 
 def small(df: DataFrame, most: int = BROADCAST_CANDIDATES) -> DataFrame:
@@ -33,9 +41,9 @@ def small(df: DataFrame, most: int = BROADCAST_CANDIDATES) -> DataFrame:
 def enumerate_all(symbols: DataFrame, ell: int, kind: str = "serial", repeats: bool = True) -> DataFrame:
     """(nodes) of all episodes of a size over an alphabet (symbol): brute force for small alphabets."""
     out = symbols.select(F.array("symbol").alias("nodes"))
-    one = symbols.select(F.col("symbol").alias("nxt"))
+    one = small(symbols.select(F.col("symbol").alias("nxt")))
     for _ in range(ell - 1):
-        out = out.crossJoin(F.broadcast(one))
+        out = out.crossJoin(one)
         if kind != "serial":
             last = F.element_at("nodes", -1)
             out = out.where(F.col("nxt") >= last if repeats else F.col("nxt") > last)
@@ -71,11 +79,9 @@ def _named(df: DataFrame, mark: str) -> DataFrame:
 
 
 def count_segmented(seqs: DataFrame, cands: DataFrame, ell: int, ties: bool = True) -> DataFrame:
-    """(batch_id, key, nodes, freq) from several slices per batch."""
-    sums = seqs.crossJoin(small(cands)).select("batch_id", "seg", "nodes", E.slice_moves(F.col("seq"), F.col("nodes"), ell, ties).alias("g"))
-    folded = sums.groupBy("batch_id", "nodes").agg(F.array_sort(F.collect_list(F.struct("seg", "g"))).alias("parts"))
-    moves = E.fold_slices(F.transform("parts", lambda x: x["g"]), ell)
-    return _named(folded.select("batch_id", "nodes", F.floor(moves / ell).cast("long").alias("freq")).where("freq > 0"), ">")
+    """(batch_id, key, nodes, freq) from several slices per batch: the grid over every candidate in every batch."""
+    every = small(seqs.select("batch_id").distinct()).crossJoin(cands.select("nodes"))
+    return _named(count_grid(seqs, every).where("freq > 0"), ">")
 
 
 def count_carried(seqs: DataFrame, cands: DataFrame, ell: int, ties: bool = True) -> DataFrame:
@@ -109,37 +115,155 @@ def waits(keys: np.ndarray, width: int, cands: np.ndarray, start: np.ndarray) ->
     return moves
 
 
-def count_kernel(seqs: DataFrame, cands: list[tuple[str, ...]]) -> DataFrame:
-    """(batch_id, cand int, freq long) for serial candidates of one or several sizes, by their place in the list.
+def parallel_waits(keys: np.ndarray, width: int, cands: np.ndarray) -> np.ndarray:
+    """Occurrences of each multiset of labels (row of sorted symbol ids): each round goes to the tick where the last label is found."""
+    n, ell = cands.shape
+    again = np.zeros(cands.shape, np.int64)  # equal labels before a node: it takes so many matches more
+    for i in range(1, ell):
+        again[:, i] = np.where(cands[:, i] == cands[:, i - 1], again[:, i - 1] + 1, 0)
+    done, place, live = np.zeros(n, np.int64), np.zeros(n, np.int64), np.arange(n)
+    while len(live):
+        want = cands[live] * width
+        at = np.searchsorted(keys, want + place[live][:, None]) + again[live]
+        found = at < len(keys)
+        found[found] = keys[at[found]] < (want + width)[found]
+        whole = found.all(1)
+        live, at, want = live[whole], at[whole], want[whole]
+        place[live] = (keys[at] - want).max(1) + 1 if len(live) else place[live]
+        done[live] += 1
+    return done
+
+
+def itemset_ticks(keys: np.ndarray, width: int, cands: np.ndarray) -> np.ndarray:
+    """Ticks that hold all labels of each set (row of symbol ids)."""
+    edge = np.searchsorted(keys, np.arange(int(cands.max(initial=0)) + 2) * width)
+    out = np.zeros(len(cands), np.int64)
+    for k, row in enumerate(cands):
+        lists = sorted((keys[edge[x] : edge[x + 1]] - x * width for x in row), key=len)
+        have = lists[0]
+        for other in lists[1:]:
+            have = have[np.isin(have, other, assume_unique=True)]
+        out[k] = len(have)
+    return out
+
+
+def slice_keys(seq: pa.Array, symbols: pa.Array) -> tuple[np.ndarray, int]:
+    """A slice's ticks (labels, or lists of labels) as sorted symbol * width + place, and the width."""
+    if pa.types.is_list(seq.type):
+        place, flat = np.repeat(np.arange(len(seq)), pc.list_value_length(seq).to_numpy(zero_copy_only=False).astype(np.int64)), seq.flatten()
+    else:
+        place, flat = np.arange(len(seq)), seq
+    number = pc.fill_null(pc.index_in(flat, value_set=symbols), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+    known = number >= 0
+    return np.unique(number[known] * (len(seq) + 1) + place[known]), len(seq) + 1
+
+
+def slice_counts(seq: pa.Array, symbols: pa.Array, nodes: np.ndarray, klass: str, whole: bool) -> np.ndarray:
+    """Per candidate of one size a row of moves by entry residue (serial; whole slices: residue 0 only), or its count."""
+    keys, width = slice_keys(seq, symbols)
+    if klass == "parallel":
+        return parallel_waits(keys, width, nodes)[:, None]
+    if klass == "itemset":
+        return itemset_ticks(keys, width, nodes)[:, None]
+    starts = 1 if whole else nodes.shape[1]
+    return waits(keys, width, np.repeat(nodes, starts, 0), np.tile(np.arange(starts), len(nodes))).reshape(-1, starts)
+
+
+def _folded(parts, size, klass: str):
+    """Column: frequency from the sorted slices' counts array<struct<seg, g>>."""
+    if klass == "itemset":
+        return F.aggregate(parts, F.lit(0).cast("long"), lambda n, x: n + F.element_at(x["g"], 1))
+    if klass == "parallel":
+        return F.when(F.size(parts) > 1, F.raise_error(F.lit("parallel episodes are counted over whole batches")).cast("long")).otherwise(F.element_at(F.element_at(parts, 1)["g"], 1))
+    moves = F.aggregate(F.transform(parts, lambda x: x["g"]), F.lit(0).cast("long"), lambda n, g: n + F.element_at(g, (n % F.size(g) + 1).cast("int")))
+    return F.floor(moves / size).cast("long")
+
+
+def one_slice(seqs: DataFrame) -> bool:
+    """Whether every batch is in one slice."""
+    return not seqs.where("seg > 0").limit(1).count()
+
+
+def count_kernel(seqs: DataFrame, cands: list[tuple[str, ...]], klass: str = "serial", whole: bool | None = None) -> DataFrame:
+    """(batch_id, cand int, freq long) for candidates of one or several sizes, by their place in the list.
 
     The candidate list is bounded by the caller (the lattice's guard) and travels as one broadcast.
+    whole: whether batches have one slice each, where the caller knows.
     """
     symbols = sorted({x for c in cands for x in c})
     number = {x: k for k, x in enumerate(symbols)}
-    sizes = sorted({len(c) for c in cands})
-    groups = [(ell, np.array([k for k, c in enumerate(cands) if len(c) == ell]), np.array([[number[x] for x in c] for c in cands if len(c) == ell], np.int64)) for ell in sizes]
-    shared = seqs.sparkSession.sparkContext.broadcast((number, groups))
+    groups = [(np.array([k for k, c in enumerate(cands) if len(c) == ell]), np.array([[number[x] for x in c] for c in cands if len(c) == ell], np.int64)) for ell in sorted({len(c) for c in cands})]
+    whole = one_slice(seqs) if whole is None else whole
+    shared = seqs.sparkSession.sparkContext.broadcast((symbols, groups))
 
     def run(batches):
-        number, groups = shared.value
+        symbols, groups = shared.value
+        symbols = pa.array(symbols, pa.string())
         for batch in batches:
-            for b, seg, seq in zip(batch.column("batch_id").to_pylist(), batch.column("seg").to_pylist(), batch.column("seq").to_pylist()):
-                width = len(seq) + 1
-                keys = np.sort(np.array([number[x] * width + t for t, y in enumerate(seq) for x in (y if isinstance(y, list) else [y]) if x in number], np.int64))
-                for ell, which, nodes in groups:
-                    rows = np.repeat(nodes, ell, 0)
-                    g = waits(keys, width, rows, np.tile(np.arange(ell), len(nodes)))
-                    yield pa.RecordBatch.from_arrays([pa.array([b] * len(which), pa.int64()), pa.array([seg] * len(which), pa.int32()), pa.array(which, pa.int32()), pa.array(g.reshape(-1, ell).tolist(), pa.list_(pa.int64()))], ["batch_id", "seg", "cand", "g"])
-
-    out = seqs.select("batch_id", "seg", "seq").mapInArrow(run, "batch_id long, seg int, cand int, g array<long>")
-    folded = out.groupBy("batch_id", "cand").agg(F.array_sort(F.collect_list(F.struct("seg", "g"))).alias("parts"))
-    moves = F.aggregate(F.transform("parts", lambda x: x["g"]), F.lit(0).cast("long"), lambda n, g: n + F.element_at(g, (n % F.size(g) + 1).cast("int")))
-    return folded.select("batch_id", "cand", F.floor(moves / F.size(F.element_at("parts", 1)["g"])).cast("long").alias("freq"))
-
-
-def choose(events_per_batch: int, candidates: int, ell: int) -> str:
-    """Route by the work of the expression plan: events times candidates, against moves of the kernel."""
-    return "kernel" if events_per_batch * candidates * ell > 10**8 else "expression"
+            ids, segs, seq = (batch.column(c) for c in ("batch_id", "seg", "seq"))
+            for i in range(batch.num_rows):
+                for which, nodes in groups:
+                    g = slice_counts(seq[i].values, symbols, nodes, klass, whole)
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(g) + 1, dtype=np.int32) * g.shape[1]), pa.array(g.ravel()))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(which), ids[i].as_py(), np.int64)), pa.array(np.full(len(which), segs[i].as_py(), np.int32)), pa.array(which.astype(np.int32)), pa.array(np.full(len(which), nodes.shape[1], np.int32)), lists], ["batch_id", "seg", "cand", "size", "g"])
+
+    out = seqs.select("batch_id", "seg", "seq").mapInArrow(run, "batch_id long, seg int, cand int, size int, g array<long>")
+    if whole:  # one slice a batch: nothing to fold, nothing to shuffle
+        g = F.element_at("g", 1)
+        return out.select("batch_id", "cand", (F.floor(g / F.col("size")).cast("long") if klass == "serial" else g).alias("freq"))
+    folded = out.groupBy("batch_id", "cand", "size").agg(F.array_sort(F.collect_list(F.struct("seg", "g"))).alias("parts"))
+    return folded.select("batch_id", "cand", _folded(F.col("parts"), F.col("size"), klass).alias("freq"))
+
+
+def count_grid(seqs: DataFrame, cands: DataFrame, klass: str = "serial") -> DataFrame:
+    """(batch_id, nodes, freq long) of cands(batch_id, nodes), each in its batch, zeros included.
+
+    Candidates are dealt to blocks of about GRID_BLOCK a batch; a block meets each slice of its batch
+    in a task of its own, so neither a long batch nor a long list of candidates is held by one task.
+    """
+    most = cands.groupBy("batch_id").count().agg(F.max("count")).first()[0]
+    if not most:
+        return cands.select("batch_id", "nodes", F.lit(0).cast("long").alias("freq"))
+    blocks, whole = -(-most // GRID_BLOCK), one_slice(seqs)
+    dealt = cands.select("batch_id", "nodes", F.pmod(F.xxhash64("nodes"), F.lit(blocks)).alias("block")).join(seqs.select("batch_id", "seg"), "batch_id")
+    slices = seqs.select("batch_id", "seg", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("block"), "seq")
+
+    def run(part: pa.Table, asked: pa.Table) -> pa.Table:
+        if not part.num_rows or not asked.num_rows:
+            return pa.table({"batch_id": pa.array([], pa.int64()), "seg": pa.array([], pa.int32()), "nodes": pa.array([], pa.list_(pa.string())), "g": pa.array([], pa.list_(pa.int64()))})
+        nodes = asked.column("nodes").combine_chunks()
+        size = pc.list_value_length(nodes).to_numpy(zero_copy_only=False)
+        flat = pc.dictionary_encode(nodes.flatten())
+        flat = flat.combine_chunks() if isinstance(flat, pa.ChunkedArray) else flat
+        number, ends = flat.indices.to_numpy().astype(np.int64), np.cumsum(size)
+        out = []
+        for ell in np.unique(size):
+            rows = np.flatnonzero(size == ell)
+            g = slice_counts(part.column("seq")[0].values, flat.dictionary, number[(ends[rows] - ell)[:, None] + np.arange(ell)], klass, whole)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(g) + 1, dtype=np.int32) * g.shape[1]), pa.array(g.ravel()))
+            out.append(pa.table({"batch_id": pa.array(np.full(len(rows), part.column("batch_id")[0].as_py(), np.int64)), "seg": pa.array(np.full(len(rows), part.column("seg")[0].as_py(), np.int32)), "nodes": nodes.take(pa.array(rows)), "g": lists}))
+        return pa.concat_tables(out)
+
+    # both sides may come from one table, so theirs are columns of other names
+    by, beside = ("batch_id", "seg", "block"), ("of_batch", "of_seg", "of_block")
+    dealt = dealt.select(*[F.col(a).alias(b) for a, b in zip(by, beside)], "nodes")
+    met = slices.groupBy(*by).cogroup(dealt.groupBy(*beside)).applyInArrow(run, "batch_id long, seg int, nodes array<string>, g array<long>")
+    folded = met.groupBy("batch_id", "nodes").agg(F.array_sort(F.collect_list(F.struct("seg", "g"))).alias("parts"))
+    return folded.select("batch_id", "nodes", _folded(F.col("parts"), F.size("nodes"), klass).alias("freq"))
+
+
+def choose(events_per_batch: int, candidates: int) -> str:
+    """Route by the work of the expression plan, a step per event and candidate, against moves of the kernel."""
+    return "kernel" if events_per_batch * candidates > 10**6 else "expression"
+
+
+def count(seqs: DataFrame, cands: DataFrame, ell: int, klass: str = "serial", ties: bool = True) -> DataFrame:
+    """(batch_id, key, nodes, freq) of every candidate (nodes) that occurs, by the route that choose() takes."""
+    events = seqs.groupBy("batch_id").agg(F.sum(F.size("seq")).alias("n")).agg(F.max("n")).first()[0] or 0
+    if klass == "itemset" or choose(events, cands.count()) == "kernel":
+        every = small(seqs.select("batch_id").distinct()).crossJoin(cands.select("nodes"))
+        return _named(count_grid(seqs, every, klass).where("freq > 0"), MARK[klass])
+    return count_serial(seqs, cands, ell, ties) if klass == "serial" else count_parallel(seqs, cands, ties)
 
 
 def occurrences(seqs: DataFrame, spec: EpisodeSpec) -> DataFrame:

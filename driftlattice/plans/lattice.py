@@ -87,17 +87,18 @@ def join_candidates_df(frequent: DataFrame) -> DataFrame:
     return joined.select("batch_id", F.concat(F.array("first"), "mid", F.array("last")).alias("nodes")).distinct()
 
 
-def mine_batches(seqs: DataFrame, symbols: DataFrame, thresholds: DataFrame, ell: int, ties: bool = True) -> DataFrame:
+def mine_batches(seqs: DataFrame, symbols: DataFrame, thresholds: DataFrame, ell: int) -> DataFrame:
     """All batches mined from scratch at their own thresholds (batch_id, f_min).
 
     Returns (batch_id, size, key, nodes, freq, status): frequent patterns (F) and counted infrequent
     candidates (B), sizes 1 .. ell. One plan per level; levels are written, so lineage stays short.
     """
-    cands = seqs.select("batch_id").distinct().crossJoin(F.broadcast(symbols.select(F.array("symbol").alias("nodes"))))
+    seqs = written(seqs)
+    cands = seqs.select("batch_id").distinct().crossJoin(counting.small(symbols.select(F.array("symbol").alias("nodes"))))
     out = None
     for size in range(1, ell + 1):
-        level = counting.count_serial(seqs, cands, size, ties, zeros=True).join(F.broadcast(thresholds), "batch_id")
-        level = level.select("batch_id", F.lit(size).cast("long").alias("size"), "key", "nodes", "freq", F.when(F.col("freq") >= F.col("f_min"), "F").otherwise("B").alias("status"))
+        level = counting.count_grid(seqs, cands).join(F.broadcast(thresholds), "batch_id")  # a row per batch
+        level = level.select("batch_id", F.lit(size).cast("long").alias("size"), F.array_join("nodes", ">").alias("key"), "nodes", "freq", F.when(F.col("freq") >= F.col("f_min"), "F").otherwise("B").alias("status"))
         level = written(level)
         out = level if out is None else out.unionByName(level)
         cands = join_candidates_df(level.where("status = 'F'").select("batch_id", "nodes", F.lit(True).alias("is_new")))
@@ -288,17 +289,43 @@ def _filled(stats: BatchStats, lattice: Lattice, memo: Memo, f_min: int) -> Batc
 # ---------------------------------------------------------------- runs over a stream of batches
 
 
-def spark_counter(seqs: DataFrame, batch_id: int) -> Counter:
-    """Counts serial candidates in one batch of written sequences; the filter prunes to that batch's partition."""
+def spark_counter(seqs: DataFrame, batch_id: int, klass: str = "serial") -> Counter:
+    """Counts candidates of a class in one batch of written sequences; the filter prunes to that batch's partition."""
     one = seqs.where(F.col("batch_id") == batch_id)
+    whole: list[bool] = []
 
     def count(patterns: list[Nodes]) -> dict[Nodes, int]:
-        rows = counting.count_kernel(one, patterns).select("cand", "freq").collect()
-        return {patterns[r.cand]: r.freq for r in rows}
+        if not whole:
+            whole.append(counting.one_slice(one))
+        rows = counting.count_kernel(one, patterns, klass, whole[0]).select("cand", "freq").toArrow()
+        return {patterns[c]: f for c, f in zip(rows.column("cand").to_pylist(), rows.column("freq").to_pylist())}
 
     return count
 
 
+def shared_counters(seqs: DataFrame, ids: Iterable[int], klass: str = "serial") -> dict[int, Counter]:
+    """Counters of the batches of a bounded history: what one batch asks for is counted in all of them by one pass, and kept.
+
+    For evaluations, which run many methods over the same batches; a stream has no later batches to count.
+    """
+    have: dict[Nodes, dict[int, int]] = {}
+    whole = counting.one_slice(seqs)
+
+    def counter(s: int) -> Counter:
+        def count(patterns: list[Nodes]) -> dict[Nodes, int]:
+            missing = [p for p in patterns if p not in have]
+            if missing:
+                rows = counting.count_kernel(seqs, missing, klass, whole).where("freq > 0").toArrow()
+                have.update((p, {}) for p in missing)
+                for b, c, f in zip(*(rows.column(x).to_pylist() for x in ("batch_id", "cand", "freq"))):
+                    have[missing[c]][b] = f
+            return {p: have[p].get(s, 0) for p in patterns}
+
+        return count
+
+    return {s: counter(s) for s in ids}
+
+
 def delta_rule(params: MineParams) -> Callable[[dict, dict], float]:
     """Fixed delta, or the quantile of the changes of patterns known in both batches."""
     if params.delta != "estimate":
@@ -318,11 +345,13 @@ def delta_rule(params: MineParams) -> Callable[[dict, dict], float]:
 
 @dataclass
 class RunResult:
-    """What a run kept: reports per window, lattices and stats per batch."""
+    """What a run kept: reports per window, lattices and stats per batch; with missing='interval' also (window_end, key, low, high)."""
 
     topk: list[tuple[int, str, int, int]]
     lattices: dict[int, Lattice]
     stats: list[BatchStats]
+    known: dict[int, dict[Nodes, int]] = field(default_factory=dict)
+    bounds: list[tuple[int, str, int, int]] = field(default_factory=list)
 
 
 def ranked(sums: dict[str, int], k: int) -> list[tuple[str, int, int]]:
@@ -337,17 +366,49 @@ def ranked(sums: dict[str, int], k: int) -> list[tuple[str, int, int]]:
     return out
 
 
+def take_in(result: RunResult, lat: Lattice, stats: BatchStats, before: Lattice | None, seen: dict[Nodes, int], params: MineParams) -> None:
+    """Keeps a batch's lattice, and the counts of size-ell patterns that the method has of it (`params.known`)."""
+    s = stats.batch_id
+    result.lattices[s] = lat
+    result.stats.append(stats)
+    have = dict(lat.top())
+    if params.known in ("seeded", "counted") and before is not None:
+        have.update({p: seen[p] for p in before.top() if p in seen})
+    if params.known == "counted":
+        have.update(lat.border[-1])
+    result.known[s] = have
+
+
+def report(result: RunResult, s: int, spec: VariantSpec, params: MineParams) -> list[tuple[int, str, int, int]]:
+    """(window_end, key, wfreq, rank) of the window that ends with batch s, from what the run kept; nothing before a full window."""
+    window = range(s - params.m + 1, s + 1)
+    if any(j not in result.lattices for j in window):
+        return []
+    stats = {st.batch_id: st for st in result.stats}
+    cands = set(result.lattices[s].top())
+    if params.candidates == "window":
+        cands |= {p for j in window for p in result.lattices[j].top()}
+    if params.report == "persistent":
+        cands = {p for p in cands if sum(result.lattices[j].top().get(p, 0) >= stats[j].fk for j in window) >= spec.hits()}
+    mark = counting.MARK[params.klass]
+    # a count that the method lacks is zero, or lies between zero and that batch's threshold less one
+    low = {p: sum(result.known[j].get(p, 0) for j in window) for p in cands}
+    rows = [(s, *row) for row in ranked({mark.join(p): n for p, n in low.items()}, params.k)]
+    if params.missing == "interval":
+        room = {mark.join(p): sum(max(0, stats[j].f_min - 1) for j in window if p not in result.known[j]) for p in cands}
+        result.bounds += [(s, key, n, n + room[key]) for _, key, n, _ in rows]
+    return rows
+
+
 def run_variant(counters: dict[int, Counter], symbols: Iterable[Nodes], spec: VariantSpec, params: MineParams) -> RunResult:
     """One incremental variant over consecutive batches (batch_id -> counter).
 
-    Known counts and candidates follow `params.known` and `params.candidates`; with missing='interval'
-    use `interval` on the result. Batches are taken in order; a gap restarts from the symbols.
+    Known counts, candidates and reports follow `params`. Batches are taken in order; a gap restarts from the symbols.
     """
     spec = spec.checked(params.m)
     theta_of = lambda delta: slack(spec.name, params.m, spec.v, delta)
     delta_of = delta_rule(params)
-    prev, result = None, RunResult([], {}, [])
-    known: dict[int, dict[Nodes, int]] = {}
+    result = RunResult([], {}, [])
     for s in sorted(counters):
         seen: dict[Nodes, int] = {}
 
@@ -356,32 +417,16 @@ def run_variant(counters: dict[int, Counter], symbols: Iterable[Nodes], spec: Va
             seen.update({p: got.get(p, 0) for p in patterns})
             return got
 
-        before = prev.top() if prev is not None else {}
-        prev, stats = advance(prev, count, symbols, params, theta_of, delta_of, s)
-        result.lattices[s] = prev
-        result.stats.append(stats)
-        have = dict(prev.top())
-        if params.known in ("seeded", "counted"):
-            have.update({p: seen[p] for p in before if p in seen})
-        if params.known == "counted":
-            have.update(prev.border[-1])
-        known[s] = have
-        window = range(s - params.m + 1, s + 1)
-        if window[0] in counters:
-            cands = set(prev.top())
-            if params.candidates == "window":
-                cands |= {p for j in window for p in result.lattices[j].top()}
-            if params.report == "persistent":
-                hits = {p: sum(result.lattices[j].top().get(p, 0) >= st.fk for j, st in zip(window, result.stats[-params.m :])) for p in cands}
-                cands = {p for p in cands if hits[p] >= spec.hits()}
-            sums = {">".join(p): sum(known[j].get(p, 0) for j in window) for p in cands}
-            result.topk += [(s, *row) for row in ranked(sums, params.k)]
+        prev = result.lattices.get(s - 1)
+        lat, stats = advance(prev, count, symbols, params, theta_of, delta_of, s)
+        take_in(result, lat, stats, prev, seen, params)
+        result.topk += report(result, s, spec, params)
     return result
 
 
 def interval(result: RunResult, params: MineParams, key: str, window_end: int) -> tuple[int, int]:
     """Window frequency of a tracked pattern as an interval: a batch where it is unknown adds at most that batch's threshold less one."""
-    nodes = tuple(key.split(">"))
+    nodes = tuple(key.split(counting.MARK[params.klass]))
     stats = {s.batch_id: s for s in result.stats}
     low = high = 0
     for j in range(window_end - params.m + 1, window_end + 1):
@@ -391,6 +436,32 @@ def interval(result: RunResult, params: MineParams, key: str, window_end: int) -
     return low, high
 
 
+def exact_window_topk(counters: dict[int, Counter], symbols: Iterable[Nodes], params: MineParams, delta: float) -> RunResult:
+    """The exact answer in two stages, begun anew with every window: mine its first batch down to fk - 2 (m - 1) delta, then add up
+    just these patterns over the window's batches. Exact as long as no frequency changes by more than delta between batches. Where the
+    depth is below one occurrence, patterns that the first batch lacks are no longer ruled out, and all batches are mined whole."""
+    theta = slack("exact_depth", params.m, None, delta)
+    mark, memos = counting.MARK[params.klass], {s: Memo(counters[s]) for s in counters}
+    result = RunResult([], {}, [])
+    for first in sorted(counters):
+        window = range(first, first + params.m)
+        if window[-1] not in counters:
+            break
+        lattice, fk = mine_topk(memos[first], symbols, params.k, params.ell, params)
+        f_min = frequency_floor(fk, theta)
+        lattice = mine_batch(memos[first], symbols, params.ell, f_min, params.klass, params.relation, params.repeats, params.max_candidates)
+        cands, exhausted = set(lattice.top()), fk - theta <= 0
+        if exhausted:
+            cands |= {p for j in window[1:] for p in mine_batch(memos[j], symbols, params.ell, 1, params.klass, params.relation, params.repeats, params.max_candidates).top()}
+        cands = sorted(cands)
+        each = [memos[j](cands) for j in window]
+        result.lattices[window[-1]] = lattice
+        result.stats.append(_filled(BatchStats(window[-1], fk=fk, delta=delta, theta=theta, depth_exhausted=exhausted), lattice, memos[first], f_min))
+        result.topk += [(window[-1], *row) for row in ranked({mark.join(p): sum(c[p] for c in each) for p in cands}, params.k)]
+        memos[first] = Memo(counters[first])  # never asked again
+    return result
+
+
 def window_recount(counters: dict[int, Counter], symbols: Iterable[Nodes], params: MineParams, memoize: bool = True) -> RunResult:
     """The baseline that keeps every batch of the window and mines each window's top k anew by lowering."""
     memos: dict[int, Memo] = {}
@@ -414,8 +485,9 @@ def window_recount(counters: dict[int, Counter], symbols: Iterable[Nodes], param
         memo = Memo(count)
         lattice, fk = mine_topk(memo, symbols, params.k, params.ell, params)
         result.lattices[s] = lattice
-        result.stats.append(BatchStats(s, fk=fk, passes=memo.passes * params.m, n_counted=len(memo.have)))
-        result.topk += [(s, *row) for row in ranked({">".join(p): c for p, c in lattice.top().items()}, params.k)]
+        result.stats.append(_filled(BatchStats(s, fk=fk), lattice, memo, 1))
+        result.stats[-1].passes *= params.m  # a pass reads the whole window
+        result.topk += [(s, *row) for row in ranked({counting.MARK[params.klass].join(p): c for p, c in lattice.top().items()}, params.k)]
         memos = {j: memos[j] for j in window if j > window[0]}
     return result
 
@@ -435,9 +507,10 @@ def union_variants(counters: dict[int, Counter], symbols: Iterable[Nodes], param
         keep = {p for p, j in last_hit.items() if j >= s - params.m} if sticky else top
         known[s] = memo(sorted(keep))
         result.lattices[s] = lattice
-        result.stats.append(BatchStats(s, fk=fk, passes=memo.passes, n_counted=len(memo.have)))
+        result.stats.append(_filled(BatchStats(s, fk=fk), lattice, memo, 1))
+        result.stats[-1].n_frequent, result.stats[-1].n_border = len(keep), 0  # all that is kept for later batches
         window = range(s - params.m + 1, s + 1)
         if window[0] in counters:
             cands = {p for j in window for p in tops[j]}
-            result.topk += [(s, *row) for row in ranked({">".join(p): sum(known[j].get(p, 0) for j in window) for p in cands}, params.k)]
+            result.topk += [(s, *row) for row in ranked({counting.MARK[params.klass].join(p): sum(known[j].get(p, 0) for j in window) for p in cands}, params.k)]
     return result

@@ -92,13 +92,16 @@ def band_gap(counts: DataFrame, k: int, m: int, delta: float, phi: float, first:
     return spread(inside, m, first, last).select("window_end", "key").distinct()
 
 
-def mixing(counts: DataFrame, k: int, m: int, v: int, delta: float, phi: float, first: int, last: int) -> DataFrame:
-    """(window_end, n_mixing, n_outside): non-persistent patterns that reach the lower bound, and how many of them lie outside the band gap (0 where the condition on phi holds)."""
+def mixing(counts: DataFrame, k: int, m: int, vs, delta: float, phi: float, first: int, last: int) -> DataFrame:
+    """(window_end, v, phi_ok, n_mixing, n_outside): non-persistent patterns that reach the lower bound, and how many of them lie
+    outside the band gap (0 where the condition on phi holds); a row for every window and v."""
     hits = persistent_hits(with_flags(counts, k, 0), m, first, last)
-    low = window_fk(counts, k, m, first, last).select("window_end", (F.col("sum_fk") - (m - v) * (m - v + 1) * delta).alias("low"))
-    rows = window_sums(counts, m, first, last).join(hits, ["window_end", "key"], "left").where(F.coalesce("hits", F.lit(0)) < v).join(F.broadcast(low), "window_end").where("wfreq >= low")
+    grid = F.explode(F.array(*[F.struct(F.lit(int(v)).cast("long").alias("v"), F.lit(float((m - v) * (m - v + 1) * delta)).alias("room"), F.lit(T.phi_ok(phi, m, v)).alias("phi_ok")) for v in vs]))
+    fk = window_fk(counts, k, m, first, last).withColumn("g", grid).select("window_end", "g.v", "g.phi_ok", (F.col("sum_fk") - F.col("g.room")).alias("low"))
+    rows = window_sums(counts, m, first, last).join(hits, ["window_end", "key"], "left").join(F.broadcast(fk), "window_end").where((F.coalesce("hits", F.lit(0)) < F.col("v")) & (F.col("wfreq") >= F.col("low")))
     gap = band_gap(counts, k, m, delta, phi, first, last).withColumn("inside", F.lit(1))
-    return rows.join(gap, ["window_end", "key"], "left").groupBy("window_end").agg(F.count(F.lit(1)).alias("n_mixing"), F.sum(F.when(F.col("inside").isNull(), 1).otherwise(0)).alias("n_outside"))
+    found = rows.join(gap, ["window_end", "key"], "left").groupBy("window_end", "v").agg(F.count(F.lit(1)).alias("n_mixing"), F.sum(F.when(F.col("inside").isNull(), 1).otherwise(0)).alias("n_outside"))
+    return fk.join(found, ["window_end", "v"], "left").select("window_end", "v", "phi_ok", F.coalesce("n_mixing", F.lit(0)).alias("n_mixing"), F.coalesce("n_outside", F.lit(0)).alias("n_outside"))
 
 
 def error_bounds(counts: DataFrame, k: int, m: int, delta: float, phi: float, first: int, last: int, vs=(1, 5, 8, 10)) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from driftlattice.queries import episodes, relational, windows, workloads
+from driftlattice.queries import episodes, planted, relational, windows, workloads
 
-QUERIES = {**episodes.QUERIES, **windows.QUERIES, **workloads.QUERIES, **relational.QUERIES}
-ORACLES = {**episodes.ORACLES, **windows.ORACLES, **workloads.ORACLES, **relational.ORACLES}
+QUERIES = {**episodes.QUERIES, **windows.QUERIES, **workloads.QUERIES, **planted.QUERIES, **relational.QUERIES}
+ORACLES = {**episodes.ORACLES, **windows.ORACLES, **workloads.ORACLES, **planted.ORACLES, **relational.ORACLES}

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from driftlattice.operators import batching, counting
 from driftlattice.sources import adapters
-from driftlattice.sources.ledger import once
+from driftlattice.sources.ledger import kept, once, written
 
 DAY = adapters.DAY
 #: Published defaults, and the small fixed drift that lets variants differ on the events table.
@@ -32,11 +32,23 @@ def counts(spark: SparkSession, sf_dir: str, span: int = DAY, ell: int = ELL) ->
 
     def build():
         cands = counting.enumerate_all(event_symbols(spark, sf_dir), ell)
-        return counting.count_serial(event_seqs(spark, sf_dir, span), cands, ell, ties=False).select("batch_id", "key", "freq")
+        return counting.count(event_seqs(spark, sf_dir, span), cands, ell, ties=False).select("batch_id", "key", "freq")
 
     return once(spark, sf_dir, f"counts-{span}-{ell}", build)
 
 
+def event_counters(spark: SparkSession, sf_dir: str, span: int = DAY) -> tuple[dict, list]:
+    """Counters of all batches of the events table, which every method asks, and its symbols; kept for the application."""
+    from driftlattice.plans.lattice import shared_counters
+
+    def build():
+        low, high = days(spark, sf_dir, span)
+        seqs = written(event_seqs(spark, sf_dir, span), "batch_id")
+        return shared_counters(seqs, range(low, high + 1)), [(r.symbol,) for r in event_symbols(spark, sf_dir).orderBy("symbol").collect()]
+
+    return kept(spark, sf_dir, f"counters-{span}", build)
+
+
 def days(spark: SparkSession, sf_dir: str, span: int = DAY) -> tuple[int, int]:
     """First and last batch of the events table, from two scalars."""
     low, high = event_batches(spark, sf_dir, span).agg(F.min("batch_id"), F.max("batch_id")).first()

@@ -22,14 +22,14 @@ def q01(spark, d):
 def _serial(ell):
     def run(spark: SparkSession, d: str) -> DataFrame:
         cands = counting.enumerate_all(event_symbols(spark, d), ell)
-        return counting.count_serial(event_seqs(spark, d), cands, ell, ties=False).select("batch_id", "key", "freq")
+        return counting.count(event_seqs(spark, d), cands, ell, ties=False).select("batch_id", "key", "freq")
 
     return run
 
 
 def q06(spark, d):
     cands = counting.enumerate_all(event_symbols(spark, d), 3, kind="parallel")
-    return counting.count_parallel(event_seqs(spark, d), cands, ties=False).select("batch_id", "key", "freq")
+    return counting.count(event_seqs(spark, d), cands, 3, "parallel", ties=False).select("batch_id", "key", "freq")
 
 
 def _four(spark, d):
@@ -76,7 +76,7 @@ def q12(spark, d):
 
 def _mined(spark, d):
     fk = window.kth_frequency(counts(spark, d), K).select("batch_id", F.greatest(F.lit(1), F.col("fk") - 2).alias("f_min"))
-    return lattice.mine_batches(event_seqs(spark, d), event_symbols(spark, d), fk, ELL, ties=False)
+    return lattice.mine_batches(event_seqs(spark, d), event_symbols(spark, d), fk, ELL)
 
 
 def q13(spark, d):

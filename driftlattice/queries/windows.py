@@ -1,16 +1,15 @@
-"""Drift, depth, variants, theory and measures on the events stream (q16 to q39, q46 to q51)."""
+"""Drift, depth, variants, theory and measures on the events stream (q16 to q37, q46 to q52, q87, q90 to q99)."""
 
 from __future__ import annotations
 
 from pyspark.sql import functions as F
 
 from driftlattice.functions import thresholds as T
-from driftlattice.operators import batching, counting
-from driftlattice.params import VariantSpec
-from driftlattice.plans import metrics, theory, variants, window
-from driftlattice.queries.common import DAY, DELTA, ELL, K, M, counts, days, ends_sql, ev_sql, fk_sql, m_sql, moves_sql, top_sql
+from driftlattice.operators import batching
+from driftlattice.params import MineParams, VariantSpec
+from driftlattice.plans import lattice, metrics, theory, variants, window
+from driftlattice.queries.common import DAY, DELTA, ELL, K, M, counts, days, ends_sql, ev_sql, event_counters, fk_sql, m_sql, top_sql
 from driftlattice.sources import adapters
-from driftlattice.sources.ledger import once
 
 PHIS = (1, 2, 3, 5, 8, 10, 20)
 VS = (1, 5, 8, 10)
@@ -51,32 +50,6 @@ def q37(spark, d):
     return spark.createDataFrame(rows, "m long, variant string, theta double")
 
 
-def planted(spark, d, n_patterns=5, alphabet=500, noise=1, drift=((15, 20),), span=DAY):
-    return adapters.planted_stream(spark.read.parquet(f"{d}/events.parquet"), alphabet, n_patterns, noise, span, drift)
-
-
-def q38(spark, d):
-    return planted(spark, d).select("tick", "symbol")
-
-
-def planted_counts(spark, d, top=8, n_patterns=5, alphabet=500, noise=1, drift=((15, 20),), span=DAY):
-    """Counts of all episodes of four different symbols among the commonest of a planted stream."""
-
-    def build():
-        frame = adapters.with_batches(planted(spark, d, n_patterns, alphabet, noise, drift, span), span)
-        common = frame.groupBy("symbol").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "symbol").limit(top).select("symbol")
-        kept = frame.join(F.broadcast(common), "symbol")
-        return counting.count_serial(batching.sequences(kept), counting.enumerate_all(common, ELL, repeats=False), ELL).select("batch_id", "key", "freq")
-
-    return once(spark, d, f"planted-{top}-{n_patterns}-{alphabet}-{noise}-{drift}-{span}", build)
-
-
-def q39(spark, d):
-    m = planted_counts(spark, d)
-    lo, hi = window.batch_range(m) or (0, -1)
-    return q30(m, lo, hi, k=10, delta=2.0)
-
-
 def q46(spark, d):
     m, (lo, hi) = counts(spark, d), days(spark, d)
     out = None
@@ -86,13 +59,14 @@ def q46(spark, d):
     return out
 
 
-SPANS = (DAY // 2, DAY, 3 * DAY)
+#: Batches of 43 minutes to 3 days: a factor of 100.
+SPANS = (3 * DAY // 100, 3 * DAY // 10, 3 * DAY)
 
 
 def q47(spark, d):
     out = None
     for span in SPANS:
-        m, (lo, hi) = counts(spark, d, span, 3), days(spark, d, span)
+        m, (lo, hi) = counts(spark, d, span), days(spark, d, span)
         one = metrics.summarize(q30(m, lo, hi)).select(F.lit(span // 1_000_000).cast("long").alias("batch_seconds"), "variant", "windows", "precision", "recall")
         out = one if out is None else out.unionByName(one)
     return out
@@ -108,10 +82,13 @@ def q48(spark, d):
 
 
 def q49(spark, d):
-    from driftlattice.streaming.miner import replay_counts
+    """The events table arrives as a stream of files and is mined batch by batch as batches close."""
+    from driftlattice.streaming.miner import StreamMiner, file_stream, run_available
 
-    lo, hi = days(spark, d)
-    return variants.report(replay_counts(spark, d, DAY, ELL), VariantSpec("lookahead"), M, K, DELTA, lo, hi)
+    miner = StreamMiner(spark, VariantSpec("lookahead"), MineParams(delta=DELTA))
+    run_available(file_stream(spark, f"{d}/events.parquet*"), lambda df, epoch: miner(adapters.adapt(df, F.col("ts"), F.col("event_type")), epoch), f"{miner.ledger.folder}/checkpoint")
+    miner.finish()
+    return miner.ledger.reports()
 
 
 def q50(spark, d):
@@ -129,6 +106,56 @@ def q51(spark, d):
     return spark.createDataFrame(rows, "batch_id long, fk_seed long, fk long, delta double, theta double, f_min long, passes long, n_counted long, n_frequent long, n_border long, n_new long, depth_exhausted boolean, capped boolean, state_bytes long")
 
 
+TOPK = "window_end long, key string, wfreq long, rank long"
+#: The algorithms themselves, beside their closed forms above: each has to give the same rows.
+RUNS = {
+    "q90_recount_run": "q20_window_truth", "q91_batch_union_run": "q21_batch_union", "q92_sticky_union_run": "q22_sticky_union", "q93_lookahead_run": "q23_lookahead",
+    "q94_persist_half_run": "q24_persist_half", "q95_persist_34_run": "q25_persist_34", "q96_heur_half_run": "q26_heur_half", "q97_heur_34_run": "q27_heur_34",
+}
+
+
+def _run(spec):
+    def run(spark, d):
+        counters, symbols = event_counters(spark, d)
+        params = MineParams(m=M, k=K, ell=ELL, delta=DELTA)
+        if spec.name == "window_recount":
+            out = lattice.window_recount(counters, symbols, params)
+        elif spec.name in ("batch_union", "sticky_union"):
+            out = lattice.union_variants(counters, symbols, params, spec.name == "sticky_union")
+        else:
+            out = lattice.run_variant(counters, symbols, spec, params)
+        return spark.createDataFrame(out.topk, TOPK)
+
+    return run
+
+
+def q98(spark, d):
+    """The exact two-stage algorithm, begun anew with every window, at the largest change that occurs."""
+    counters, symbols = event_counters(spark, d)
+    m, (lo, hi) = counts(spark, d), days(spark, d)
+    delta = theory.delta_exact(m, lo, hi).agg(F.max("delta")).first()[0] or 1
+    return spark.createDataFrame(lattice.exact_window_topk(counters, symbols, MineParams(m=M, k=K, ell=ELL, delta=float(delta)), float(delta)).topk, TOPK)
+
+
+def q99(spark, d):
+    """All incremental methods with the drift estimated from the tracked patterns, batch by batch."""
+    counters, symbols = event_counters(spark, d)
+    rows = []
+    for name, spec in variants.line_up(M).items():
+        if name not in ("batch_union", "sticky_union"):
+            out = lattice.run_variant(counters, symbols, spec, MineParams(m=M, k=K, ell=ELL, delta="estimate", missing="interval"))
+            delta = {st.batch_id: float(st.delta) for st in out.stats}
+            rows += [(name, w, delta[w], key, low, high) for w, key, low, high in out.bounds]
+    return spark.createDataFrame(rows, "variant string, window_end long, delta double, key string, wfreq long, wfreq_hi long")
+
+
+def q87(m, lo, hi):
+    """The corollary's three cases: persistence of one batch, of all, and of half of them."""
+    eps = window.spread(theory.separation(m, K, DELTA, [PHI]), M, lo, hi).groupBy("window_end").agg(F.max("eps").alias("eps"))
+    cases = F.explode(F.array(*[F.struct(F.lit(case).alias("case"), F.lit(v).cast("long").alias("v"), F.lit(T.error_bound_special(case, 1.0, K, M)).alias("factor")) for case, v in (("one", 1), ("all", M), ("half", (M + 1) // 2))]))
+    return eps.withColumn("x", cases).select("window_end", F.col("x.case").alias("case"), F.col("x.v").alias("v"), "eps", F.round(F.col("eps") * F.col("x.factor"), 6).alias("bound"))
+
+
 QUERIES = {
     "q16_delta_exact": _matrix(theory.delta_exact),
     "q17_delta_p75": _matrix(lambda m, lo, hi: theory.delta_estimate(m, lo, hi).join(theory.delta_estimate(m, lo, hi, population="topk_common", k=K).withColumnRenamed("delta", "delta_topk"), "batch_id", "left")),
@@ -144,9 +171,12 @@ QUERIES = {
     "q34_separation": _matrix(lambda m, lo, hi: theory.separation(m, K, DELTA, PHIS)),
     "q35_band_gap": _matrix(lambda m, lo, hi: theory.band_gap(m, K, M, DELTA, 2.0, lo, hi)),
     "q36_error_bound": _matrix(lambda m, lo, hi: theory.error_bounds(m, K, M, DELTA, PHI, lo, hi, VS)),
-    "q37_thresholds": q37, "q38_planted": q38, "q39_planted_variants": q39, "q46_m_sweep": q46, "q47_tb_sweep": q47, "q48_k_sweep": q48,
+    "q37_thresholds": q37, "q46_m_sweep": q46, "q47_tb_sweep": q47, "q48_k_sweep": q48,
     "q49_stream_replay": q49, "q50_late_events": q50, "q51_cost_counters": q51,
-    "q52_mixing": _matrix(lambda m, lo, hi: theory.mixing(m, K, M, 8, DELTA, PHI, lo, hi)),
+    "q52_mixing": _matrix(lambda m, lo, hi: theory.mixing(m, K, M, VS, DELTA, PHI, lo, hi)),
+    "q87_special_cases": _matrix(q87),
+    **{name: _run(SPECS[closed]) for name, closed in RUNS.items()},
+    "q98_exact_run": q98, "q99_estimated_runs": q99,
 }
 
 # ---------------------------------------------------------------- SQL
@@ -199,20 +229,6 @@ def _quality_ctes(k: int = K, m: int = M, delta: float = DELTA, matrix: str = "m
 _BASE = f"{m_sql()}, {fk_sql()}, {ends_sql()}"
 _HITS = f"hits AS (SELECT window_end, key, count(*) AS hits FROM m JOIN fk USING (batch_id) JOIN ends ON batch_id BETWEEN window_end - {M - 1} AND window_end WHERE freq >= fk GROUP BY 1, 2)"
 _EPS = f"SELECT batch_id, phi, round(greatest(0.0, sum(CASE WHEN freq >= fk - phi * {DELTA} THEN 1 ELSE 0 END) / {K} - 1), 6) AS eps FROM m JOIN fk USING (batch_id), (SELECT unnest([{', '.join(f'CAST({p} AS DOUBLE)' for p in PHIS)}]) AS phi) GROUP BY 1, 2"
-_PLANTED = f"""pev AS (SELECT event_id, epoch_us(ts) - epoch_us(TIMESTAMP '2024-01-01 00:00:00') AS tick FROM events),
-pb AS (SELECT *, CAST(floor(tick / {DAY}.0) AS BIGINT) AS batch, event_id % 5 AS p FROM pev),
-pe AS (SELECT *, 30 + p + ((7 * p + 13 * batch) % 19) + CASE WHEN p % 2 = 0 THEN 2 ELSE -2 END * (greatest(14, least(batch, 20)) - 14) AS rate FROM pb),
-planted AS (SELECT tick - 1 AS tick, 'n' || CAST(floor(500 / (1.0 + ((event_id * 7919) % 10007) % 500)) AS BIGINT) AS symbol FROM pe
-  UNION ALL SELECT tick + i, 'p' || p || '_' || i FROM pe, (SELECT unnest([0, 1, 2, 3]) AS i) WHERE ((event_id // 5) * 37) % 100 < rate)"""
-_PLANTED_M = f"""{_PLANTED},
-ev AS (SELECT *, CAST(floor(tick / {DAY}.0) AS BIGINT) AS batch_id FROM planted),
-sy AS (SELECT symbol AS s FROM planted GROUP BY symbol ORDER BY count(*) DESC, symbol LIMIT 8),
-tk AS (SELECT batch_id, tick, list(DISTINCT symbol) AS t FROM ev WHERE symbol IN (SELECT s FROM sy) GROUP BY 1, 2),
-sq AS (SELECT batch_id, list({{'t': t, 'n': 0}} ORDER BY tick) AS seq FROM tk GROUP BY 1),
-ep AS (SELECT [a.s, b.s, c.s, d.s] AS nodes FROM sy a, sy b, sy c, sy d WHERE a.s <> b.s AND a.s <> c.s AND a.s <> d.s AND b.s <> c.s AND b.s <> d.s AND c.s <> d.s),
-m AS MATERIALIZED (SELECT * FROM (SELECT batch_id, array_to_string(nodes, '>') AS key, CAST({moves_sql('seq', 'nodes', 4, 'list_contains(x.t, {n})')} // 4 AS BIGINT) AS freq FROM sq, ep) WHERE freq > 0)"""
-
-
 def _sweep(column: str, parts: list[tuple[int, str]]) -> str:
     return " UNION ALL ".join(f"SELECT CAST({value} AS BIGINT) AS {column}, * FROM ({query})" for value, query in parts)
 
@@ -253,15 +269,21 @@ SELECT window_end, CAST(v AS BIGINT) AS v, eps, round(mu, 6) AS mu, round(eps *
         f"SELECT CAST({m} AS BIGINT) AS m, variant, theta FROM (SELECT m, x, unnest(['batch_union', 'sticky_union', 'lookahead', 'persist_34', 'heur_34', 'persist_half', 'heur_half', 'exact_depth']) AS variant, "
         f"unnest([0.0, 0.0, 2.0, 2 * (m - .75 * m), m * (2 - .75 - .5625), 2 * (m - .5 * m), m * (2 - .5 - .25), 2.0 * (m - 1)]::DOUBLE[]) AS theta FROM (SELECT {m} AS m, 1 AS x))" for m in (5, 10, 15)
     ),
-    "q38_planted": f"WITH {_PLANTED} SELECT tick, symbol FROM planted",
-    "q39_planted_variants": f"WITH {_PLANTED_M}, {_quality_ctes(10, M, 2.0, ev='m')} SELECT * FROM qual",
     "q46_m_sweep": _sweep("m", [(win, f"WITH {m_sql()}, {_quality_ctes(K, win)} SELECT * FROM summ") for win in (5, 10, 15)]),
-    "q47_tb_sweep": _sweep("batch_seconds", [(span // 1_000_000, f"WITH {m_sql(3, span)}, {_quality_ctes()} SELECT * FROM summ") for span in SPANS]),
+    "q47_tb_sweep": _sweep("batch_seconds", [(span // 1_000_000, f"WITH {m_sql(ELL, span)}, {_quality_ctes()} SELECT * FROM summ") for span in SPANS]),
     "q48_k_sweep": _sweep("k", [(k, f"WITH {m_sql()}, {_quality_ctes(k)} SELECT * FROM summ") for k in (5, 10, 25, 50)]),
     "q50_late_events": f"""WITH {ev_sql()}, a AS (SELECT user_id, tick, max(tick) OVER (PARTITION BY user_id ORDER BY (event_id * 7919) % 10007 * 1000000 + event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS seen FROM ev)
 SELECT CAST(user_id AS VARCHAR) AS stream_key, count(*) AS n_events, CAST(sum(CASE WHEN tick < seen - {5 * DAY} THEN 1 ELSE 0 END) AS BIGINT) AS n_late FROM a GROUP BY 1""",
-    "q52_mixing": f"""WITH {_BASE}, {_HITS}, {_truth_cte()}, sf AS (SELECT window_end, sum(fk) - ({M} - 8) * ({M} - 8 + 1) * {DELTA} AS low FROM fk JOIN ends ON batch_id BETWEEN window_end - {M - 1} AND window_end GROUP BY 1),
-gap AS (SELECT DISTINCT window_end, key FROM m JOIN fk USING (batch_id) JOIN ends ON batch_id BETWEEN window_end - {M - 1} AND window_end WHERE freq < fk AND freq >= fk - {PHI} * {DELTA})
-SELECT t.window_end, count(*) AS n_mixing, CAST(sum(CASE WHEN g.key IS NULL THEN 1 ELSE 0 END) AS BIGINT) AS n_outside FROM tr_s t JOIN sf USING (window_end) LEFT JOIN hits h USING (window_end, key) LEFT JOIN gap g USING (window_end, key) WHERE coalesce(h.hits, 0) < 8 AND t.wfreq >= low GROUP BY 1""",
+    "q52_mixing": f"""WITH {_BASE}, {_HITS}, {_truth_cte()}, sf AS (SELECT window_end, sum(fk) AS sum_fk FROM fk JOIN ends ON batch_id BETWEEN window_end - {M - 1} AND window_end GROUP BY 1),
+g AS (SELECT unnest([{', '.join(map(str, VS))}]) AS v),
+gap AS (SELECT DISTINCT window_end, key FROM m JOIN fk USING (batch_id) JOIN ends ON batch_id BETWEEN window_end - {M - 1} AND window_end WHERE freq < fk AND freq >= fk - {PHI} * {DELTA}),
+r AS (SELECT t.window_end, v, t.key, p.key IS NULL AS outside FROM tr_s t JOIN sf USING (window_end) CROSS JOIN g LEFT JOIN hits h USING (window_end, key) LEFT JOIN gap p USING (window_end, key)
+  WHERE coalesce(h.hits, 0) < v AND t.wfreq >= sum_fk - ({M} - v) * ({M} - v + 1) * {DELTA})
+SELECT sf.window_end, CAST(g.v AS BIGINT) AS v, {PHI} / 2 > greatest(1, (1 - g.v / {M}.0) * ({M} - g.v + 1)) AS phi_ok, count(r.key) AS n_mixing, CAST(sum(CASE WHEN outside THEN 1 ELSE 0 END) AS BIGINT) AS n_outside
+FROM sf CROSS JOIN g LEFT JOIN r ON r.window_end = sf.window_end AND r.v = g.v GROUP BY 1, 2, 3""",
+    "q87_special_cases": f"""WITH {_BASE}, se AS ({_EPS}), e AS (SELECT window_end, max(eps) AS eps FROM se JOIN ends ON batch_id BETWEEN window_end - {M - 1} AND window_end WHERE phi = {PHI} GROUP BY 1),
+c AS (SELECT * FROM (VALUES ('one', 1, {K} * {M} / ({M} - 1.0)), ('all', {M}, {K} * {M}.0), ('half', {(M + 1) // 2}, 4.0 * {K} * {M} * {M} / ({M} * {M} - 1.0))) AS t("case", v, factor))
+SELECT window_end, "case", CAST(v AS BIGINT) AS v, eps, round(eps * CAST(factor AS DOUBLE), 6) AS bound FROM e, c""",
 }
 ORACLES["q49_stream_replay"] = ORACLES["q23_lookahead"]
+ORACLES |= {name: ORACLES[closed] for name, closed in RUNS.items()} | {"q98_exact_run": ORACLES["q20_window_truth"]}

@@ -1,4 +1,4 @@
-"""The methods on other streams made of the given tables (q40 to q45, q53 to q55, q82)."""
+"""The methods on other streams made of the given tables (q40 to q45, q82)."""
 
 from __future__ import annotations
 
@@ -7,8 +7,6 @@ from pyspark.sql import functions as F
 from driftlattice.operators import batching, counting
 from driftlattice.plans import window
 from driftlattice.queries.common import DAY, ev_sql, eps_sql, moves_sql
-from driftlattice.queries.windows import _quality_ctes, q30
-from driftlattice.plans import metrics
 from driftlattice.sources import adapters
 from driftlattice.sources.ledger import once, written
 
@@ -90,30 +88,6 @@ def q45(spark, d):
     return out.where("freq > 0")
 
 
-def q53(spark, d):
-    """Accuracy over time on a stream that drifts in two intervals of its 50 batches."""
-    from driftlattice.queries.windows import planted_counts
-
-    m = planted_counts(spark, d, top=6, drift=((15, 20), (35, 42)), span=DAY * 3 // 5)
-    lo, hi = window.batch_range(m) or (0, -1)
-    return metrics.timeline(q30(m, lo, hi, k=10, delta=2.0)).select("variant", "window_end", "region", "precision", "recall")
-
-
-def _planted_summary(name, values, **fixed):
-    def run(spark, d):
-        from driftlattice.queries.windows import planted_counts
-
-        out = None
-        for value in values:
-            m = planted_counts(spark, d, top=6, **{**fixed, name: value})
-            lo, hi = window.batch_range(m) or (0, -1)
-            one = metrics.summarize(q30(m, lo, hi, k=10, delta=2.0)).select(F.lit(value).cast("long").alias(name), "variant", "windows", "precision", "recall")
-            out = one if out is None else out.unionByName(one)
-        return out
-
-    return run
-
-
 def q82(spark, d):
     orders, customer, nation = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("orders", "customer", "nation"))
     rows = orders.join(customer, orders.o_custkey == customer.c_custkey).join(F.broadcast(nation), customer.c_nationkey == nation.n_nationkey)
@@ -124,10 +98,6 @@ def q82(spark, d):
 
 QUERIES = {
     "q40_itemset_topk": q40, "q41_user_streams": q41, "q42_conversations": q42, "q43_doc_tokens": q43, "q44_supplier_stream": q44, "q45_order_status": q45,
-    "q53_over_time": q53,
-    "q54_alphabet_sweep": _planted_summary("alphabet", (500, 1000, 5000)),
-    "q55_noise_sweep": _planted_summary("noise", (1, 5, 12)),
-    "q56_pattern_sweep": _planted_summary("n_patterns", (5, 10, 25)),
     "q82_nation_symbols": q82,
 }
 
@@ -149,27 +119,6 @@ def _batch(column: str, span: int) -> str:
     return f"CAST(floor((epoch_us({column}) - epoch_us(TIMESTAMP '{START}')) / {span}.0) AS BIGINT)"
 
 
-def _planted_sql(alphabet: int, n: int, noise: int, drift, span: int = DAY, top: int = 6) -> str:
-    """CTEs up to m of a planted stream, as sources.adapters.planted_stream defines it."""
-    wide = max(1, n // 30)
-    ramp = " + ".join(f"(greatest({a - 1}, least(batch, {b})) - {a - 1})" for a, b in drift) or "0"
-    noises = " UNION ALL ".join(f"SELECT tick - {1 + c} AS tick, 'n' || CAST(floor({alphabet} / (1.0 + ((event_id * {7919 + 2 * c}) % 10007) % {alphabet})) AS BIGINT) AS symbol FROM pe" for c in range(noise))
-    rows = f"""SELECT CAST(floor(tick / {span}.0) AS BIGINT) AS batch_id, tick, symbol FROM ({noises} UNION ALL SELECT tick + i, 'p' || p || '_' || i FROM pe, (SELECT unnest([0, 1, 2, 3]) AS i) WHERE ((event_id // {n}) * 37) % 100 < rate)"""
-    head = f"""pb AS (SELECT event_id, epoch_us(ts) - epoch_us(TIMESTAMP '2024-01-01 00:00:00') AS tick, event_id % {n} AS p FROM events),
-pc AS (SELECT *, CAST(floor(tick / {span}.0) AS BIGINT) AS batch FROM pb),
-pe AS (SELECT *, 30 + p // {wide} + ((7 * p + 13 * batch) % 19) + CASE WHEN p % 2 = 0 THEN 2 ELSE -2 END * ({ramp}) AS rate FROM pc), """
-    letters = "abcd"
-    apart = " AND ".join(f"{x}.s <> {y}.s" for i, x in enumerate(letters) for y in letters[i + 1 :])
-    return head + _tie_counts(rows, f"SELECT symbol AS s FROM r GROUP BY symbol ORDER BY count(*) DESC, symbol LIMIT {top}", 4).replace(
-        "SELECT [s0.s, s1.s, s2.s, s3.s] AS nodes FROM sy s0, sy s1, sy s2, sy s3", f"SELECT [a.s, b.s, c.s, d.s] AS nodes FROM sy a, sy b, sy c, sy d WHERE {apart}"
-    )
-
-
-def _planted_sweep(column: str, values, make) -> str:
-    return " UNION ALL ".join(f"SELECT CAST({v} AS BIGINT) AS {column}, * FROM (WITH {make(v)}, {_quality_ctes(10, 10, 2.0, ev='m')} SELECT * FROM summ)" for v in values)
-
-
-ONE_DRIFT = ((15, 20),)
 ORACLES = {
     "q40_itemset_topk": f"""WITH it AS (SELECT DISTINCT {_batch('o_orderdate', HALF_YEAR)} AS batch_id, l_orderkey, p_brand FROM lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey),
 m AS MATERIALIZED (SELECT a.batch_id, a.p_brand || '+' || b.p_brand AS key, count(*) AS freq FROM it a JOIN it b ON a.l_orderkey = b.l_orderkey AND a.batch_id = b.batch_id AND a.p_brand < b.p_brand GROUP BY 1, 2), {_truth(4, 10)}""",
@@ -185,9 +134,5 @@ f AS (SELECT lang, array_to_string(nodes, '>') AS key, {moves_sql('seq', 'nodes'
     "q45_order_status": f"""WITH tk AS (SELECT c_mktsegment AS k, {_batch('o_orderdate', 365 * DAY)} AS batch_id, o_orderdate AS tick, list(DISTINCT o_orderstatus) AS t FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2, 3),
 sq AS (SELECT k, batch_id, list({{'t': t, 'n': 0}} ORDER BY tick) AS seq FROM tk GROUP BY 1, 2), sy AS (SELECT DISTINCT o_orderstatus AS s FROM orders), {eps_sql(2, 'eps')}
 SELECT * FROM (SELECT k AS stream_key, batch_id, array_to_string(nodes, '>') AS key, CAST({moves_sql('seq', 'nodes', 2, 'list_contains(x.t, {n})')} // 2 AS BIGINT) AS freq FROM sq, eps) WHERE freq > 0""",
-    "q53_over_time": f"WITH {_planted_sql(500, 5, 1, ((15, 20), (35, 42)), DAY * 3 // 5)}, {_quality_ctes(10, 10, 2.0, ev='m')} SELECT variant, window_end, CASE WHEN window_end BETWEEN 15 AND 20 OR window_end BETWEEN 35 AND 42 THEN 'drifting' ELSE 'steady' END AS region, precision, recall FROM qual",
-    "q54_alphabet_sweep": _planted_sweep("alphabet", (500, 1000, 5000), lambda a: _planted_sql(a, 5, 1, ONE_DRIFT)),
-    "q55_noise_sweep": _planted_sweep("noise", (1, 5, 12), lambda n: _planted_sql(500, 5, n, ONE_DRIFT)),
-    "q56_pattern_sweep": _planted_sweep("n_patterns", (5, 10, 25), lambda n: _planted_sql(500, n, 1, ONE_DRIFT)),
     "q82_nation_symbols": f"WITH {_tie_counts('SELECT ' + _batch('o_orderdate', 30 * DAY) + ' AS batch_id, o_orderdate AS tick, n_name AS symbol FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey', 'SELECT n_name AS s FROM nation', 2)}, {_truth(12, 25)}",
 }

@@ -60,31 +60,48 @@ def tag_symbols(html: Column) -> Column:
     return F.regexp_extract_all(F.lower(html), F.lit(r"<([a-z][a-z0-9]*)"), 1)
 
 
-def planted_stream(events_df: DataFrame, alphabet: int, n_patterns: int, noise_copies: int = 1, span: int = DAY, drift: tuple[tuple[int, int], ...] = (), ell: int = 4) -> DataFrame:
-    """Noise with power-law ranks plus planted serial episodes whose rates drift from batch to batch.
+#: Microseconds between the base events of a planted stream.
+STEP = 1000
 
-    Arithmetic only, so that any engine rebuilds the same stream: every event yields noise symbols
-    just before it, and pattern p = event_id mod P emits its nodes at +0, +1, ... microseconds when
-    its emission test holds. Base rates are close, jitter by batch, and drift in opposite directions
-    within the drift intervals.
+
+def planted_span(events_df: DataFrame, batches: int) -> int:
+    """Batch span that parts the base events of a planted stream into at most so many batches, each of the same whole hundreds of events."""
+    n = (events_df.agg(F.max("event_id")).first()[0] or 0) + 1
+    return -(-n // (100 * batches)) * 100 * STEP
+
+
+def planted_stream(events_df: DataFrame, alphabet: int, n_patterns: int, noise_copies: int = 1, span: int = 400 * STEP, drift: tuple[tuple[int, int], ...] = (), ell: int = 4) -> DataFrame:
+    """Noise of a power law plus planted serial episodes whose rates drift from batch to batch.
+
+    Arithmetic over event_id = 0, 1, ... only, so that any engine rebuilds the same stream. Base event e
+    is at e * STEP; it yields noise symbols (the share of the r most frequent of A symbols is the root
+    of r / A), and each pattern p emits its nodes in a burst of its own when its test holds: in every ten
+    base events about rate / 100 times, at scattered places, rate in parts of a thousand. Rates are close
+    to each other, rise and fall slowly in different phases, and drift in opposite directions, for even
+    and odd p, within the drift intervals (of batches of `span`).
     """
-    at = micros(F.col("ts"))
-    batch = F.floor(at / F.lit(span))
-    wide = max(1, n_patterns // 30)
+    e = F.col("event_id")
+    batch = F.floor(e * STEP / F.lit(span))
     ramp = F.lit(0)
     for lo, hi in drift:
         ramp = ramp + (F.greatest(F.lit(lo - 1), F.least(batch, F.lit(hi))) - (lo - 1))
     noise = []
     for c in range(noise_copies):
-        u = (F.col("event_id") * (7919 + 2 * c)) % 10007
-        rank = F.floor(F.lit(alphabet) / (1 + u % alphabet))
-        noise.append(F.struct((at - 1 - c).alias("tick"), F.concat(F.lit("n"), rank.cast("string")).alias("symbol")))
-    p = F.col("event_id") % n_patterns
-    rate = 30 + F.floor(p / wide) + ((7 * p + 13 * batch) % 19) + F.when(p % 2 == 0, 2).otherwise(-2) * ramp
-    emits = ((F.floor(F.col("event_id") / n_patterns) * 37) % 100) < rate
-    nodes = [F.struct((at + i).alias("tick"), F.concat(F.lit("p"), p.cast("string"), F.lit("_"), F.lit(str(i))).alias("symbol")) for i in range(ell)]
-    rows = events_df.select(F.concat(F.array(*noise), F.when(emits, F.array(*nodes)).otherwise(F.array().cast("array<struct<tick:bigint,symbol:string>>"))).alias("x"))
-    out = rows.select(F.explode("x").alias("x")).select(F.lit("all").alias("stream_key"), F.col("x.tick").cast("long").alias("tick"), F.col("x.symbol").alias("symbol"))
+        noise.append(F.struct((e * STEP + c).alias("tick"), F.concat(F.lit("n"), F.expr(f"({alphabet}L * (event_id * {7919 + 2 * c} % 10007) * (event_id * {7919 + 2 * c} % 10007)) div (10007L * 10007)").cast("string")).alias("symbol")))
+    block = F.floor(e / 10)
+
+    def emitted(p):
+        rate = 350 + 7 * p % 20 + F.abs((5 * p + batch) % 24 - 12) + F.when(p % 2 == 0, 3).otherwise(-3) * ramp
+        shift = (block * block * 31 + block * p * 17 + p * 613) % 1009 % 10
+        times = (block * 17 + block * block * p * 7 + p * 31) % 1013 % 10 + 1
+        place = ((e % 10 + shift) % 10 + 1) * times % 11 - 1  # a permutation of each ten events
+        fires = place * 100 + (block * 37 + p * 11) % 100 < rate
+        nodes = F.array(*[F.struct((e * STEP + 100 + 8 * p + i).alias("tick"), F.concat(F.lit("p"), p.cast("string"), F.lit(f"_{i}")).alias("symbol")) for i in range(ell)])
+        return F.when(fires, nodes).otherwise(F.array().cast("array<struct<tick:bigint,symbol:string>>"))
+
+    bursts = F.flatten(F.transform(F.sequence(F.lit(0).cast("long"), F.lit(n_patterns - 1).cast("long")), emitted))
+    rows = events_df.select("event_id").select(F.explode(F.concat(F.array(*noise), bursts)).alias("x"))
+    out = rows.select(F.lit("all").alias("stream_key"), F.col("x.tick").cast("long").alias("tick"), F.col("x.symbol").alias("symbol"))
     return out.withColumn("ts", F.timestamp_add("MICROSECOND", F.col("tick"), F.lit(ORIGIN).cast("timestamp_ntz"))).select("stream_key", "ts", "tick", "symbol")
 
 

@@ -54,7 +54,7 @@ def write_batch(df: DataFrame, path: str) -> None:
     df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch_id").parquet(path)
 
 
-_KEPT: dict[tuple, DataFrame] = {}
+_KEPT: dict[tuple, object] = {}
 
 
 def folder_state(spark: SparkSession, folder: str) -> int:
@@ -68,9 +68,14 @@ def folder_state(spark: SparkSession, folder: str) -> int:
     return hash(tuple(sorted(found)))
 
 
-def once(spark: SparkSession, sf_dir: str, name: str, build) -> DataFrame:
-    """A ledger table, computed once per Spark application and state of the input folder, then read from Parquet."""
+def kept(spark: SparkSession, sf_dir: str, name: str, build):
+    """What build() returns, made once per Spark application and state of the input folder."""
     key = (spark.sparkContext.applicationId, sf_dir, folder_state(spark, sf_dir), name)
     if key not in _KEPT:
-        _KEPT[key] = written(build())
+        _KEPT[key] = build()
     return _KEPT[key]
+
+
+def once(spark: SparkSession, sf_dir: str, name: str, build) -> DataFrame:
+    """A ledger table, computed once and then read from Parquet."""
+    return kept(spark, sf_dir, name, lambda: written(build()))

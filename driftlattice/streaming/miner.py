@@ -43,7 +43,7 @@ def message_frame(messages: DataFrame, origin: str = adapters.ORIGIN) -> DataFra
 
 
 class EventLedger:
-    """Appends micro-batches of an event frame under a folder all executors share."""
+    """Event log and results under a folder all executors share: events by micro-batch and time batch, reports by window."""
 
     def __init__(self, spark: SparkSession, folder: str | None = None):
         import uuid
@@ -51,10 +51,23 @@ class EventLedger:
         self.spark, self.folder = spark, folder or f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
 
     def append(self, frame: DataFrame, epoch: int) -> None:
-        frame.write.mode("overwrite").parquet(f"{self.folder}/events/epoch={epoch}")
+        """A replayed micro-batch overwrites itself."""
+        frame.write.mode("overwrite").partitionBy("batch_id").parquet(f"{self.folder}/events/epoch={epoch}")
 
-    def read(self) -> DataFrame:
-        return self.spark.read.option("basePath", f"{self.folder}/events").parquet(f"{self.folder}/events/*")
+    def read(self, first: int | None = None, last: int | None = None) -> DataFrame:
+        """Events of some time batches; only their partitions are read."""
+        log = self.spark.read.option("basePath", f"{self.folder}/events").parquet(f"{self.folder}/events/*").withColumn("batch_id", F.col("batch_id").cast("long"))
+        if first is not None:
+            log = log.where(F.col("batch_id") >= first)
+        return log if last is None else log.where(F.col("batch_id") <= last)
+
+    def keep_report(self, window_end: int, rows: list[tuple]) -> None:
+        self.spark.createDataFrame([(key, n, rank) for _, key, n, rank in rows], "key string, wfreq long, rank long").write.mode("overwrite").parquet(f"{self.folder}/topk/window_end={window_end}")
+
+    def reports(self) -> DataFrame:
+        """(window_end, key, wfreq, rank) of all windows so far."""
+        out = self.spark.read.option("basePath", f"{self.folder}/topk").parquet(f"{self.folder}/topk/*")
+        return out.select(F.col("window_end").cast("long").alias("window_end"), "key", "wfreq", "rank")
 
 
 def run_available(stream: DataFrame, each: Callable[[DataFrame, int], None], checkpoint: str) -> None:
@@ -73,7 +86,7 @@ def replay_counts(spark: SparkSession, sf_dir: str, span: int, ell: int) -> Data
     run_available(file_stream(spark, f"{sf_dir}/events.parquet*"), each, f"{ledger.folder}/checkpoint")
     frame = ledger.read()
     symbols = frame.select("symbol").distinct()
-    return counting.count_serial(batching.sequences(frame, ties=False), counting.enumerate_all(symbols, ell), ell, ties=False).select("batch_id", "key", "freq")
+    return counting.count(batching.sequences(frame, ties=False), counting.enumerate_all(symbols, ell), ell, ties=False).select("batch_id", "key", "freq")
 
 
 @dataclass
@@ -93,6 +106,7 @@ class StreamMiner:
     closed: int | None = None
     high: int | None = None
     result: lattice.RunResult = field(default_factory=lambda: lattice.RunResult([], {}, []))
+    symbols: set = field(default_factory=set)
     late_events: int = 0
 
     def __post_init__(self):
@@ -125,38 +139,40 @@ class StreamMiner:
         return self.result
 
     def close(self, last: int) -> None:
+        """Mines the batches up to `last` that are not closed yet; batches before them are not read again."""
         if self.closed is not None and last <= self.closed:
             return
-        frame = self.ledger.read().where(F.col("batch_id") <= last)
-        bounds = frame.agg(F.min("batch_id")).first()[0]
-        if bounds is None:
+        frame = self.ledger.read(None if self.closed is None else self.closed + 1, last)
+        first = frame.agg(F.min("batch_id")).first()[0] if self.closed is None else self.closed + 1
+        if first is None:
             return
-        # the newest windows need m batches of lattices; older batches are never read again
-        first = bounds if self.closed is None else self.closed + 1
-        seqs = written(batching.sequences(frame.where(F.col("batch_id") >= first), slices=self.params.slices), "batch_id")
-        symbols = {(r[0],) for r in frame.select("symbol").distinct().collect()}
+        seqs = written(batching.sequences(frame, slices=self.params.slices), "batch_id")
+        known = self.spark.createDataFrame([(x,) for (x,) in self.symbols], "symbol string")
+        self.symbols |= {(r.symbol,) for r in batching.new_symbols(frame, known).collect()}
         for s in [j for j in self.result.lattices if j >= first]:
-            del self.result.lattices[s]
+            del self.result.lattices[s], self.result.known[s]
         self.result.stats = [st for st in self.result.stats if st.batch_id < first]
         self.result.topk = [r for r in self.result.topk if r[0] < first]
         theta_of = lambda delta: slack(self.spec.name, self.params.m, self.spec.v, delta)
         for s in range(first, last + 1):
-            prev = self.result.lattices.get(s - 1)
-            lat, stats = lattice.advance(prev, lattice.spark_counter(seqs, s), symbols, self.params, theta_of, lattice.delta_rule(self.params), s)
-            self.result.lattices[s] = lat
-            self.result.stats.append(stats)
-            self._report(s)
+            prev, seen = self.result.lattices.get(s - 1), {}
+            counter = lattice.spark_counter(seqs, s, self.params.klass)
+
+            def count(patterns, counter=counter, seen=seen):
+                got = counter(patterns)
+                seen.update({p: got.get(p, 0) for p in patterns})
+                return got
+
+            lat, stats = lattice.advance(prev, count, self.symbols, self.params, theta_of, lattice.delta_rule(self.params), s)
+            lattice.take_in(self.result, lat, stats, prev, seen, self.params)
+            rows = lattice.report(self.result, s, self.spec, self.params)
+            if rows:
+                self.result.topk += rows
+                self.ledger.keep_report(s, rows)
         self.closed = last
-
-    def _report(self, s: int) -> None:
-        window = range(s - self.params.m + 1, s + 1)
-        if window[0] not in self.result.lattices:
-            return
-        top = self.result.lattices[s].top()
-        sums = {">".join(p): sum(self.result.lattices[j].top().get(p, 0) for j in window) for p in top}
-        rows = [(s, *row) for row in lattice.ranked(sums, self.params.k)]
-        self.result.topk += rows
-        self.spark.createDataFrame([(s, k, n, r) for _, k, n, r in rows] or [], "batch_id long, key string, wfreq long, rank long").write.mode("overwrite").parquet(f"{self.ledger.folder}/topk/batch_id={s}")
+        # a reopened batch redoes its windows from lattices of the m batches before; older ones are never used again
+        for s in [j for j in self.result.lattices if j <= last - 2 * self.params.m]:
+            del self.result.lattices[s], self.result.known[s]
 
 
 def keyed_counts(frame: DataFrame, nodes: list[tuple[str, ...]]) -> DataFrame:
