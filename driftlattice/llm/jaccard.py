@@ -209,7 +209,7 @@ def common_shingles(counts: DataFrame) -> Heavy:
 
 
 def signature_groups(docs: DataFrame, bits: int, threshold: int, heavy: Heavy) -> DataFrame:
-    """docs(text) -> distinct (grp long, class long): classes that share a signature, groups of two or more.
+    """docs(text) -> distinct (grp long, class long, hub long): classes that share a signature, groups of two or more; hub: one of the group.
 
     Signatures travel packed: per task slice and hash bucket 32 more bits of each and the number of
     its class in a small list, equal sets of a slice once.
@@ -271,10 +271,10 @@ def signature_groups(docs: DataFrame, bits: int, threshold: int, heavy: Heavy) -
         label, at = np.unique(label, return_index=True)
         start, size = start[at], size[at]
         place = np.repeat(start - (np.cumsum(size) - size), size) + np.arange(size.sum())
-        return pa.table({"grp": pa.array(np.repeat(label, size).view(np.int64)), "class": pa.array(name[place].view(np.int64))})
+        return pa.table({"grp": pa.array(np.repeat(label, size).view(np.int64)), "class": pa.array(name[place].view(np.int64)), "hub": pa.array(np.repeat(name[start], size).view(np.int64))})
 
     asks = docs.select("text").mapInArrow(ask, "bucket int, sig binary, which binary, names binary")
-    return asks.groupBy("bucket").applyInArrow(meet, "grp long, class long").distinct()
+    return asks.groupBy("bucket").applyInArrow(meet, "grp long, class long, hub long").distinct()
 
 
 def parity(value: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -361,11 +361,16 @@ def contracted(joined: DataFrame, links: DataFrame) -> DataFrame:
     return written(joined.join(moved, "component", "left").select("id", F.coalesce("smallest", "component").alias("component")))
 
 
-def open_groups(placed: DataFrame) -> DataFrame:
-    """(grp, rep, n, component) -> (grp, main, total, open) of the groups with several components: the largest one, members, open pairs."""
+def still_open(placed: DataFrame) -> DataFrame:
+    """(grp, rep, n, component) of the groups with several components."""
+    several = placed.groupBy("grp").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("grp")
+    return written(placed.join(several, "grp", "left_semi"))
+
+
+def largest_components(placed: DataFrame) -> DataFrame:
+    """(grp, main): each group's component of most members, of equal ones the smallest."""
     by = placed.groupBy("grp", "component").agg(F.count(F.lit(1)).alias("c"))
-    whole = by.groupBy("grp").agg((-F.max(F.struct("c", (-F.col("component")).alias("least")))["least"]).alias("main"), F.sum("c").alias("total"), F.sum(F.col("c") * F.col("c")).alias("inside"))
-    return whole.select("grp", "main", "total", ((F.col("total") * F.col("total") - F.col("inside")) / 2).alias("open")).where("open > 0")
+    return by.groupBy("grp").agg((-F.max(F.struct("c", (-F.col("component")).alias("least")))["least"]).alias("main"))
 
 
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
@@ -376,8 +381,9 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     nodes = scan.where("n IS NULL").select("doc_id", "n_shingles", "class")
     # one document stands for each class of equal sets
     classes = nodes.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("class").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"))
-    groups = written(signature_groups(docs, bits, threshold, common_shingles(scan.where("n IS NOT NULL").select("value", "n"))).join(classes, "class").select("grp", "rep", "n"))
-    needed = groups.select(F.col("rep").alias("doc_id")).distinct()
+    groups = written(signature_groups(docs, bits, threshold, common_shingles(scan.where("n IS NOT NULL").select("value", "n"))))
+    shared = written(groups.select("class").distinct().join(classes, "class"))  # the classes that share any signature
+    needed = shared.select(F.col("rep").alias("doc_id")).distinct()
     texts = written(picked(docs, needed).dropDuplicates(["doc_id"]))
     chunks = chunk_count(texts)
     texts = texts.withColumn("chunk", chunk_of("doc_id", chunks))
@@ -399,23 +405,24 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
         near = met.join(handy(side("a").join(star.select(F.col("hub.rep").alias("a")).distinct(), "a", "left_semi")), "a").where(plausible(F.col("pa"), F.col("pb"), F.col("na"), F.col("nb"), threshold))
         return written(linked(texts, written(near.select("a", "b")), chunks, threshold))
 
-    def placed():
-        return groups.join(joined.withColumnRenamed("id", "rep"), "rep")
-
-    hubs = groups.groupBy("grp").agg(F.min(F.struct("rep", "n")).alias("hub"))
-    joined = contracted(joined, compared(groups.join(hubs, "grp").groupBy("rep", "n").agg(F.min("hub").alias("hub"))))
+    # each class with one partner: the least of the hubs of its groups
+    partner = groups.where("hub <> class").groupBy("class").agg(F.min("hub").alias("hub")).join(shared, "class")
+    hubs = shared.select(F.col("class").alias("hub"), F.struct("rep", "n").alias("with"))
+    joined = contracted(joined, compared(partner.join(hubs, "hub").select("rep", "n", F.col("with").alias("hub"))))
+    place = shared.join(joined.withColumnRenamed("id", "rep"), "rep").select("class", "rep", "n", "component")
+    open_ = still_open(groups.select("grp", "class").join(place, "class").select("grp", "rep", "n", "component"))  # a closed group stays closed
     for seed, most in enumerate(ROUNDS):
-        members = placed().join(written(open_groups(placed())), "grp")
+        members = open_.join(largest_components(open_), "grp")
         # hubs out of the largest component: the members with the smallest digests under so many seeds
         digest = lambda k: F.min(F.struct(F.xxhash64("rep", F.lit(k)).alias("digest"), "rep", "n"))
         hubs = members.where("component = main").groupBy("grp").agg(F.array_distinct(F.array(*[digest(100 * seed + k) for k in range(most)])).alias("hubs"))
         star = written(members.where("component <> main").join(hubs, "grp").select("rep", "n", F.explode("hubs").alias("hub")).distinct())
         found = compared(star)
         joined = contracted(joined, found)
+        open_ = still_open(open_.drop("component").join(joined.withColumnRenamed("id", "rep"), "rep").select("grp", "rep", "n", "component"))
         if found.count() <= LINKING * star.count():
             break
-    open_ = placed().join(written(open_groups(placed())), "grp").join(side("rep"), "rep")
-    open_ = written(open_.select("grp", "rep", "n", "component", "prep"))
+    open_ = written(open_.join(side("rep"), "rep").select("grp", "rep", "n", "component", "prep"))
     one, two = (open_.select("grp", F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("component").alias(f"c{x}"), F.col("prep").alias(f"p{x}")) for x in "ab")
     near = (F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & fits(F.col("na"), F.col("nb")) & plausible(F.col("pa"), F.col("pb"), F.col("na"), F.col("nb"), threshold)
     left = written(one.join(two, "grp").where(near).select("a", "b").distinct())
