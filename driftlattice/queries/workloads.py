@@ -9,8 +9,9 @@ from driftlattice.plans import window
 from driftlattice.queries.common import DAY, ev_sql, eps_sql, moves_sql
 from driftlattice.sources import adapters
 from driftlattice.sources.ledger import once, written
+from driftlattice.params import MineParams
+from driftlattice.queries.windows import _quality_ctes
 
-HALF_YEAR = 180 * DAY
 START = "1995-01-01 00:00:00"
 
 
@@ -21,12 +22,35 @@ def top_windows(counts, m, k):
     return window.window_truth(counts, m, k, lo, hi)
 
 
-def q40(spark, d):
+MONTH = 30 * DAY
+
+
+def baskets(spark, d):
+    """(batch_id, l_orderkey, items): the brands of each order, by months of 30 days."""
     line, part, orders = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("lineitem", "part", "orders"))
     items = line.join(part, line.l_partkey == part.p_partkey).join(orders, line.l_orderkey == orders.o_orderkey)
-    items = items.select(F.floor(adapters.micros(F.col("o_orderdate"), START) / F.lit(HALF_YEAR)).cast("long").alias("batch_id"), "l_orderkey", "p_brand")
-    baskets = items.groupBy("batch_id", "l_orderkey").agg(F.sort_array(F.collect_set("p_brand")).alias("items"))
-    return top_windows(counting.itemset_counts(baskets, 2), 4, 10)
+    items = items.select(F.floor(adapters.micros(F.col("o_orderdate"), START) / F.lit(MONTH)).cast("long").alias("batch_id"), "l_orderkey", "p_brand")
+    return items.groupBy("batch_id", "l_orderkey").agg(F.sort_array(F.collect_set("p_brand")).alias("items"))
+
+
+def q40(spark, d):
+    return top_windows(counting.itemset_counts(baskets(spark, d), 2), 10, 10)
+
+
+def measured(spark, d, seqs, name, params):
+    """All methods on one stream, by the algorithms; kept for the application."""
+    from driftlattice.plans import streams
+    from driftlattice.queries.planted import methods
+
+    return once(spark, d, name, lambda: streams.evaluate(seqs.select(F.lit(name).alias("stream_key"), "batch_id", "seq"), {name: params}, methods))
+
+
+def q40_variants(spark, d):
+    """The methods on itemset streams: a basket is a tick, and an itemset occurs in every basket that holds it."""
+    from driftlattice.queries.planted import quality_of
+
+    seqs = baskets(spark, d).groupBy("batch_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("l_orderkey", "items"))), lambda x: x["items"]).alias("seq"))
+    return quality_of(measured(spark, d, seqs, "baskets", MineParams(m=10, k=10, ell=2, klass="itemset", delta=2.0)))
 
 
 def q41(spark, d):
@@ -68,12 +92,32 @@ def q43(spark, d):
     return freq.groupBy("lang", "key").agg(F.sum("freq").alias("freq")).where("freq > 0")
 
 
-def q44(spark, d):
+def supplier_seqs(spark, d):
     rows = spark.read.parquet(f"{d}/lineitem.parquet")
-    frame = adapters.with_batches(adapters.adapt(rows, F.col("l_shipdate"), F.col("l_suppkey"), origin=START), 90 * DAY)
-    busy = frame.groupBy("symbol").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "symbol").limit(30).select("symbol")
-    kept = frame.join(F.broadcast(busy), "symbol", "left_semi")
-    return top_windows(counting.count_serial(batching.sequences(kept), counting.enumerate_all(busy, 2), 2).select("batch_id", "key", "freq"), 8, 25)
+    return batching.sequences(adapters.with_batches(adapters.adapt(rows, F.col("l_shipdate"), F.col("l_suppkey"), origin=START), MONTH))
+
+
+def supplier_counts(spark, d):
+    """All pairs of all suppliers in months of 30 days."""
+
+    def build():
+        every = spark.read.parquet(f"{d}/lineitem.parquet").select(F.col("l_suppkey").cast("string").alias("symbol")).distinct()
+        return counting.count(supplier_seqs(spark, d), counting.enumerate_all(every, 2), 2).select("batch_id", "key", "freq")
+
+    return once(spark, d, "suppliers", build)
+
+
+def q44(spark, d):
+    return top_windows(supplier_counts(spark, d), 10, 25)
+
+
+def q44_variants(spark, d):
+    """Every method against the recount on the supplier stream, in closed form over the counts of all pairs."""
+    from driftlattice.queries.windows import q30
+
+    m = supplier_counts(spark, d)
+    lo, hi = window.batch_range(m) or (0, -1)
+    return q30(m, lo, hi)
 
 
 def q45(spark, d):
@@ -97,7 +141,7 @@ def q82(spark, d):
 
 
 QUERIES = {
-    "q40_itemset_topk": q40, "q41_user_streams": q41, "q42_conversations": q42, "q43_doc_tokens": q43, "q44_supplier_stream": q44, "q45_order_status": q45,
+    "q40_itemset_topk": q40, "q40b_itemset_variants": q40_variants, "q41_user_streams": q41, "q42_conversations": q42, "q43_doc_tokens": q43, "q44_supplier_stream": q44, "q44b_supplier_variants": q44_variants, "q45_order_status": q45,
     "q82_nation_symbols": q82,
 }
 
@@ -119,9 +163,12 @@ def _batch(column: str, span: int) -> str:
     return f"CAST(floor((epoch_us({column}) - epoch_us(TIMESTAMP '{START}')) / {span}.0) AS BIGINT)"
 
 
+_BASKETS = f"""it AS (SELECT DISTINCT {_batch('o_orderdate', MONTH)} AS batch_id, l_orderkey, p_brand FROM lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey),
+m AS MATERIALIZED (SELECT a.batch_id, a.p_brand || '+' || b.p_brand AS key, count(*) AS freq FROM it a JOIN it b ON a.l_orderkey = b.l_orderkey AND a.batch_id = b.batch_id AND a.p_brand < b.p_brand GROUP BY 1, 2)"""
+_SUPPLIERS = _tie_counts("SELECT " + _batch("l_shipdate", MONTH) + " AS batch_id, l_shipdate AS tick, CAST(l_suppkey AS VARCHAR) AS symbol FROM lineitem", "SELECT DISTINCT symbol AS s FROM r", 2)
 ORACLES = {
-    "q40_itemset_topk": f"""WITH it AS (SELECT DISTINCT {_batch('o_orderdate', HALF_YEAR)} AS batch_id, l_orderkey, p_brand FROM lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey),
-m AS MATERIALIZED (SELECT a.batch_id, a.p_brand || '+' || b.p_brand AS key, count(*) AS freq FROM it a JOIN it b ON a.l_orderkey = b.l_orderkey AND a.batch_id = b.batch_id AND a.p_brand < b.p_brand GROUP BY 1, 2), {_truth(4, 10)}""",
+    "q40_itemset_topk": f"WITH {_BASKETS}, {_truth(10, 10)}",
+    "q40b_itemset_variants": f"WITH {_BASKETS}, {_quality_ctes(10, 10, 2.0, ev='m')} SELECT * FROM qual",
     "q41_user_streams": f"""WITH {ev_sql(7 * DAY)}, sq AS (SELECT user_id, batch_id, list({{'t': event_type, 'n': 0}} ORDER BY tick) AS seq FROM ev GROUP BY 1, 2), sy AS (SELECT DISTINCT event_type AS s FROM events), {eps_sql(2, 'eps')},
 f AS (SELECT user_id, array_to_string(nodes, '>') AS key, CAST({moves_sql('seq', 'nodes', 2)} // 2 AS BIGINT) AS freq FROM sq, eps) SELECT key, CAST(sum(freq) AS BIGINT) AS freq, count(DISTINCT user_id) AS n_streams FROM f WHERE freq > 0 GROUP BY key""",
     "q42_conversations": f"""WITH tk AS (SELECT conv_id, turn, list(DISTINCT role) AS t FROM conversations WHERE role IS NOT NULL AND turn IS NOT NULL GROUP BY 1, 2), sq AS (SELECT conv_id, list({{'t': t, 'n': 0}} ORDER BY turn) AS seq FROM tk GROUP BY 1), sy AS (SELECT DISTINCT role AS s FROM conversations WHERE role IS NOT NULL), {eps_sql(2, 'eps')},
@@ -130,7 +177,8 @@ f AS (SELECT conv_id, array_to_string(nodes, '>') AS key, CAST({moves_sql('seq',
 w AS (SELECT doc_id, lang, unnest(range(len(w))) AS pos, unnest(w) AS symbol FROM a), c AS (SELECT lang, symbol FROM (SELECT lang, symbol, rank() OVER (PARTITION BY lang ORDER BY count(*) DESC) AS r FROM w WHERE symbol <> '' GROUP BY 1, 2) WHERE r <= 5),
 sq AS (SELECT lang, doc_id, list({{'t': symbol, 'n': 0}} ORDER BY pos) AS seq FROM w JOIN c USING (lang, symbol) GROUP BY 1, 2), eps AS (SELECT a.lang, [a.symbol, b.symbol] AS nodes FROM c a JOIN c b USING (lang)),
 f AS (SELECT lang, array_to_string(nodes, '>') AS key, {moves_sql('seq', 'nodes', 2)} // 2 AS freq FROM sq JOIN eps USING (lang)) SELECT lang, key, CAST(sum(freq) AS BIGINT) AS freq FROM f GROUP BY 1, 2 HAVING sum(freq) > 0""",
-    "q44_supplier_stream": f"WITH {_tie_counts('SELECT ' + _batch('l_shipdate', 90 * DAY) + ' AS batch_id, l_shipdate AS tick, CAST(l_suppkey AS VARCHAR) AS symbol FROM lineitem', 'SELECT symbol AS s FROM r GROUP BY symbol ORDER BY count(*) DESC, symbol LIMIT 30', 2)}, {_truth(8, 25)}",
+    "q44_supplier_stream": f"WITH {_SUPPLIERS}, {_truth(10, 25)}",
+    "q44b_supplier_variants": f"WITH {_SUPPLIERS}, {_quality_ctes(ev='m')} SELECT * FROM qual",
     "q45_order_status": f"""WITH tk AS (SELECT c_mktsegment AS k, {_batch('o_orderdate', 365 * DAY)} AS batch_id, o_orderdate AS tick, list(DISTINCT o_orderstatus) AS t FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2, 3),
 sq AS (SELECT k, batch_id, list({{'t': t, 'n': 0}} ORDER BY tick) AS seq FROM tk GROUP BY 1, 2), sy AS (SELECT DISTINCT o_orderstatus AS s FROM orders), {eps_sql(2, 'eps')}
 SELECT * FROM (SELECT k AS stream_key, batch_id, array_to_string(nodes, '>') AS key, CAST({moves_sql('seq', 'nodes', 2, 'list_contains(x.t, {n})')} // 2 AS BIGINT) AS freq FROM sq, eps) WHERE freq > 0""",
