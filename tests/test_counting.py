@@ -161,3 +161,53 @@ def test_empty_batch_and_unknown_symbol(spark):
     rows = seqs(spark, "", "AB")
     assert counting.count_serial(rows, cands(spark, "Z>A"), 2, ties=False).count() == 0
     assert rows.select(E.serial_frequency(F.col("seq"), F.array(F.lit("A")), 1)).count() == 2
+
+
+def slow_parallel(ticks, nodes):
+    from collections import Counter
+
+    done, have, n = 0, Counter(), Counter(nodes)
+    for tick in ticks:
+        for x in tick:
+            if have[x] < n[x]:
+                have[x] += 1
+        if have == n:
+            done, have = done + 1, Counter()
+    return done
+
+
+def test_kernels_of_all_classes_equal_brute_force(spark):
+    rng = random.Random(13)
+    batches = {b: [sorted(set(rng.choices("abcde", k=rng.randint(1, 3)))) for _ in range(40)] for b in range(3)} | {7: []}
+    whole = spark.createDataFrame([(b, 0, x) for b, x in batches.items()], "batch_id long, seg int, seq array<array<string>>")
+    cut = spark.createDataFrame([(b, k, x[13 * k : 13 * k + 13] if k < 2 else x[26:]) for b, x in batches.items() for k in range(3)], "batch_id long, seg int, seq array<array<string>>")
+    multisets = [tuple(x) for n in (1, 2, 3) for x in itertools.combinations_with_replacement("abcdz", n)]
+    sets_ = [tuple(x) for n in (1, 2, 3) for x in itertools.combinations("abcdz", n)]
+    serials = [tuple(x) for n in (1, 2, 3) for x in itertools.product("abz", repeat=n)]
+
+    def slow_serial(ticks, nodes):
+        n = 0
+        for tick in ticks:
+            n += nodes[n % len(nodes)] in tick
+        return n // len(nodes)
+
+    slow = {"parallel": slow_parallel, "itemset": lambda ticks, nodes: sum(set(nodes) <= set(t) for t in ticks), "serial": slow_serial}
+    for klass, cands, tables in (("parallel", multisets, [whole]), ("itemset", sets_, [whole, cut]), ("serial", serials, [whole, cut])):
+        want = {(b, c): slow[klass](x, c) for b, x in batches.items() for c in cands}
+        for table in tables:
+            got = {(r.batch_id, cands[r.cand]): r.freq for r in counting.count_kernel(table, cands, klass).collect()}
+            assert got == want
+            every = spark.createDataFrame([(b, list(c)) for b in batches for c in cands], "batch_id long, nodes array<string>")
+            assert {(r.batch_id, tuple(r.nodes)): r.freq for r in counting.count_grid(table, every, klass).collect()} == want
+    with pytest.raises(Exception):
+        counting.count_kernel(cut, [("a", "b")], "parallel").collect()
+
+
+def test_grid_blocks_split_the_candidates(spark, monkeypatch):
+    monkeypatch.setattr(counting, "GRID_BLOCK", 3)
+    table = spark.createDataFrame([(0, 0, list("abcabc")), (1, 0, list("cba"))], "batch_id long, seg int, seq array<string>")
+    cands = [[x, y] for x in "abc" for y in "abc"]
+    every = spark.createDataFrame([(0, c) for c in cands] + [(1, ["a", "b"])], "batch_id long, nodes array<string>")
+    got = {(r.batch_id, ">".join(r.nodes)): r.freq for r in counting.count_grid(table, every).collect()}
+    assert got == {**{(0, "a>a"): 1, (0, "b>b"): 1, (0, "c>c"): 1, (0, "a>b"): 2, (0, "b>c"): 2, (0, "a>c"): 2, (0, "b>a"): 1, (0, "c>b"): 1, (0, "c>a"): 1}, (1, "a>b"): 0}
+    assert counting.count_grid(table, every.limit(0)).count() == 0

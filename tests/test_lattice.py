@@ -170,3 +170,73 @@ def test_bounds_table():
 def test_wrong_parameters(call):
     with pytest.raises(ValueError):
         call()
+
+
+@pytest.mark.parametrize("klass", ["serial", "parallel", "itemset"])
+def test_streams_evaluate_every_class_like_brute_force(spark, klass):
+    """One task per stream; all methods against closed forms over exhaustive counts, in every pattern class."""
+    import pyarrow as pa
+
+    from driftlattice.operators import counting
+    from driftlattice.plans import streams
+
+    rng = random.Random(23)
+    data = {s: [sorted(set(rng.choices("abcde", [5, 4, 3, 2, 1 + s % 3], k=2))) for _ in range(60)] for s in range(7)}
+    params = MineParams(m=3, k=4, ell=2, klass=klass, delta=2.0)
+    methods = lambda m: {"window_recount": VariantSpec("window_recount"), "batch_union": VariantSpec("batch_union"), "sticky_union": VariantSpec("sticky_union"), "lookahead": VariantSpec("lookahead"), "heur": VariantSpec("heuristic_depth", 1.5)}
+    seqs = spark.createDataFrame([("one", s, x) for s, x in data.items()] + [("two", s, x[::-1]) for s, x in data.items()], "stream_key string, batch_id long, seq array<array<string>>")
+    rows = streams.evaluate(seqs, {"one": params, "two": params}, methods).where("kind = 'topk'").collect()
+    make = itertools.product("abcde", repeat=2) if klass == "serial" else itertools.combinations_with_replacement("abcde", 2) if klass == "parallel" else itertools.combinations("abcde", 2)
+    cands = list(make)
+    for key, flip in (("one", 1), ("two", -1)):
+        counts = [(s, counting.MARK[klass].join(c), n) for s, x in data.items() for c, n in streams.local_counter(pa.array(x[::flip]), klass)(cands).items() if n]
+        m = spark.createDataFrame(counts, "batch_id long, key string, freq long")
+        for name, spec in methods(3).items():
+            want = {(r.window_end, r.key, r.wfreq, r["rank"]) for r in variants.report(m, spec, 3, 4, 2.0, 0, 6).collect()}
+            assert {(r.window_end, r.key, r.wfreq, r["rank"]) for r in rows if r.stream_key == key and r.variant == name} == want, (klass, name)
+
+
+def test_exact_windows_equal_the_truth():
+    data, params = stream(9), MineParams(m=4, k=5, ell=3)
+    symbols = [(x,) for x in "abcde"]
+    each = {s: counter(x)(list(itertools.product("abcde", repeat=3))) for s, x in data.items()}
+    delta = max(abs(each[s][p] - each[s + 1][p]) for s in range(8) for p in each[0])
+    for d in (float(delta), 100.0):
+        got = L.exact_window_topk({s: counter(x) for s, x in data.items()}, symbols, params, d)
+        assert got.topk == L.window_recount({s: counter(x) for s, x in data.items()}, symbols, params).topk
+
+
+def test_estimated_drift_and_intervals():
+    """Drift is the quantile of the changes of patterns tracked in the batch before; unknown counts widen the report."""
+    data = stream(9)
+    params = MineParams(m=4, k=3, ell=3, delta="estimate", missing="interval", known="frequent")
+    run = L.run_variant({s: counter(x) for s, x in data.items()}, [(x,) for x in "abcde"], VariantSpec("lookahead"), params)
+    for st in run.stats[1:]:
+        before = run.lattices[st.batch_id - 1].top()
+        now = counter(data[st.batch_id])(list(before))
+        change = sorted(abs(now[p] - n) for p, n in before.items())
+        place = 0.75 * (len(change) - 1)
+        want = change[int(place)] + (place % 1) * (change[min(int(place) + 1, len(change) - 1)] - change[int(place)])
+        assert st.delta == pytest.approx(max(1.0, want)) and st.theta == pytest.approx(2 * st.delta)
+    run = L.run_variant({s: counter(x) for s, x in data.items()}, [(x,) for x in "abcde"], VariantSpec("lookahead"), params.with_(delta=0.5, k=12))
+    assert run.bounds and any(high > low for _, _, low, high in run.bounds)
+    for s, key, low, high in run.bounds:
+        p = tuple(key.split(">"))
+        assert low <= sum(counter(data[j])([p])[p] for j in range(s - 3, s + 1)) <= high
+
+
+def test_planted_patterns_are_the_truth(spark, tiny):
+    """On a planted stream the recount reports planted episodes, and the deeper methods find them all."""
+    from driftlattice.operators import batching
+    from driftlattice.plans import streams
+    from driftlattice.queries import planted as P
+
+    seqs = batching.sequences(P.planted_frame(spark, tiny, 200, 2, 5, 5)).select(F.lit("x").alias("stream_key"), "batch_id", "seq")
+    rows = streams.evaluate(seqs, {"x": MineParams(m=3, k=5, ell=4, delta=1.0)}, P.methods).collect()
+    truth = {(r.window_end, r.key) for r in rows if r.kind == "topk" and r.variant == "window_recount"}
+    assert truth and {f"p{p}_0>p{p}_1>p{p}_2>p{p}_3" for p in range(5)} & {k for _, k in truth}
+    assert all(len({x.split("_")[0] for x in k.split(">")}) == 1 for _, k in truth)
+    for name in ("heur_half", "persist_half"):
+        assert {(r.window_end, r.key) for r in rows if r.kind == "topk" and r.variant == name} == truth
+    cost = {r.variant: r.state_bytes for r in rows if r.kind == "stats"}
+    assert cost["window_recount"] > cost["lookahead"] > 0 and cost["batch_union"] > 0

@@ -75,15 +75,17 @@ def test_stream_miner_equals_a_bounded_run(spark, tmp_path):
     folder = str(tmp_path / "in")
     for k in range(3):
         spark.createDataFrame(rows[k * 50 : (k + 1) * 50], adapters.EVENT_FRAME).coalesce(1).write.mode("append").parquet(folder)
-    params = MineParams(batch_seconds=1, m=2, k=3, ell=2, delta=1.0, known="frequent")
+    params = MineParams(batch_seconds=1, m=2, k=3, ell=2, delta=1.0, missing="interval")
     miner = StreamMiner(spark, VariantSpec("lookahead"), params, lateness=span, ledger=EventLedger(spark, str(tmp_path / "ledger")))
     stream = spark.readStream.schema(adapters.EVENT_FRAME).option("maxFilesPerTrigger", 1).parquet(folder)
     run_available(stream, miner, str(tmp_path / "checkpoint"))
     got = miner.finish()
     seqs = batching.sequences(adapters.with_batches(spark.createDataFrame(rows, adapters.EVENT_FRAME), span))
     want = L.run_variant({s: L.spark_counter(seqs, s) for s in range(5)}, [(x,) for x in "abc"], VariantSpec("lookahead"), params)
-    if not miner.late_events:
-        assert set(got.topk) == set(want.topk)
+    assert miner.late_events == 0 and want.topk
+    assert set(got.topk) == set(want.topk) and set(got.bounds) == set(want.bounds)
+    kept = {(r.window_end, r.key, r.wfreq, r["rank"]) for r in miner.ledger.reports().collect()}
+    assert kept == set(want.topk)
 
 
 def test_late_events_are_set_aside_or_reopen(spark, tmp_path):
