@@ -46,6 +46,18 @@ def events(spark: SparkSession, sf_dir: str, symbol: Column | None = None, key:
     return adapt(df, F.col("ts"), F.col("event_type") if symbol is None else symbol, key)
 
 
+def event_files(spark: SparkSession, path: str, kind: str = "parquet", schema: str = "ts timestamp_ntz, symbol string, key string", ts: str = "ts", symbol: str = "symbol", key: str | None = None, **options) -> DataFrame:
+    """Files of events (parquet, orc, csv, json) as an event frame; rows without time or symbol raise when they are read.
+
+    The schema is given, never inferred, so that no pass over the files is spent on it.
+    """
+    if kind not in ("parquet", "orc", "csv", "json"):
+        raise ValueError(f"no reader for {kind!r}")
+    rows = spark.read.format(kind).schema(schema).options(**options).load(path)
+    frame = rows.select((F.col(key).cast("string") if key else F.lit("all")).alias("stream_key"), F.col(ts).cast("timestamp_ntz").alias("ts"), micros(F.col(ts)).alias("tick"), F.col(symbol).cast("string").alias("symbol"))
+    return validate_events(frame)
+
+
 def with_batches(frame: DataFrame, span: int) -> DataFrame:
     """Adds batch_id = floor(tick / span): batches are half-open and equal in time."""
     return frame.withColumn("batch_id", F.floor(F.col("tick") / F.lit(span)).cast("long"))

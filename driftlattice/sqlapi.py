@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.functions import udtf
 
+from driftlattice.functions.aggregates import nonoverlap_count
 from driftlattice.params import MineParams, VariantSpec
 from driftlattice.plans import variants, window
 
@@ -58,4 +59,6 @@ class MineEpisodes:
 
 
 def register_functions(spark: SparkSession) -> None:
+    """mine_episodes (table function) and nonoverlap_count (aggregate) for SQL."""
     spark.udtf.register("mine_episodes", MineEpisodes)
+    spark.udf.register("nonoverlap_count", nonoverlap_count)

@@ -25,9 +25,9 @@ from driftlattice.sources.ledger import shared_folder, written
 EVENT_SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def file_stream(spark: SparkSession, path: str, schema: str = EVENT_SCHEMA, files_per_trigger: int = 1) -> DataFrame:
-    """A stream of Parquet files; `path` is a folder or a pattern."""
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+def file_stream(spark: SparkSession, path: str, schema: str = EVENT_SCHEMA, files_per_trigger: int = 1, kind: str = "parquet") -> DataFrame:
+    """A stream of files (parquet, csv, json ...); `path` is a folder or a pattern."""
+    return spark.readStream.format(kind).schema(schema).option("maxFilesPerTrigger", files_per_trigger).load(path)
 
 
 def rate_stream(spark: SparkSession, rows_per_second: int, symbols: int) -> DataFrame:
