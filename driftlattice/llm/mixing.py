@@ -7,8 +7,8 @@ with target = min(cap, weight * L): sorting the sources by cap / weight and taki
 finds it in one pass, without a loop.
 
 A target is met by whole repetitions of every document plus one more repetition of some of them:
-documents are ordered by a seeded digest of their id and taken until the rest is used up. The
-order is cut in two steps, first over digest buckets (sums per source and bucket), then over the
+documents are ordered by a seeded digest of their id and taken until the rest is used up; the one
+that the cut falls into is taken if that ends nearer to the target. The order is cut in two steps, first over digest buckets (sums per source and bucket), then over the
 documents of the one bucket where the cut falls, so no task ever holds a source.
 
 Defined cases: null or blank text has size 0 and takes nothing; a null source is a source of its
@@ -101,7 +101,9 @@ def mix(docs: DataFrame, epochs: int = EPOCHS, weights=WEIGHTS, seed: str = SEED
     out = ["doc_id", *[F.col("carried")[c].alias(c) for c in keep], "size", "source_size", "target"]
     settled = placed.where(~in_cut).select(*out, (F.col("size") * (F.col("whole") + (F.col("before") + F.col("bucket_size") <= F.col("extra")).cast("long"))).alias("taken"))
     split = placed.where(in_cut).withColumn("upto", F.col("before") + F.sum("size").over(order))
-    split = split.select(*out, (F.col("size") * (F.col("whole") + (F.col("upto") <= F.col("extra")).cast("long"))).alias("taken"))
+    # the document that the cut falls into has extra between upto - size and upto
+    more = (F.col("upto") - F.col("size") < F.col("extra")) & (2 * F.col("upto") - F.col("size") < 2 * F.col("extra"))
+    split = split.select(*out, (F.col("size") * (F.col("whole") + ((F.col("upto") <= F.col("extra")) | more).cast("long"))).alias("taken"))
     return settled.unionByName(split)
 
 
@@ -134,4 +136,4 @@ mixed AS (
     CAST(sum(d.size) OVER (PARTITION BY d.source ORDER BY d.digest, d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) AS upto
   FROM sized d JOIN parts p ON d.source IS NOT DISTINCT FROM p.source)
 """
-SQL = "WITH " + MIX_SQL.format(table="documents", size=_SIZE) + "SELECT doc_id, CAST(size AS BIGINT) AS size, source_size, target, CAST(size * (whole + CASE WHEN upto <= extra THEN 1 ELSE 0 END) AS BIGINT) AS taken FROM mixed"
+SQL = "WITH " + MIX_SQL.format(table="documents", size=_SIZE) + "SELECT doc_id, CAST(size AS BIGINT) AS size, source_size, target, CAST(size * (whole + CASE WHEN upto <= extra OR upto - size < extra AND 2 * upto - size < 2 * extra THEN 1 ELSE 0 END) AS BIGINT) AS taken FROM mixed"
