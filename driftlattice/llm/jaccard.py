@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, field, member, mix, row_slices, spans, table_bytes, text_buffer, written
+from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, dropped, field, member, mix, row_slices, spans, table_bytes, text_buffer, written
 
 WIDTH = 5
 THRESHOLD = 80
@@ -384,9 +384,9 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     groups = written(signature_groups(docs, bits, threshold, common_shingles(scan.where("n IS NOT NULL").select("value", "n"))))
     shared = written(groups.select("class").distinct().join(classes, "class"))  # the classes that share any signature
     needed = shared.select(F.col("rep").alias("doc_id")).distinct()
-    texts = written(picked(docs, needed).dropDuplicates(["doc_id"]))
-    chunks = chunk_count(texts)
-    texts = texts.withColumn("chunk", chunk_of("doc_id", chunks))
+    kept_texts = written(picked(docs, needed).dropDuplicates(["doc_id"]))
+    chunks = chunk_count(kept_texts)
+    texts = kept_texts.withColumn("chunk", chunk_of("doc_id", chunks))
     sketch = written(sketches(texts))
     joined = written(needed.select(F.col("doc_id").alias("id"), F.col("doc_id").alias("component")))
     fits = lambda a, b: (100 * F.least(a, b) >= threshold * F.greatest(a, b))
@@ -428,6 +428,8 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     left = written(one.join(two, "grp").where(near).select("a", "b").distinct())
     if not left.isEmpty():
         joined = contracted(joined, linked(texts, left, chunks, threshold))
+    for table in (kept_texts, sketch, groups, open_):  # the result reads none of them
+        dropped(table)
     label = classes.select("class", "rep").join(joined.withColumnRenamed("id", "rep"), "rep", "left").select("class", F.coalesce("component", "rep").alias("component_id"))
     return nodes.join(label, "class", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
