@@ -2,6 +2,8 @@
 
 import random
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
 
 
@@ -32,3 +34,22 @@ def test_stages_decide(spark, tmp_path):
     assert "[EMAIL]" in last[55].text and last[55].n_chars == len(last[55].text)
     assert all(r.taken <= 3 * r["size"] for r in last.values())
     assert {r.doc_id for r in corpus_pipeline.run(spark, str(tmp_path)).collect()} == seen[4]
+
+
+def test_stages_on_odd_tables(spark, tmp_path):
+    """Empty tables, null and repeated ids, and columns that are called like those of the stages."""
+    rng = random.Random(6)
+    words = ["the", "and", "of", "to", "in", *("".join(rng.choice("aeinorst") for _ in range(5)) for _ in range(90))]
+    text = lambda n: " ".join(rng.choices(words, k=n))
+    rows = [(i, text(40), "en", f"s{i % 2}", None) for i in range(12)] + [(None, text(40), "en", None, 7), (None, None, None, None, None)]
+    rows += [(rows[2][0], rows[2][1], "en", "s0", None)]
+    names = ["score", "Terms", "size", "items", "class", "text_key", "a.b"]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    for k, data in enumerate((rows, [])):
+        d = f"{tmp_path}/{k}"
+        spark.createDataFrame(data, schema).withColumns({c: F.lit(f"own {c}") for c in names}).write.parquet(f"{d}/documents.parquet")
+        spark.createDataFrame([], "item_id long, text string").write.parquet(f"{d}/benchmark.parquet")
+        out = corpus_pipeline.run(spark, d)
+        got = out.collect()
+        assert sorted((r.doc_id is None, r.doc_id) for r in got) == sorted((r[0] is None, r[0]) for r in data if r[1])
+        assert all(r[c] == f"own {c}" for r in got for c in names if c != "size") and "taken" in out.columns
