@@ -384,7 +384,10 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     groups = written(signature_groups(docs, bits, threshold, common_shingles(scan.where("n IS NOT NULL").select("value", "n"))))
     shared = written(groups.select("class").distinct().join(classes, "class"))  # the classes that share any signature
     needed = shared.select(F.col("rep").alias("doc_id")).distinct()
-    kept_texts = written(picked(docs, needed).dropDuplicates(["doc_id"]))
+    kept_texts = picked(docs, needed)
+    # one text an id; where no id is repeated, which narrow rows tell, the texts need no shuffle for that
+    repeated = not nodes.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").isEmpty()
+    kept_texts = written(kept_texts.dropDuplicates(["doc_id"]) if repeated else kept_texts)
     chunks = chunk_count(kept_texts)
     texts = kept_texts.withColumn("chunk", chunk_of("doc_id", chunks))
     sketch = written(sketches(texts))
