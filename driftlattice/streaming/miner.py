@@ -81,7 +81,7 @@ def replay_counts(spark: SparkSession, sf_dir: str, span: int, ell: int) -> Data
     ledger = EventLedger(spark)
 
     def each(df: DataFrame, epoch: int) -> None:
-        ledger.append(adapters.with_batches(adapters.adapt(df, F.col("ts"), F.col("event_type")), span), epoch)
+        ledger.append(adapters.with_batches(adapters.adapt(df, F.col("ts"), F.col("event_type"), place=F.col("event_id")), span), epoch)
 
     run_available(file_stream(spark, f"{sf_dir}/events.parquet*"), each, f"{ledger.folder}/checkpoint")
     frame = ledger.read()
@@ -146,7 +146,8 @@ class StreamMiner:
         first = frame.agg(F.min("batch_id")).first()[0] if self.closed is None else self.closed + 1
         if first is None:
             return
-        seqs = written(batching.sequences(frame, slices=self.params.slices), "batch_id")
+        # a frame with places (adapters.adapt) holds events that are steps of their own, also within a tick
+        seqs = written(batching.sequences(frame, slices=self.params.slices, ties="place" not in frame.columns), "batch_id")
         known = self.spark.createDataFrame([(x,) for (x,) in self.symbols], "symbol string")
         self.symbols |= {(r.symbol,) for r in batching.new_symbols(frame, known).collect()}
         for s in [j for j in self.result.lattices if j >= first]:
