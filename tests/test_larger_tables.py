@@ -26,3 +26,20 @@ def same_as_sql(spark, folder, name):
 @pytest.mark.parametrize("name", ["q02_serial_l1", "q03_serial_l2", "q13_mine_threshold", "q23_lookahead", "q49_stream_replay"])
 def test_events_of_one_time_are_steps_of_their_own(spark, copies, name):
     assert same_as_sql(spark, copies, name)
+
+
+def rows_read(spark):
+    """Rows that Spark's tasks have read from files so far."""
+    sc = spark.sparkContext
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), None)
+    return sum(stages.apply(i).inputRecords() for i in range(stages.size()))
+
+
+@pytest.mark.parametrize("name", ["q37_thresholds", "q91_batch_union_run", "q92_sticky_union_run", "q94_persist_half_run", "q95_persist_34_run", "q96_heur_half_run", "q97_heur_34_run"])
+def test_each_run_reads_the_table(spark, copies, name):
+    """Also when another query has counted everything before."""
+    QUERIES["q90_recount_run"](spark, copies).collect()
+    n = duckdb.sql(f"SELECT count(*) FROM '{copies}/events.parquet'").fetchall()[0][0]
+    before = rows_read(spark)
+    assert same_as_sql(spark, copies, name)
+    assert rows_read(spark) - before >= n
