@@ -211,3 +211,22 @@ def test_grid_blocks_split_the_candidates(spark, monkeypatch):
     got = {(r.batch_id, ">".join(r.nodes)): r.freq for r in counting.count_grid(table, every).collect()}
     assert got == {**{(0, "a>a"): 1, (0, "b>b"): 1, (0, "c>c"): 1, (0, "a>b"): 2, (0, "b>c"): 2, (0, "a>c"): 2, (0, "b>a"): 1, (0, "c>b"): 1, (0, "c>a"): 1}, (1, "a>b"): 0}
     assert counting.count_grid(table, every.limit(0)).count() == 0
+
+
+def test_pair_windows_equal_all_pairs_counted(spark, monkeypatch):
+    """The k best pairs of each window without the table of all pairs; symbols with equal ticks share a count, ties are whole."""
+    import random
+
+    from driftlattice.plans import window
+
+    rng = random.Random(5)
+    rows = [(b, t, s) for b in range(2, 9) for t in range(b * 100, b * 100 + rng.choice((3, 20, 40))) for s in "abcdefg" if rng.random() < 0.4]
+    rows += [(b, t, s.upper()) for b, t, s in rows if s in "abc"] + [(1, 100, "z"), (12, 1200, "z"), (6, 600, None)]
+    frame = spark.createDataFrame(rows, "batch_id long, tick long, symbol string").where("symbol IS NOT NULL")
+    symbols = frame.select("symbol").distinct()
+    m = counting.count_serial(batching.sequences(frame), counting.enumerate_all(symbols, 2), 2).select("batch_id", "key", "freq")
+    for k in (1, 5, 500):
+        want = window.window_truth(m, 3, k, *window.batch_range(m)).select("window_end", "key", "wfreq", "rank").collect()
+        got = counting.pair_windows(frame, 3, k, block=3).select("window_end", "key", "wfreq", "rank").collect()
+        assert sorted(map(tuple, got)) == sorted(map(tuple, want)) and want
+    assert counting.pair_windows(spark.createDataFrame([(0, t, "a") for t in range(65)], "batch_id long, tick long, symbol string"), 3, 5) is None
