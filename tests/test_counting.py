@@ -230,3 +230,19 @@ def test_pair_windows_equal_all_pairs_counted(spark, monkeypatch):
         got = counting.pair_windows(frame, 3, k, block=3).select("window_end", "key", "wfreq", "rank").collect()
         assert sorted(map(tuple, got)) == sorted(map(tuple, want)) and want
     assert counting.pair_windows(spark.createDataFrame([(0, t, "a") for t in range(65)], "batch_id long, tick long, symbol string"), 3, 5) is None
+
+
+def test_pair_quality_equals_the_closed_forms_of_all_counts(spark):
+    """All variants without the table of all pairs; classes of equal ticks weigh as many pairs as they hold."""
+    import random
+
+    from driftlattice.plans import metrics, variants, window
+
+    rng = random.Random(6)
+    rows = [(b, t, s) for b in range(1, 9) for t in range(b * 100, b * 100 + rng.choice((12, 25))) for s in "abcde" if rng.random() < 0.4]
+    frame = spark.createDataFrame(rows + [(b, t, s.upper()) for b, t, s in rows if s in "ab"], "batch_id long, tick long, symbol string")
+    m = counting.count_serial(batching.sequences(frame), counting.enumerate_all(frame.select("symbol").distinct(), 2), 2).select("batch_id", "key", "freq").cache()
+    lo, hi = window.batch_range(m)
+    want = metrics.quality(variants.all_reports(m, 4, 5, 0.5, lo, hi), window.window_truth(m, 4, 5, lo, hi)).drop("n_common")
+    got = variants.pair_quality(frame, 4, 5, 0.5, block=2).select(*want.columns)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
