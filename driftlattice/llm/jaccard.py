@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, dropped, field, member, mix, row_slices, spans, table_bytes, text_buffer, written
+from driftlattice.llm.shared import Hasher, chunk_count, chunk_of, components, dropped, field, lean, member, mix, released, row_slices, spans, table_bytes, text_buffer, written
 
 WIDTH = 5
 THRESHOLD = 80
@@ -167,6 +167,21 @@ def signatures(value: np.ndarray, first: np.ndarray, threshold: int = THRESHOLD,
     return np.concatenate(out_sig), np.concatenate(out_set)
 
 
+def frequent(kept: list[np.ndarray], least: int = COMMON_FROM) -> tuple[np.ndarray, np.ndarray]:
+    """The values that are there so often at least, and how often; takes what `kept` holds out of it, and needs little more than that."""
+    value = np.concatenate(kept)
+    kept.clear()
+    if len(value) < least:
+        return value[:0], np.zeros(0, np.int64)
+    value.sort()
+    # where equal values begin and are already so many
+    full = value[: len(value) - least + 1] == value[least - 1 :]
+    full[1:] &= value[1 : len(full)] != value[: len(full) - 1]
+    first = np.flatnonzero(full)
+    found = value[first]
+    return found, np.searchsorted(value, found, "right") - first
+
+
 def scanned(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     """docs(doc_id, text) -> (doc_id, n_shingles, class, value, n) of two kinds, from one pass over the texts:
     a row for each document (n null), and one for each shingle that COMMON_FROM documents of a block of COMMON_BLOCK shingles hold."""
@@ -175,10 +190,9 @@ def scanned(docs: DataFrame, width: int = WIDTH) -> DataFrame:
         kept, room = [], 0
 
         def flush():
-            value, n = np.unique(np.concatenate(kept), return_counts=True)
-            often = n >= COMMON_FROM
-            none = pa.nulls(int(often.sum()), pa.int64())
-            return pa.RecordBatch.from_arrays([none, none, none, pa.array(value[often].view(np.int64)), pa.array(n[often])], ["doc_id", "n_shingles", "class", "value", "n"])
+            value, n = frequent(kept)
+            none = pa.nulls(len(n), pa.int64())
+            return pa.RecordBatch.from_arrays([none, none, none, pa.array(value.view(np.int64)), pa.array(n)], ["doc_id", "n_shingles", "class", "value", "n"])
 
         for batch in batches:
             n, name = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
@@ -189,13 +203,13 @@ def scanned(docs: DataFrame, width: int = WIDTH) -> DataFrame:
                 room += len(value)
                 if room > COMMON_BLOCK:
                     yield flush()
-                    kept, room = [], 0
+                    room = 0
             none = pa.nulls(batch.num_rows, pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.concatenate(n)), pa.array(np.concatenate(name)), none, none], ["doc_id", "n_shingles", "class", "value", "n"])
         if kept:
             yield flush()
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, class long, value long, n long")
+    return docs.select("doc_id", "text").mapInArrow(lean(run), "doc_id long, n_shingles long, class long, value long, n long")
 
 
 def common_shingles(counts: DataFrame) -> Heavy:
@@ -273,7 +287,7 @@ def signature_groups(docs: DataFrame, bits: int, threshold: int, heavy: Heavy) -
         place = np.repeat(start - (np.cumsum(size) - size), size) + np.arange(size.sum())
         return pa.table({"grp": pa.array(np.repeat(label, size).view(np.int64)), "class": pa.array(name[place].view(np.int64)), "hub": pa.array(np.repeat(name[start], size).view(np.int64))})
 
-    asks = docs.select("text").mapInArrow(ask, "bucket int, sig binary, which binary, names binary")
+    asks = docs.select("text").mapInArrow(lean(ask), "bucket int, sig binary, which binary, names binary")
     return asks.groupBy("bucket").applyInArrow(meet, "grp long, class long, hub long").distinct()
 
 
@@ -300,7 +314,7 @@ def sketches(texts: DataFrame) -> DataFrame:
             words = np.concatenate([np.zeros((0, len(_WORDS)), np.int64), *[parity(value, first) for _, value, first in shingle_sets(batch.column("text"))]])
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *[pa.array(np.ascontiguousarray(words[:, k])) for k in range(len(_WORDS))]], ["doc_id", *_WORDS])
 
-    rows = texts.select("doc_id", "text").mapInArrow(run, "doc_id long, " + ", ".join(f"{c} long" for c in _WORDS))
+    rows = texts.select("doc_id", "text").mapInArrow(lean(run), "doc_id long, " + ", ".join(f"{c} long" for c in _WORDS))
     return rows.select("doc_id", F.struct(*_WORDS).alias("p"))
 
 
@@ -347,7 +361,7 @@ def linked(texts: DataFrame, pairs: DataFrame, chunks: int, threshold: int = THR
         return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
     texts = picked(texts, pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct())
-    bodies = picked(texts, pairs.select(F.col("a").alias("doc_id")).distinct()).select("doc_id", "text").mapInArrow(sets, "a long, n long, own binary")
+    bodies = picked(texts, pairs.select(F.col("a").alias("doc_id")).distinct()).select("doc_id", "text").mapInArrow(lean(sets), "a long, n long, own binary")
     sent = pairs.select("a", "b", chunk_of("b", chunks).alias("chunk")).groupBy("chunk", "a").agg(F.collect_list("b").alias("bs")).join(bodies, "a")
     return texts.groupBy("chunk").cogroup(sent.groupBy("chunk")).applyInArrow(meet, "a long, b long")
 
