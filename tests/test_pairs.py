@@ -50,7 +50,7 @@ def test_windows_best_are_whole_whatever_the_blocks():
             total = every[end - m + 1 : end + 1].sum(0)
             bound = np.sort(total.ravel())[-k]
             want = {(a, b, total[a, b]) for a, b in np.argwhere(total >= bound).tolist()}
-            assert {(a, b, n) for e, a, b, n in rows if e == end and n >= bound} == want
+            assert {(a, b, n) for _, e, a, b, n, _ in rows if e == end and n >= bound} == want
 
 
 def test_work_does_not_rest_on_equal_ticks(spark):
