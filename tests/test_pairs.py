@@ -71,3 +71,14 @@ def test_no_batch_and_no_symbol(spark):
     one = spark.createDataFrame([(0, 1, "a"), (0, 2, "a")], "batch_id long, tick long, symbol string")
     assert counting.pair_windows(one, 3, 5).collect() == []
     assert [tuple(r) for r in counting.pair_windows(one, 1, 5).select("window_end", "key", "wfreq", "rank").collect()] == [(0, "a>a", 1, 1)]
+
+
+def test_pairs_met_twice_do_not_raise_a_bound():
+    """A report's bound is the k-th best of different pairs, and is no higher than that of all pairs."""
+    _, grid = grid_of(20, [12] * 8, 0.5, 4)
+    report = pairs.Report(np.full(8, 3), 1, False)
+    a, b = np.divmod(np.arange(400), 20)
+    every = pairs.report_bounds(grid, 3, 6, {"x": report}, a, b)["x"]
+    some = pairs.report_bounds(grid, 3, 6, {"x": report}, a[:40], b[:40])["x"]
+    twice = pairs.report_bounds(grid, 3, 6, {"x": report}, np.tile(a[:40], 3), np.tile(b[:40], 3))["x"]
+    assert (twice == some).all() and (some <= every).all() and (some < every).any()
